@@ -1,6 +1,6 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine, found with a block-max inverted index.
 
-Labelled examples (a bounded sample, ``max_examples`` a class) become TF-IDF vectors over words and word beginnings. The
+Labelled examples (a bounded sample, ``max_examples`` a class, near copies collapsed) become TF-IDF vectors over words and word beginnings. The
 vocabulary holds the terms whose document frequency differs most between the two labels. Examples with a vector are put
 in blocks of ``BLOCK`` similar ones; for every term a block keeps the largest weight, so a query bounds the cosine of a
 whole block by one sparse product. Blocks are opened from the highest bound down until the k-th best cosine is no less
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 
@@ -29,8 +30,9 @@ from pyspark.sql import functions as F
 
 #: Examples a class at most, terms of the vocabulary at most, neighbours, examples a block.
 MAX_EXAMPLES, MAX_TERMS, K, BLOCK = 3000, 1024, 15, 32
-#: Letters of the word beginnings that are terms of their own, and the least z-score and frequency of a term.
-BEGINNINGS, LEAST_Z, LEAST_DF = (4, 5, 6), 4.0, 4
+#: Letters of the word beginnings that are terms of their own; the least z-score of a term, share of the toxic
+#: examples that hold it, and number of examples: words that a few copies of one text share say nothing of its label.
+BEGINNINGS, LEAST_Z, LEAST_SHARE, LEAST_DF = (4, 5, 6), 5.0, 0.008, 3
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -51,11 +53,37 @@ def term_counts(text: str | None, vocab: dict[str, int] | None = None) -> dict:
     return out
 
 
+def collapse(examples: list[tuple[int, str, int]], hashes: int = 8) -> list[tuple[int, str, int]]:
+    """One example of each group of near copies (any of a few min-hashes over word pairs and label agree), the first.
+
+    Copies would count as independent evidence for every rare word they share.
+    """
+    seen: dict[tuple[int, int, int], int] = {}
+    out = []
+    for number, (doc_id, text, label) in enumerate(examples):
+        got = _WORD.findall(text.lower())
+        ids = np.array([zlib.crc32(w.encode("utf-8", "replace")) for w in got], np.uint64)
+        if len(ids) < 2:
+            marks = [(label, -1, hash_) for hash_ in ids.tolist() or [0]]
+        else:
+            pair = ids[:-1] * np.uint64(0x9E3779B97F4A7C15) + ids[1:]
+            marks = []
+            for k in range(hashes):
+                h = (pair ^ np.uint64(k * 0xD1B54A32D192ED03 & (1 << 64) - 1)) * np.uint64(0xBF58476D1CE4E5B9)
+                marks.append((label, k, int((h ^ h >> np.uint64(31)).min())))
+        if not any(m in seen for m in marks):
+            out.append((doc_id, text, label))
+        for m in marks:
+            seen.setdefault(m, number)
+    return out
+
+
 class Neighbours:
     """Block-max inverted index over labelled TF-IDF vectors."""
 
     def __init__(self, examples: list[tuple[int, str, int]], share: float | None = None, k: int = K):
         self.k = k
+        examples = collapse(examples)
         ids = [e[0] for e in examples]
         labels = np.array([e[2] for e in examples], np.float64)
         n1, n0 = int(labels.sum()), int(len(labels) - labels.sum())
@@ -67,16 +95,15 @@ class Neighbours:
         ranked = []
         for t in df[0].keys() | df[1].keys():
             a, b = df[1][t], df[0][t]
-            if a + b >= LEAST_DF and n1 and n0:
+            if n1 and n0 and a >= max(LEAST_DF, LEAST_SHARE * n1) and a / n1 > b / n0:
                 p = (a + b) / (n1 + n0)
                 z = (a / n1 - b / n0) / math.sqrt(max(p * (1 - p), 1e-9) * (1 / n1 + 1 / n0))
-                if abs(z) >= LEAST_Z and (z > 0 or a == 0):
-                    ranked.append((-abs(z), t, a + b))
-        ranked.sort()
-        ranked = [r for r in ranked if df[1][r[1]] / max(n1, 1) > df[0][r[1]] / max(n0, 1)][:MAX_TERMS]
-        self.vocab = {t: i for i, (_, t, _) in enumerate(ranked)}
+                if z >= LEAST_Z:
+                    ranked.append((-z, t))
+        ranked = sorted(ranked)[:MAX_TERMS]
+        self.vocab = {t: i for i, (_, t) in enumerate(ranked)}
         # Inverse document frequency under the true share of labels, not that of the balanced sample.
-        rate = [self.share * df[1][t] / max(n1, 1) + (1 - self.share) * df[0][t] / max(n0, 1) for _, t, _ in ranked]
+        rate = [self.share * df[1][t] / max(n1, 1) + (1 - self.share) * df[0][t] / max(n0, 1) for _, t in ranked]
         self.idf = np.array([math.log(1 + 1 / max(r, 1e-6)) for r in rate], np.float32)
         weight = np.where(labels == 1, self.share / max(n1, 1), (1 - self.share) / max(n0, 1))
         vectors = [self.vector(counts=c) for c in counts]
