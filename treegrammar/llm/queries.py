@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from treegrammar.llm import bpe, decontaminate, exact_dedup, simhash, toxicity
+from treegrammar.llm import bpe, decontaminate, exact_dedup, license_scan, sharding, simhash, toxicity, url_filter
 
 TOKENIZER = "byte_bpe_50k.json"
 
@@ -29,10 +29,18 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(spark, table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_components(spark, table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard_documents(spark, table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source"))
+
+
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.overlaps(spark, table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
 
@@ -47,6 +55,10 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digests(table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_text())
 
 
+def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(spark, table(spark, sf_dir, "pages", "page_id", "url"))
+
+
 OP1_SQL = """
 WITH n AS (
   SELECT doc_id, coalesce(text, '') AS t, regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]', '', 'g') AS body FROM documents
@@ -62,10 +74,13 @@ SELECT doc_id, keep_id, group_size, k = 1 AS kept, sha256(body) AS text_sha256 F
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_exact_dedup": op1_exact_dedup,
+        "op2_license_scan": op2_license_scan,
         "op3_simhash": op3_simhash,
+        "op4_sharding": op4_sharding,
         "op5_decontaminate": op5_decontaminate,
         "op8_toxicity": op8_toxicity,
         "op9_bpe": op9_bpe,
+        "op10_url_filter": op10_url_filter,
     }
 
 
