@@ -6,7 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from treegrammar.llm import bpe, decontaminate, exact_dedup, license_scan, sharding, simhash, toxicity, url_filter
+from treegrammar.llm import bpe, decontaminate, exact_dedup, html_extract, language, license_scan, sharding, simhash, toxicity, url_filter
+from treegrammar.llm.holdout import held_out
 
 TOKENIZER = "byte_bpe_50k.json"
 
@@ -45,10 +46,21 @@ def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.overlaps(spark, table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
+def op6_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages", "page_id", "url", "html")
+    return html_extract.extract(spark, pages, html_extract.fit(spark, pages))
+
+
+def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang")
+    model = language.fit(spark, docs)
+    return language.predict(spark, docs, model).select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score")
+
+
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     model = toxicity.fit(spark, docs, table(spark, sf_dir, "labels", "doc_id", "toxic"))
-    return toxicity.scores(spark, docs, model).select("doc_id", toxicity.held_out("doc_id").alias("held_out"), "score", "predicted", "evidence")
+    return toxicity.scores(spark, docs, model).select("doc_id", held_out("doc_id").alias("held_out"), "score", "predicted", "evidence")
 
 
 def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -78,6 +90,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_simhash": op3_simhash,
         "op4_sharding": op4_sharding,
         "op5_decontaminate": op5_decontaminate,
+        "op6_html_extract": op6_html_extract,
+        "op7_language": op7_language,
         "op8_toxicity": op8_toxicity,
         "op9_bpe": op9_bpe,
         "op10_url_filter": op10_url_filter,

@@ -28,6 +28,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from treegrammar.llm.holdout import held_out
+
 #: Examples a class at most, terms of the vocabulary at most, neighbours, examples a block.
 MAX_EXAMPLES, MAX_TERMS, K, BLOCK = 3000, 1024, 15, 32
 #: Letters of the word beginnings that are terms of their own; the least z-score of a term, share of the toxic
@@ -36,10 +38,6 @@ BEGINNINGS, LEAST_Z, LEAST_SHARE, LEAST_DF = (4, 5, 6), 5.0, 0.008, 3
 _WORD = re.compile(r"[^\W\d_]+")
 
 
-def held_out(doc_id) -> F.Column:
-    return F.pmod(F.crc32(F.col(doc_id).cast("string").cast("binary")), F.lit(5)) == 0
-
-
 def term_counts(text: str | None, vocab: dict[str, int] | None = None) -> dict:
     """How often each term occurs: words, and beginnings marked with a trailing ``-``; only those of vocab if given."""
     words = Counter(_WORD.findall((text or "").lower()))
