@@ -31,6 +31,7 @@ class Carrier:
     records: DataFrame
     spine: Spine | None = None
     policy: str = "strict"
+    costly: bool = False  # whether the records come out of joins or groups, so that they are written once before they are cut into shards
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -72,9 +73,9 @@ def ordered(keys: list[str], value: Column) -> Column:
     return joined(F.transform(F.array_sort(F.collect_list(F.struct(*keys, value.alias("xml")))), lambda s: s["xml"]))
 
 
-def _docs(name: str, df: DataFrame, doc_id: Column, content: Column, policy: str = "strict") -> Carrier:
+def _docs(name: str, df: DataFrame, doc_id: Column, content: Column, policy: str = "strict", costly: bool = False) -> Carrier:
     d = doc_id.cast("long")
-    return Carrier(name, df.select(F.lit(name).alias("carrier"), F.lit(0).alias("section"), d.alias("ord"), d.alias("doc_id"), content.alias("content")), None, policy)
+    return Carrier(name, df.select(F.lit(name).alias("carrier"), F.lit(0).alias("section"), d.alias("ord"), d.alias("doc_id"), content.alias("content")), None, policy, costly)
 
 
 def pages(spark: SparkSession, sf_dir: str) -> Carrier:
@@ -88,7 +89,7 @@ def threads(spark: SparkSession, sf_dir: str) -> Carrier:
     nested = F.array_sort(F.collect_list(F.struct("turn", "xml")))
     per = turns.groupBy("conv_id").agg(nested.alias("t"))
     body = F.concat(F.array_join(F.transform("t", lambda s: s["xml"]), "<reply>"), F.repeat(F.lit("</turn></reply>"), F.size("t") - 1), F.lit("</turn>"))
-    return _docs("threads", per, F.col("conv_id"), el("thread", body, attrs=attr("id", F.col("conv_id"))))
+    return _docs("threads", per, F.col("conv_id"), el("thread", body, attrs=attr("id", F.col("conv_id"))), costly=True)
 
 
 def prose(spark: SparkSession, sf_dir: str) -> Carrier:
@@ -115,7 +116,7 @@ def log_of(events: DataFrame) -> Carrier:
     days = one.groupBy("user_id", "day").agg(ordered(["ts", "event_id"], F.col("xml")).alias("xml"))
     days = days.select("user_id", "day", el("day", F.col("xml"), attrs=attr("date", F.col("day"))).alias("xml"))
     users = days.groupBy("user_id").agg(ordered(["day"], F.col("xml")).alias("xml"))
-    return _docs("log", users, F.col("user_id"), el("user", F.col("xml"), attrs=attr("id", F.col("user_id"))))
+    return _docs("log", users, F.col("user_id"), el("user", F.col("xml"), attrs=attr("id", F.col("user_id"))), costly=True)
 
 
 def vectors(spark: SparkSession, sf_dir: str) -> Carrier:
@@ -172,7 +173,7 @@ def market(spark: SparkSession, sf_dir: str) -> Carrier:
         Spine("regions", [Spine(name.replace(" ", "_").lower(), section=i) for i, (_, name) in enumerate(regions)]),
         Spine("categories", section=n), Spine("open_sales", section=n + 1), Spine("closed_sales", section=n + 2),
     ])
-    return Carrier("market", records, spine)
+    return Carrier("market", records, spine, costly=True)
 
 
 CARRIERS = {"market": market, "threads": threads, "pages": pages, "prose": prose, "log": log, "vectors": vectors}
