@@ -12,7 +12,8 @@ from pyspark.sql import functions as F
 
 from treegrammar.shared import written
 from treegrammar.sources.carriers import table
-from treegrammar.workloads import DOCUMENTS, index
+from treegrammar.workloads import index
+from treegrammar.workloads import nodes as nodes_of
 
 
 def as_of(left: DataFrame, right: DataFrame, key: str, ts: str, value: str, out: str) -> DataFrame:
@@ -129,7 +130,7 @@ def relational_pairs(spark: SparkSession, nodes: DataFrame, rounds: int = 6, bes
 
 
 def _asof(spark: SparkSession, sf: str) -> DataFrame:
-    ev = table(spark, sf, "events")
+    ev = table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     buys = ev.where("event_type = 'purchase'").select("event_id", "user_id", "ts")
     clicks = ev.where("event_type = 'click'").select("user_id", "ts", F.col("ts").alias("click_ts"))
     return as_of(buys, clicks, "user_id", "ts", "click_ts", "last_click").select("event_id", F.unix_micros("last_click").alias("last_click"))
@@ -139,13 +140,9 @@ def _results(spark: SparkSession, sf: str, path: str) -> DataFrame:
     return index(spark, sf, "threads").materialize(path).select("doc_id", "pre")
 
 
-def _per_doc(name: str, carrier: str, path: str):
-    return lambda spark, sf: index(spark, sf, carrier).count(path, by="doc")
-
-
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    thread_nodes = lambda s, d: index(s, d, "threads").nodes()
-    page_nodes = lambda s, d: index(s, d, "pages").nodes()
+    thread_nodes = lambda s, d: nodes_of(s, d, "threads")
+    page_nodes = lambda s, d: nodes_of(s, d, "pages")
     n_of = lambda df: df.agg(F.count("*").alias("n"))
     return {
         "rel_asof_last_click": _asof,
@@ -157,18 +154,18 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "rel_except": lambda s, d: _results(s, d, "//turn").exceptAll(_results(s, d, "//reply/turn")).groupBy("doc_id").agg(F.count("*").alias("n")),
         "rel_cube": lambda s, d: index(s, d, "prose").count("//para", by="doc").join(table(s, d, "labels"), "doc_id").cube("quality", "toxic").agg(F.sum("n").alias("n")),
         "rel_pivot": lambda s, d: page_nodes(s, d).where("kind = 0 and label in ('a', 'p', 'li')").groupBy("doc_id").pivot("label", ["a", "li", "p"]).count().na.fill(0),
-        "rel_topk_labels": lambda s, d: index(s, d, "log").nodes().where("kind = 0 and label in ('click', 'error', 'purchase', 'signup', 'view')").groupBy("label").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "label").limit(3),
-        "rel_distinct_paths": lambda s, d: index(s, d, "vectors").nodes().agg(F.countDistinct("path").alias("n")),
+        "rel_topk_labels": lambda s, d: nodes_of(s, d, "log").where("kind = 0 and label in ('click', 'error', 'purchase', 'signup', 'view')").groupBy("label").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "label").limit(3),
+        "rel_distinct_paths": lambda s, d: nodes_of(s, d, "vectors").agg(F.countDistinct("path").alias("n")),
         "rel_closure_turns": lambda s, d: ancestors(s, thread_nodes(s, d), "turn").groupBy("doc_id").agg(F.count("*").alias("n")),
         "rel_percentile_levels": lambda s, d: thread_nodes(s, d).where("label = 'turn'").agg(F.max("level").alias("deepest"), F.min("level").alias("top")),
-        "rel_shared_subtrees": lambda s, d: shared_subtrees(s, index(s, d, "threads").nodes()).agg(F.sum("n").alias("nodes"), F.count("*").alias("kinds")).select("nodes"),
+        "rel_shared_subtrees": lambda s, d: shared_subtrees(s, nodes_of(s, d, "threads")).agg(F.sum("n").alias("nodes"), F.count("*").alias("kinds")).select("nodes"),
         "rel_pairs_triples": lambda s, d: _pairs_report(s, d),
     }
 
 
 def _pairs_report(spark: SparkSession, sf: str) -> DataFrame:
     """Nodes before and after relational pair replacement, and the rules made (no oracle: the sizes are the result)."""
-    nodes = index(spark, sf, "threads").nodes()
+    nodes = nodes_of(spark, sf, "threads")
     left, rules = relational_pairs(spark, nodes, rounds=4)
     return left.agg(F.count("*").alias("nodes_left")).withColumn("rules", F.lit(len(rules)))
 
@@ -194,4 +191,4 @@ def oracle_sql() -> dict[str, str]:
     }
 
 
-__all__ = ["DOCUMENTS", "ancestors", "as_of", "binary_encoding", "queries", "oracle_sql", "relational_pairs", "shared_subtrees", "sibling_ordinals", "with_child", "without_attributes"]
+__all__ = ["ancestors", "as_of", "binary_encoding", "queries", "oracle_sql", "relational_pairs", "shared_subtrees", "sibling_ordinals", "with_child", "without_attributes"]

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from treegrammar.baselines import dom, labels_twigs, node_table, path_index
 from treegrammar.sources.carriers import table
-from treegrammar.workloads import DOCUMENTS, MARKET, ORDERS, index
+from treegrammar.workloads import DOCUMENTS, MARKET, ORDERS, index, nodes
 from treegrammar.xpath.automaton import compile_path
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -125,9 +125,6 @@ def _regions(spark: SparkSession, sf: str) -> DataFrame:
 
 # Node-wise view, texts, round trip
 
-_THREAD_NODES = "SELECT conv_id AS doc_id, CAST(4 + sum(3 + 2 * len(string_split(text, chr(10))) + 2 * len(regexp_extract_all(text, '[A-Za-z]{10,}')) + 1 + 1) - 1 AS BIGINT) AS visited FROM conversations GROUP BY 1"
-
-
 def _label_sum(spark: SparkSession, sf: str, mode: str, order: str) -> DataFrame:
     return index(spark, sf, "threads").traverse(order, mode).select("doc_id", "visited")
 
@@ -154,7 +151,7 @@ for _tag, _use in (("tagged", True), ("plain", False)):
 
 query("gettext_threads", "SELECT conv_id AS doc_id, CAST(0 AS BIGINT) AS text_no, CAST(conv_id AS VARCHAR) AS value FROM conversations GROUP BY 1")(lambda spark, sf: index(spark, sf, "threads").texts().where("text_no = 0"))
 query("texts_market", f"WITH {ORDERS} SELECT count(*) FILTER (TRUE) AS prices FROM o WHERE s = 'F'")(
-    lambda spark, sf: (lambda ix: ix.nodes().where("path like '%/price/_T'").select("doc_id", "text_no").join(ix.texts(), ["doc_id", "text_no"]).where("value rlike '^[0-9]+[.][0-9]{2}$'").agg(F.count("*").alias("prices")))(index(spark, sf, "market"))
+    lambda spark, sf: (lambda ix: nodes(spark, sf, "market").where("path like '%/price/_T'").select("doc_id", "text_no").join(ix.texts(), ["doc_id", "text_no"]).where("value rlike '^[0-9]+[.][0-9]{2}$'").agg(F.count("*").alias("prices")))(index(spark, sf, "market"))
 )
 query("roundtrip_threads", "SELECT conv_id AS doc_id, TRUE AS same FROM conversations GROUP BY 1")(lambda spark, sf: _roundtrip(spark, sf))
 
@@ -169,21 +166,21 @@ def _roundtrip(spark: SparkSession, sf: str) -> DataFrame:
 # Baselines, with the oracles of the workloads
 
 for _name in ("q03", "q05", "q07", "q08", "q15", "x1", "x2", "simple_q3", "fsib_listitem"):
-    query(f"b5_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: node_table.count(index(spark, sf, "market").nodes(), path), MARKET[_name][0]))
+    query(f"b5_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: node_table.count(nodes(spark, sf, "market"), path), MARKET[_name][0]))
 for _name in ("threads_reply_kw", "threads_fsib_say", "pages_ul_a", "log_click", "vectors_dim"):
     _carrier, _path, _sql = DOCUMENTS[_name]
     query(f"b6_{_name}", _sql)(partial(lambda c, path, spark, sf: dom.count(index(spark, sf, c).documents(), path), _carrier, _path))
 for _name in ("simple_q1", "simple_q2", "simple_q3", "simple_q4", "label_category", "label_price", "label_keyword"):
-    query(f"b7_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: path_index.count(path_index.build(index(spark, sf, "market").nodes()), path), MARKET[_name][0]))
-query("b7_speed_form", MARKET["simple_q2"][1])(lambda spark, sf: path_index.count(path_index.build(index(spark, sf, "market").nodes(), per_node=True), MARKET["simple_q2"][0]))
+    query(f"b7_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: path_index.count(path_index.build(nodes(spark, sf, "market")), path), MARKET[_name][0]))
+query("b7_speed_form", MARKET["simple_q2"][1])(lambda spark, sf: path_index.count(path_index.build(nodes(spark, sf, "market"), per_node=True), MARKET["simple_q2"][0]))
 for _name, _label in (("label_price", "price"), ("label_keyword", "keyword")):
-    query(f"b4_{_name}", MARKET[_name][1])(partial(lambda lab, spark, sf: labels_twigs.label_count(labels_twigs.label_positions(index(spark, sf, "market").nodes()), lab), _label))
-query("b4_topmost_listitem_keyword", MARKET["q07"][1])(lambda spark, sf: labels_twigs.topmost_sum(index(spark, sf, "market").nodes(), "listitem", "keyword"))
+    query(f"b4_{_name}", MARKET[_name][1])(partial(lambda lab, spark, sf: labels_twigs.label_count(labels_twigs.label_positions(nodes(spark, sf, "market")), lab), _label))
+query("b4_topmost_listitem_keyword", MARKET["q07"][1])(lambda spark, sf: labels_twigs.topmost_sum(nodes(spark, sf, "market"), "listitem", "keyword"))
 for _name in ("x1", "x2", "x3"):
-    query(f"b8_stack_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: labels_twigs.twig_stack(index(spark, sf, "market").nodes(), path).agg(F.count("*").alias("n")), MARKET[_name][0]))
-    query(f"b8_leaf_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: labels_twigs.twig_leaf(index(spark, sf, "market").nodes(), path).agg(F.count("*").alias("n")), MARKET[_name][0]))
-query("b9_dataguide_pages", "SELECT '/html/body/nav/ul/li/a' AS path, CAST(sum(len(regexp_extract_all(html, '<a[ >]'))) AS BIGINT) AS n FROM pages")(lambda spark, sf: path_index.summary(index(spark, sf, "pages").nodes()).where("path = '/html/body/nav/ul/li/a'"))
-query("b9_ak_estimate", MARKET["label_keyword"][1])(lambda spark, sf: path_index.estimate(path_index.summary(index(spark, sf, "market").nodes(), 2), "//keyword", 2))
+    query(f"b8_stack_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: labels_twigs.twig_stack(nodes(spark, sf, "market"), path).agg(F.count("*").alias("n")), MARKET[_name][0]))
+    query(f"b8_leaf_{_name}", MARKET[_name][1])(partial(lambda path, spark, sf: labels_twigs.twig_leaf(nodes(spark, sf, "market"), path).agg(F.count("*").alias("n")), MARKET[_name][0]))
+query("b9_dataguide_pages", "SELECT '/html/body/nav/ul/li/a' AS path, CAST(sum(len(regexp_extract_all(html, '<a[ >]'))) AS BIGINT) AS n FROM pages")(lambda spark, sf: path_index.summary(nodes(spark, sf, "pages")).where("path = '/html/body/nav/ul/li/a'"))
+query("b9_ak_estimate", MARKET["label_keyword"][1])(lambda spark, sf: path_index.estimate(path_index.summary(nodes(spark, sf, "market"), 2), "//keyword", 2))
 
 
 # Measures

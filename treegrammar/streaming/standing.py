@@ -55,7 +55,7 @@ def standing_counts(events: DataFrame, path: str, width: str = "1 day", late: st
 
 def session_counts(events: DataFrame, gap: str = "1 hour", late: str = "2 days") -> DataFrame:
     """(user_id, started, n): sessions of each user, closed by a gap."""
-    return events.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("started"), "n")
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("started"), "n")
 
 
 def token_matches(tokens: DataFrame, path: str) -> DataFrame:
@@ -130,7 +130,7 @@ def _ingested(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _dedup(spark: SparkSession, sf: str) -> DataFrame:
-    ev = _stream(spark, sf, "events").withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type", "ts")
+    ev = _stream(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type", "ts")
     return run_to_table(ev, spark, "append", "dedup").select("user_id", "event_type")
 
 

@@ -109,3 +109,16 @@ def index(spark, sf_dir: str, name: str, compressor: str = "pairs", max_rank: in
         TreeIndex.build(spark, carrier(spark, name, sf_dir), path, compressor, max_rank, shard_nodes or SHARD_NODES)
         _INDEXES[key] = path
     return TreeIndex.load(spark, _INDEXES[key])
+
+
+_NODES: dict[tuple, str] = {}
+
+
+def nodes(spark, sf_dir: str, name: str):
+    """The node table of a carrier's index, decompressed and written once for each application: what the baselines read."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _NODES:
+        path = new_path(spark, f"nodes-{name}")
+        index(spark, sf_dir, name).nodes().write.parquet(path)
+        _NODES[key] = path
+    return spark.read.parquet(_NODES[key])
