@@ -23,14 +23,16 @@ from treegrammar.grammar.model import Grammar, pack, unpack
 from treegrammar.shared import new_path, written
 from treegrammar.sources.carriers import Carrier, Spine
 from treegrammar.sources.markup import forest_of, node_table
-from treegrammar.views.chunkwise import Chunkwise, render, subtree_ends
+from treegrammar.views.chunkwise import Chunkwise, Renderer, render, subtree_ends
 from treegrammar.views.nodewise import Cursor
 from treegrammar.views.rulewise import Run
 from treegrammar.xpath.automaton import Automaton, compile_path
 from treegrammar.xpath.parse import FOLLOWING, parse_path
 
 #: Structure nodes that a shard aims at.
-SHARD_NODES = 200_000
+SHARD_NODES = 500_000
+#: Shards whose places in a giant document are shipped with a task (some ten bytes each) instead of joined.
+SHIPPED_SHARDS = 50_000
 
 SHARD_SCHEMA = (
     "carrier string, section int, shard_no long, variant string, kinds array<int>, names array<string>, labels array<string>, rules array<long>, start array<int>, open_end boolean,"
@@ -98,15 +100,29 @@ def shard_row(key: tuple, rows: list[tuple[int, str | None]], policy: str, spine
 
 def load_shard(row: dict) -> Grammar:
     """The grammar of an index row that has at least the columns ``CORE``."""
-    names = list(zip(row["kinds"], row["names"], strict=True))
-    outer, hole, inner, rank = unpack(np.array(row["rules"], np.int64), len(names))
-    return Grammar(names, outer, hole, inner, rank, np.array(row["start"], np.int64), np.array(row["doc_start"], np.int64), bool(row["open_end"]))
+    names = list(zip(map(int, row["kinds"]), row["names"], strict=True))
+    outer, hole, inner, rank = unpack(np.asarray(row["rules"], np.int64), len(names))
+    return Grammar(names, outer, hole, inner, rank, np.asarray(row["start"], np.int64), np.asarray(row["doc_start"], np.int64), bool(row["open_end"]))
 
 
 def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+    """Rows of a batch; lists of numbers stay numpy views of the Arrow buffers."""
     for batch in batches:
         for k in range(batch.num_rows):
-            yield {n: c for n, c in batch.slice(k, 1).to_pylist()[0].items()}
+            row = {}
+            for name, column in zip(batch.schema.names, batch.columns, strict=True):
+                if pa.types.is_list(column.type) and pa.types.is_integer(column.type.value_type) and column.is_valid()[k].as_py():
+                    row[name] = column[k].values.to_numpy(zero_copy_only=False)
+                else:
+                    row[name] = column[k].as_py()
+            yield row
+
+
+def _place(row: dict, places: dict | None) -> tuple[int | None, int, int, int]:
+    """Entry state of a shard, and elements, nodes and texts before it."""
+    if places is not None:
+        return places[row["section"], row["shard_no"]]
+    return row.get("q_in"), row.get("e0") or 0, row.get("n0") or 0, row.get("t0") or 0
 
 
 def _batch(rows: list[tuple], names: list[str], types: list[pa.DataType]) -> pa.RecordBatch:
@@ -119,6 +135,8 @@ class TreeIndex:
 
     def __init__(self, spark: SparkSession, shards: DataFrame, name: str, spine: Spine | None = None, path: str | None = None):
         self.spark, self.shards, self.name, self.spine, self.path = spark, shards, name, spine, path
+        self._totals: dict[int, tuple[int, int, int]] | None = None
+        self._places: dict[tuple[int, int], tuple[int, int, int]] | None = None
 
     # Build, save, load
 
@@ -187,7 +205,7 @@ class TreeIndex:
                 for q in states:
                     n, last = r.eager_count(q) if mode == "eager" else r.lazy_count(q)
                     c = r.count
-                    for k, d in enumerate(row["doc_ids"]):
+                    for k, d in enumerate(row["doc_ids"].tolist()):
                         extra = (c.visited, c.jumped, c.skipped) if k == 0 else (0, 0, 0)
                         out.append((row["section"], row["shard_no"], d, q, int(n[k]), last, *extra))
                 yield _batch(out, ["section", "shard_no", "doc_id", "q_in", "n", "q_out", "visited", "jumped", "skipped"], [pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()])
@@ -210,6 +228,44 @@ class TreeIndex:
         got = rows.groupBy("doc_id").agg(F.sum("n").alias("n"))
         return every.join(got, "doc_id", "left").select("doc_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
+    def count_many(self, paths: list[str]) -> DataFrame:
+        """(path, n) of several paths without sibling steps across shards in one job: every shard is read once for all of them."""
+        plans = [(p, compile_path(p)) for p in paths]
+        if self.spine is not None:
+            following = [p for p, a in plans if any(s.axis == FOLLOWING for s in a.steps)]
+            plans = [(p, a) for p, a in plans if p not in following]
+        else:
+            following = []
+        entries = [self.spine_plan(a).entry if self.spine else {} for _, a in plans]
+        base = [self.spine_plan(a).selected_count() if self.spine else 0 for _, a in plans]
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total = np.zeros(len(plans), np.int64)
+            for row in _shards(batches):
+                g = load_shard(row)
+                for k, (_, a) in enumerate(plans):
+                    q = entries[k].get(row["section"], a.initial)
+                    if q != a.universal:
+                        total[k] += int(Run(g, a).eager_count(q)[0].sum())
+            yield _batch([(k, int(n)) for k, n in enumerate(total)], ["k", "n"], [pa.int32(), pa.int64()])
+
+        sums = self.shards.select(*CORE).mapInArrow(run, "k int, n long").groupBy("k").agg(F.sum("n").alias("n"))
+        names = self.spark.createDataFrame([(k, p, b) for k, ((p, _), b) in enumerate(zip(plans, base, strict=True))], "k int, path string, base long")
+        out = names.join(sums, "k", "left").select("path", (F.coalesce("n", F.lit(0)) + F.col("base")).cast("long").alias("n"))
+        for p in following:
+            out = out.unionAll(self.count(p).select(F.lit(p).alias("path"), "n"))
+        return out
+
+    def resident(self, max_bytes: int = 64 << 20) -> Resident | None:
+        """The grammars in the driver's memory, for many small questions to a small index; None if they take more than ``max_bytes``.
+
+        The size is summed up on the executors first; texts and tables stay where they are."""
+        size = self.shards.agg(F.sum(8 * F.size("rules") + 4 * F.size("start") + 12 * F.size("doc_ids")).alias("b")).first()["b"] or 0
+        if size > max_bytes:
+            return None
+        rows = [r.asDict() for r in self.shards.select(*CORE).toLocalIterator()]
+        return Resident(self, [(r["section"], r["shard_no"], load_shard(r)) for r in sorted(rows, key=lambda r: (r["section"], r["shard_no"]))])
+
     def label_count(self, label: str) -> DataFrame:
         return self.count(f"//{label}")
 
@@ -223,50 +279,69 @@ class TreeIndex:
 
     # Node numbers
 
+    def totals(self) -> dict[int, tuple[int, int, int]]:
+        """Elements, nodes and texts of each section: a handful of rows, summed up once."""
+        if self._totals is None:
+            sums = self.shards.groupBy("section").agg(F.sum("n_elem").alias("e"), F.sum("n_node").alias("n"), F.sum("n_text").alias("t"), F.count("*").alias("w")).collect()
+            self._totals = {r["section"]: (int(r["e"]), int(r["n"]), int(r["t"])) for r in sums}
+            self._n_shards = sum(r["w"] for r in sums)
+        return self._totals
+
     def offsets(self, plan: SpinePlan) -> DataFrame:
         """(section, shard_no, e0, n0, t0): elements, nodes and texts of the giant document before each shard."""
-        totals = {r["section"]: (int(r["e"]), int(r["n"]), int(r["t"])) for r in self.shards.groupBy("section").agg(F.sum("n_elem").alias("e"), F.sum("n_node").alias("n"), F.sum("n_text").alias("t")).collect()}
+        totals = self.totals()
         bases = plan.bases(totals)
         w = Window.partitionBy("section").orderBy("shard_no").rowsBetween(Window.unboundedPreceding, -1)
         before = lambda c: F.coalesce(F.sum(c).over(w), F.lit(0))
         at = lambda k: F.coalesce(*[F.when(F.col("section") == s, F.lit(b[k])) for s, b in bases.items()], F.lit(0)).cast("long")
         return self.shards.select("section", "shard_no", "n_elem", "n_node", "n_text").select("section", "shard_no", (before("n_elem") + at(0)).alias("e0"), (before("n_node") + at(1)).alias("n0"), (before("n_text") + at(2)).alias("t0"))
 
-    def _entered(self, a: Automaton, plan: SpinePlan) -> DataFrame:
-        """Shards of a giant document with their entry state and offsets."""
-        if any(s.axis == FOLLOWING for s in a.steps):
-            rows = self.behaviours("".join(_show(s) for s in a.steps), prune=False)
-            states = compose(rows, plan).select("section", "shard_no", "q_in")
-        else:
+    def _placed(self, src: DataFrame, a: Automaton | None, plan: SpinePlan) -> tuple[DataFrame, dict | None]:
+        """Where the shards of a giant document stand and in which state they are entered: a short table that is shipped
+        with the task up to ``SHIPPED_SHARDS`` shards, else columns that are joined to ``src``."""
+        self.totals()
+        following = a is not None and any(s.axis == FOLLOWING for s in a.steps)
+        if following:
+            states = compose(self.behaviours("".join(_show(s) for s in a.steps), prune=False), plan).select("section", "shard_no", "q_in")
+        elif a is not None:
             entry = F.coalesce(*[F.when(F.col("section") == s, F.lit(q)) for s, q in plan.entry.items()]).cast("int")
             states = self.shards.select("section", "shard_no", entry.alias("q_in"))
-        return self.offsets(plan).join(states, ["section", "shard_no"])
+        else:
+            states = self.shards.select("section", "shard_no", F.lit(None).cast("int").alias("q_in"))
+        if self._n_shards > SHIPPED_SHARDS:
+            return src.join(self.offsets(plan).join(states, ["section", "shard_no"]), ["section", "shard_no"]), None
+        if self._places is None:
+            self._places = {(r["section"], r["shard_no"]): (r["e0"], r["n0"], r["t0"]) for r in self.offsets(plan).collect()}
+        q = {(r["section"], r["shard_no"]): r["q_in"] for r in states.collect()} if following else {k: plan.entry.get(k[0]) for k in self._places}
+        if a is not None:
+            live = sorted({k[0] for k in self._places if q.get(k) != a.universal})
+            src = src.where(F.col("section").isin(live))
+        return src, {k: (q.get(k), *v) for k, v in self._places.items()}
 
     def materialize(self, path: str, limit: int | None = None, jump: bool = True, start_skip: bool = True) -> DataFrame:
         """(doc_id, node, pre) of the selected nodes: structure and element numbers from 0 in document order; pre is null for texts and attributes."""
         a = compile_path(path)
         element = a.steps[-1].kind == "element"
+        src, places = self._pruned(a).select(*CORE), None
+        plan = self.spine_plan(a) if self.spine is not None else None
+        if plan is not None:
+            src, places = self._placed(src, a, plan)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for row in _shards(batches):
-                q = row.get("q_in")
+                q, e0, n0, _ = _place(row, places)
                 if q is not None and q == a.universal:
                     continue
                 got, _ = Chunkwise(Run(load_shard(row), a, jump), start_skip=start_skip).materialize(q, limit)
-                for d, pos in zip(row["doc_ids"], got, strict=True):
+                for d, pos in zip(row["doc_ids"].tolist(), got, strict=True):
                     n = pos.shape[1]
-                    pre = pa.array(pos[0] + (row.get("e0") or 0), pa.int64()) if element else pa.nulls(n, pa.int64())
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(n, d, np.int64)), pa.array(pos[1] + (row.get("n0") or 0), pa.int64()), pre], names=["doc_id", "node", "pre"])
+                    pre = pa.array(pos[0] + e0, pa.int64()) if element else pa.nulls(n, pa.int64())
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(n, d, np.int64)), pa.array(pos[1] + n0, pa.int64()), pre], names=["doc_id", "node", "pre"])
 
         schema = "doc_id long, node long, pre long"
-        if self.spine is None:
-            out = self._pruned(a).select(*CORE).mapInArrow(run, schema)
-        else:
-            plan = self.spine_plan(a)
-            src = self._pruned(a).select(*CORE).join(self._entered(a, plan), ["section", "shard_no"])
-            totals = {r["section"]: (int(r["e"]), int(r["n"]), int(r["t"])) for r in self.shards.groupBy("section").agg(F.sum("n_elem").alias("e"), F.sum("n_node").alias("n"), F.sum("n_text").alias("t")).collect()}
-            top = [(0, n, e) for e, n in plan.selected_numbers(totals)]
-            out = src.mapInArrow(run, schema)
+        out = src.mapInArrow(run, schema)
+        if plan is not None:
+            top = [(0, n, e) for e, n in plan.selected_numbers(self.totals())]
             if top:
                 out = out.unionAll(self.spark.createDataFrame(top, schema))
         return out.orderBy("doc_id", "node").limit(limit) if limit is not None else out
@@ -276,22 +351,26 @@ class TreeIndex:
     def serialize(self, path: str, copy: bool = True, jump: bool = True, start_skip: bool = True) -> DataFrame:
         """(doc_id, pre, piece_no, xml) of the selected subtrees; a result that spans shards comes in ordered pieces."""
         a = compile_path(path)
+        src, places = self._pruned(a).select(*CORE, "doc_texts", "texts"), None
+        plan = self.spine_plan(a) if self.spine is not None else None
+        if plan is not None:
+            src, places = self._placed(src, a, plan)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for row in _shards(batches):
-                q = row.get("q_in")
+                q, e0, _, _ = _place(row, places)
                 if q is not None and q == a.universal:
                     continue
                 g = load_shard(row)
                 got, _ = Chunkwise(Run(g, a, jump), copy, start_skip).serialize(row["texts"], row["doc_texts"], q)
-                out, size = [], 0
-                for d, (tags, res), t0 in zip(row["doc_ids"], got, row["doc_texts"], strict=True):
+                out, size, show = [], 0, Renderer(g.names, row["texts"])
+                for d, (tags, res), t0 in zip(row["doc_ids"].tolist(), got, row["doc_texts"].tolist(), strict=True):
                     if not res.shape[1]:
                         continue
-                    ends, all_tags = subtree_ends(tags, res[0]).tolist(), tags.tolist()
+                    ends = subtree_ends(tags, res[0]).tolist()
                     for b, e, pre, t in zip(res[0].tolist(), ends, res[1].tolist(), res[3].tolist(), strict=True):
-                        xml = render(all_tags[b:e], g.names, row["texts"], t0 + t)
-                        out.append((d, pre + (row.get("e0") or 0), 0, xml))
+                        xml = show(tags, b, e, t0 + t)
+                        out.append((d, pre + e0, 0, xml))
                         size += len(xml)
                         if size > 4 << 20:
                             yield _batch(out, ["doc_id", "pre", "piece_no", "xml"], [pa.int64(), pa.int64(), pa.int64(), pa.string()])
@@ -299,13 +378,10 @@ class TreeIndex:
                 yield _batch(out, ["doc_id", "pre", "piece_no", "xml"], [pa.int64(), pa.int64(), pa.int64(), pa.string()])
 
         schema = "doc_id long, pre long, piece_no long, xml string"
-        wide = [*CORE, "doc_texts", "texts"]
-        if self.spine is None:
-            return self._pruned(a).select(*wide).mapInArrow(run, schema)
-        plan = self.spine_plan(a)
-        out = self._pruned(a).select(*wide).join(self._entered(a, plan), ["section", "shard_no"]).mapInArrow(run, schema)
-        totals = {r["section"]: (int(r["e"]), int(r["n"]), int(r["t"])) for r in self.shards.groupBy("section").agg(F.sum("n_elem").alias("e"), F.sum("n_node").alias("n"), F.sum("n_text").alias("t")).collect()}
-        pieces = plan.pieces(totals)
+        out = src.mapInArrow(run, schema)
+        if plan is None:
+            return out
+        pieces = plan.pieces(self.totals())
         if pieces:
             whole = self.render_shards()
             items = self.spark.createDataFrame(pieces, "pre long, item long, section int, literal string")
@@ -333,7 +409,7 @@ class TreeIndex:
             for row in _shards(batches):
                 g = load_shard(row)
                 stream, at, out = g.expand(), 0, []
-                for d, n, t in zip(row["doc_ids"], g.totals("node").tolist(), row["doc_texts"], strict=True):
+                for d, n, t in zip(row["doc_ids"].tolist(), g.totals("node").tolist(), row["doc_texts"].tolist(), strict=True):
                     out.append((d, render(stream[at : at + 2 * n].tolist(), g.names, row["texts"], t)))
                     at += 2 * n + 1
                 yield _batch(out, ["doc_id", "xml"], [pa.int64(), pa.string()])
@@ -347,7 +423,10 @@ class TreeIndex:
 
         For a giant document numbers are those of the whole document; roots of a run have the spine element as parent."""
         plan = SpinePlan(self.spine, None) if self.spine else None
-        paths = plan.section_paths() if plan else {}
+        paths = plan.section_paths(self.totals()) if plan else {}
+        src, places = self.shards.select(*CORE), None
+        if plan is not None:
+            src, places = self._placed(src, None, plan)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for row in _shards(batches):
@@ -355,7 +434,8 @@ class TreeIndex:
                 stream, at = g.expand(), 0
                 names = np.array([n for _, n in g.names], object)
                 top, depth, above = paths.get(row["section"], ("", 0, -1))
-                for d, n in zip(row["doc_ids"], g.totals("node").tolist(), strict=True):
+                _, e0, n0, t0 = _place(row, places)
+                for d, n in zip(row["doc_ids"].tolist(), g.totals("node").tolist(), strict=True):
                     t = node_table(stream[at : at + 2 * n], [k for k, _ in g.names])
                     at += 2 * n + 1
                     known: dict[tuple[str, int], str] = {}
@@ -366,7 +446,6 @@ class TreeIndex:
                         if got is None:
                             got = known[key] = f"{key[0]}/{names[lab]}"
                         path.append(got)
-                    n0, e0, t0 = row.get("n0") or 0, row.get("e0") or 0, row.get("t0") or 0
                     pre, text = t["pre"], t["text_no"]
                     cols = [
                         pa.array(np.full(n, row["section"], np.int32)), pa.array(np.full(n, row["shard_no"], np.int64)), pa.array(np.full(n, d, np.int64)), pa.array(np.arange(n) + n0), pa.array(names[t["label"]].tolist() if n else [], pa.string()),
@@ -376,13 +455,8 @@ class TreeIndex:
                     yield pa.RecordBatch.from_arrays(cols, names=["section", "shard_no", "doc_id", "node", "label", "kind", "pre", "size", "element_size", "parent", "level", "text_no", "path"])
 
         schema = "section int, shard_no long, doc_id long, node long, label string, kind int, pre long, size long, element_size long, parent long, level long, text_no long, path string"
-        if self.spine is None:
-            return self.shards.select(*CORE).mapInArrow(run, schema)
-        totals = {r["section"]: (int(r["e"]), int(r["n"]), int(r["t"])) for r in self.shards.groupBy("section").agg(F.sum("n_elem").alias("e"), F.sum("n_node").alias("n"), F.sum("n_text").alias("t")).collect()}
-        full = SpinePlan(self.spine, None)
-        paths = full.section_paths(totals)
-        out = self.shards.select(*CORE).join(self.offsets(full), ["section", "shard_no"]).mapInArrow(run, schema)
-        return out.unionAll(self.spark.createDataFrame(full.rows(totals), schema))
+        out = src.mapInArrow(run, schema)
+        return out if plan is None else out.unionAll(self.spark.createDataFrame(plan.rows(self.totals()), schema))
 
     def texts(self) -> DataFrame:
         """(doc_id, text_no, value) of all text and attribute values of documents (or of the giant document)."""
@@ -414,7 +488,7 @@ class TreeIndex:
 
         def fn(row, g):
             c = Cursor(g, pool)
-            for d, root in zip(row["doc_ids"], c.roots(), strict=True):
+            for d, root in zip(row["doc_ids"].tolist(), c.roots(), strict=True):
                 yield (d, *c.traverse(root, order, mode))
 
         return self._cursors(fn, "doc_id long, visited long, checksum long")
@@ -425,7 +499,7 @@ class TreeIndex:
 
         def fn(row, g):
             c = Cursor(g)
-            for d, root in zip(row["doc_ids"], c.roots(), strict=True):
+            for d, root in zip(row["doc_ids"].tolist(), c.roots(), strict=True):
                 yield d, count(c, root, path, use_tagged)
 
         return self._cursors(fn, "doc_id long, n long")
@@ -436,7 +510,7 @@ class TreeIndex:
         def fn(row, g):
             c = Cursor(g)
             number = {n: k for k, n in enumerate(g.names)}.get((0, label))
-            for k, d in enumerate(row["doc_ids"]):
+            for k, d in enumerate(row["doc_ids"].tolist()):
                 node = c.locate(k, pre)
                 jump = c.tagged_desc if kind == "desc" else c.tagged_foll
                 yield d, int(node is not None and number is not None and jump(node, number) is not None)
@@ -448,7 +522,7 @@ class TreeIndex:
 
         def fn(row, g):
             c = Cursor(g)
-            for k, d in enumerate(row["doc_ids"]):
+            for k, d in enumerate(row["doc_ids"].tolist()):
                 if d == doc_id and (node := c.locate(k, pre)) is not None:
                     yield d, g.names[c.label(node)][1]
 
@@ -474,6 +548,32 @@ class TreeIndex:
         return self
 
 
+class Resident:
+    """A small index in memory; answers counts without a job, by the same evaluator."""
+
+    def __init__(self, index: TreeIndex, grammars: list[tuple[int, int, Grammar]]):
+        self.spine = index.spine
+        self.grammars = grammars
+        self._label_sets = [frozenset(n for _, n in g.names) for _, _, g in self.grammars]
+
+    def count(self, path: str) -> int:
+        a = compile_path(path)
+        last = a.steps[-1].name
+        plan = SpinePlan(self.spine, a) if self.spine else None
+        following = plan is not None and any(s.axis == FOLLOWING for s in a.steps)
+        total, states = (plan.selected_count() if plan else 0), dict(plan.entry) if plan else {}
+        for (section, _, g), labels in zip(self.grammars, self._label_sets, strict=True):
+            q = states.get(section, a.initial)
+            if q == a.universal or not following and last is not None and last not in labels:
+                continue
+            run = Run(g, a)
+            n, out = run.eager_count(q)
+            total += int(n.sum())
+            if following:
+                states[section] = out
+        return total
+
+
 ARROW_SCHEMA = pa.schema([
     (n, {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "boolean": pa.bool_(), "binary": pa.binary(), "double": pa.float64(), "array<int>": pa.list_(pa.int32()), "array<long>": pa.list_(pa.int64()), "array<string>": pa.list_(pa.string())}[t])
     for n, t in (c.strip().split(" ") for c in SHARD_SCHEMA.split(","))

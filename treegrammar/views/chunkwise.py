@@ -227,39 +227,86 @@ def subtree_ends(tags: np.ndarray, places: np.ndarray) -> np.ndarray:
     return end[places]
 
 
-def render(tags: list[int], names: list[tuple[int, str]], texts: list[str], first_text: int) -> str:
-    """Markup of a stretch of tags; texts are taken in order from ``first_text``."""
-    out: list[str] = []
+_TEXT, _VALUE = 0, 1
+
+
+def template(tags: list[int], names: list[tuple[int, str]]) -> list[str | int]:
+    """Markup of a stretch of tags as literals and places for texts and attribute values."""
+    out: list[str | int] = []
+    literal: list[str] = []
     stack: list[str | None] = []
     open_ = False
-    t = first_text
+
+    def place(kind: int) -> None:
+        out.append("".join(literal))
+        out.append(kind)
+        literal.clear()
+
     for e in tags:
         if e >= 0:
             kind, name = names[e]
             if kind == 0:
-                out.append("><" if open_ else "<")
-                out.append(name)
+                literal.append(("><" if open_ else "<") + name)
                 open_ = True
                 stack.append(name)
-            elif kind == 1:
+                continue
+            if kind == 1:
                 if open_:
-                    out.append(">")
+                    literal.append(">")
                     open_ = False
-                out.append(escape(texts[t], quote=False))
-                t += 1
-                stack.append(None)
+                place(_TEXT)
             elif kind == 4:
-                out.append(f' {name[1:]}="')
-                stack.append(None)
+                literal.append(f' {name[1:]}="')
             elif kind == 3:
-                out.append(escape(texts[t]) + '"')
-                t += 1
-                stack.append(None)
-            else:
-                stack.append(None)
+                place(_VALUE)
+                literal.append('"')
+            stack.append(None)
         else:
             name = stack.pop() if stack else None
             if name is not None:
-                out.append("/>" if open_ else f"</{name}>")
+                literal.append("/>" if open_ else f"</{name}>")
                 open_ = False
-    return "".join(out).lstrip(" ") if tags and names[tags[0]][0] in (2, 4) else "".join(out)
+    out.append("".join(literal))
+    if tags and names[tags[0]][0] in (2, 4):
+        out[0] = out[0].lstrip(" ")
+    return out
+
+
+def fill(parts: list[str | int], texts: list[str], first_text: int) -> str:
+    """A template with its texts, taken in order from ``first_text``."""
+    out, t = [], first_text
+    for p in parts:
+        if p.__class__ is str:
+            out.append(p)
+        else:
+            value = texts[t]
+            t += 1
+            if "&" in value or "<" in value or ">" in value or p == _VALUE and ('"' in value or "'" in value):
+                value = escape(value, quote=p == _VALUE)
+            out.append(value)
+    return "".join(out)
+
+
+def render(tags: list[int], names: list[tuple[int, str]], texts: list[str], first_text: int) -> str:
+    return fill(template(tags, names), texts, first_text)
+
+
+class Renderer:
+    """Renders stretches of tags; short ones that come again share their template."""
+
+    SHORT, MOST = 96, 20_000
+
+    def __init__(self, names: list[tuple[int, str]], texts: list[str]):
+        self.names, self.texts, self.known = names, texts, {}
+
+    def __call__(self, tags: np.ndarray, begin: int, end: int, first_text: int) -> str:
+        own = tags[begin:end]
+        if end - begin > self.SHORT:
+            return fill(template(own.tolist(), self.names), self.texts, first_text)
+        key = own.tobytes()
+        parts = self.known.get(key)
+        if parts is None:
+            if len(self.known) > self.MOST:
+                self.known.clear()
+            parts = self.known[key] = template(own.tolist(), self.names)
+        return fill(parts, self.texts, first_text)

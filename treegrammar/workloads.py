@@ -95,7 +95,7 @@ DOCUMENTS = {
     "prose_words": ("prose", "//sent/*", "SELECT doc_id, CAST(len(list_filter(regexp_split_to_array(text, '[ \\t\\n\\x0B\\f\\r]+'), lambda w: w <> '')) AS BIGINT) AS n FROM documents"),
 }
 
-_INDEXES: dict[tuple, str] = {}
+_INDEXES: dict[tuple, object] = {}
 
 
 def index(spark, sf_dir: str, name: str, compressor: str = "pairs", max_rank: int = 2, shard_nodes: int | None = None):
@@ -106,9 +106,8 @@ def index(spark, sf_dir: str, name: str, compressor: str = "pairs", max_rank: in
     key = (spark.sparkContext.applicationId, sf_dir, name, compressor, max_rank, shard_nodes)
     if key not in _INDEXES:
         path = new_path(spark, f"index-{name}")
-        TreeIndex.build(spark, carrier(spark, name, sf_dir), path, compressor, max_rank, shard_nodes or SHARD_NODES)
-        _INDEXES[key] = path
-    return TreeIndex.load(spark, _INDEXES[key])
+        _INDEXES[key] = TreeIndex.build(spark, carrier(spark, name, sf_dir), path, compressor, max_rank, shard_nodes or SHARD_NODES)
+    return _INDEXES[key]
 
 
 _NODES: dict[tuple, str] = {}
