@@ -30,8 +30,6 @@ from pyspark.sql import functions as F
 #: Positions that count, of windows of up to twelve words; the last mask is for short items and dense edits.
 MASKS = ((0, 1, 3, 4, 6, 7, 9, 10), (0, 1, 2, 4, 7, 9, 10, 11), (0, 2, 3, 5, 6, 8, 10, 11), (0, 1, 2, 3, 4, 5), (0, 2, 3, 4, 6, 7))
 MIN_WORDS, MIN_SHARE, MIN_ITEM_WORDS = 12, 0.8, 8
-#: Cost of a substitution against one equal word, and the loss at which the walk to a side ends.
-MISMATCH, DROP = 2, 8
 BLOCK_WORDS = 400_000
 _WORD = re.compile(r"[^\W_]+")
 
@@ -88,7 +86,7 @@ class TestBlock:
         ids = np.array([known.get(w, 0) for w in words(text)], np.uint64)
         if len(ids) < MIN_ITEM_WORDS or np.count_nonzero(ids) < 6:
             return []
-        seeds: set[tuple[int, int, int]] = set()
+        seeds: set[tuple[int, int]] = set()
         for mask, (hashes, item, at), unique in zip(MASKS, self.tables, self.unique, strict=True):
             mine = window_hashes(ids, mask)
             if not len(mine) or not len(unique):
@@ -98,37 +96,35 @@ class TestBlock:
             spot = spot[(found < len(unique)) & (unique[np.minimum(found, len(unique) - 1)] == mine[spot])]
             for p in spot.tolist():
                 for k in range(int(np.searchsorted(hashes, mine[p], "left")), int(np.searchsorted(hashes, mine[p], "right"))):
-                    seeds.add((int(item[k]), p - int(at[k]), p))
+                    seeds.add((int(item[k]), p - int(at[k])))
         best: dict[int, tuple[int, int, int, int, int]] = {}
-        done: dict[tuple[int, int], int] = {}
-        for i, shift, p in sorted(seeds):
-            if done.get((i, shift), -1) >= p:
-                continue
+        for i, shift in sorted(seeds):
             item_id, own = self.items[i]
             lo, hi = max(0, shift), min(len(ids), shift + len(own))
-            equal = ids[lo:hi] == own[lo - shift : hi - shift]
-            start, end = _extend(equal, p - lo)
-            done[i, shift] = lo + end
-            n = int(np.count_nonzero(equal[start:end]))
-            if n >= min(min_words, int(np.ceil(0.9 * len(own)))) and n >= min_share * (end - start):
+            start, end, n = densest(ids[lo:hi] == own[lo - shift : hi - shift], min_share)
+            if n >= min(min_words, int(np.ceil(0.9 * len(own)))):
                 row = (item_id, n, end - start, lo + start, lo - shift + start)
                 if i not in best or (-n, row[3]) < (-best[i][1], best[i][3]):
                     best[i] = row
         return [best[i] for i in sorted(best)]
 
 
-def _extend(equal: np.ndarray, p: int) -> tuple[int, int]:
-    """The best stretch around p: to each side, the end at which equal words less the cost of substitutions is largest."""
-
-    def reach(side: np.ndarray) -> int:
-        if not len(side):
-            return 0
-        score = np.cumsum(np.where(side, 1, -MISMATCH))
-        lost = np.flatnonzero(np.maximum.accumulate(np.maximum(score, 0)) - score > DROP)
-        score = score[: lost[0]] if len(lost) else score
-        return int(np.argmax(score)) + 1 if len(score) and score.max() > 0 else 0
-
-    return p - reach(equal[:p][::-1]), p + reach(equal[p:])
+def densest(equal: np.ndarray, min_share: float) -> tuple[int, int, int]:
+    """Start, end and equal words of the stretch with most equal words among those with a share of at least ``min_share``.
+
+    With a weight of 1 - share for an equal word and -share for another, such stretches have a sum of zero or more; for every
+    start the furthest end is best, found in the running maximum from the right."""
+    if not equal.any():
+        return 0, 0, 0
+    total = np.concatenate([[0.0], np.cumsum(np.where(equal, 1 - min_share, -min_share))]) + 0.0
+    ahead = np.maximum.accumulate(total[::-1])[::-1]
+    ends = len(ahead) - 1 - np.searchsorted(ahead[::-1], total - 1e-9, side="left")
+    count = np.concatenate([[0], np.cumsum(equal)])
+    n = count[ends] - count
+    start = int(np.argmax(n))
+    end = int(ends[start])
+    inside = np.flatnonzero(equal[start:end])
+    return start + int(inside[0]), start + int(inside[-1]) + 1, int(n[start])
 
 
 def _blocks(tests: DataFrame) -> Iterator[list[tuple[int, str]]]:

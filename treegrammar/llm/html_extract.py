@@ -33,7 +33,7 @@ from treegrammar.llm.recurrent import Adam, BiLstm
 PATH_BITS, WORD_BITS, MEASURES, HIDDEN = 160, 48, 8, 16
 WIDTH = PATH_BITS + WORD_BITS + MEASURES
 #: Pages of the training sample, bytes of html that it may hold for each, generated pages, and training steps.
-PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 360, 260, 24, 48
+PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 500, 420, 24, 64
 
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|svg|math|iframe|object|textarea|select)\b[^>]*>.*?(?:</\1\s*>|\Z)"
@@ -242,13 +242,15 @@ def generated_page(rng: np.random.Generator, sentences: list[str]) -> tuple[str,
         else:
             comments()
 
-    def body(deep: int = 0) -> None:
+    def body() -> None:
         if rng.random() < 0.8:
-            put(f"<h1>{short()} {short()}</h1>", 1)
-        for _ in range(int(rng.integers(1, 9))):
+            inner = rng.random() < 0.2  # an article may have a header of its own
+            put(("<header>" if inner else "") + f"<h1>{short()} {short()}</h1>" + ("</header>" if inner else ""), 1)
+        brief = rng.random() < 0.2
+        for _ in range(int(rng.integers(20, 70) if rng.random() < 0.2 else rng.integers(1, 9))):
             kind = rng.random()
             if kind < 0.72:
-                put(f"<p>{pick('', '<b>')}{text(int(rng.integers(1, 6)))}" + pick("</p>", "</p>", "<br></p>"), 1)
+                put(f"<p>{pick('', '<b>')}{short() if brief else text(int(rng.integers(1, 6)))}" + pick("</p>", "</p>", "<br></p>"), 1)
             elif kind < 0.8:
                 put(f"<h2>{short()}</h2>", 1)
             elif kind < 0.87:
@@ -262,7 +264,9 @@ def generated_page(rng: np.random.Generator, sentences: list[str]) -> tuple[str,
     for kind in ("notice", "header", "menu", "ad", "side"):
         if rng.random() < 0.45:
             boiler(kind)
-    wrap(pick("article", "main", 'div class="content"', 'div id="content"', 'div class="post-body"', 'div class="entry"', 'section class="story"', 'div role="main"', "div", 'div class="article"'), body)
+    holder = pick("article", "article", "main", 'div class="content"', 'div id="content"', 'div class="post-body"', 'div class="entry"', 'section class="story"', 'div role="main"', "div", 'div class="article"')
+    for _ in range(int(rng.integers(2, 20)) if rng.random() < 0.15 else 1):  # a page may hold several articles
+        wrap(holder, body)
     for kind in ("comments", "side", "form", "ad", "footer"):
         if rng.random() < 0.4:
             boiler(kind)
