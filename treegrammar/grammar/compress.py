@@ -79,9 +79,11 @@ class Tree:
         return Grammar(self.names, r[:, 0], r[:, 1], r[:, 2], np.array(self.rank, np.int64), self.sym[at], np.append(roots, len(at)).astype(np.int64), self.open_end)
 
 
-def pairs(names, events, doc_start, open_end=False, max_rank: int = 2, batch: int = 48, prune: bool = False, max_rounds: int = 400) -> Grammar:
+def pairs(names, events, doc_start, open_end=False, max_rank: int = 2, batch: int = 48, prune: bool = False, max_rounds: int = 400, before=None) -> Grammar:
     """Pair replacement under a rank bound; ties go to the smaller triple, so builds repeat exactly."""
     tree = Tree(names, events, doc_start, open_end, max_rank)
+    if before is not None:
+        before(tree)
     for _ in range(max_rounds):
         v, key = tree.edges()
         if not len(v):

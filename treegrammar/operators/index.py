@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from treegrammar.grammar.compress import COMPRESSORS
+from treegrammar.grammar.dictionary import pairs_with, train
 from treegrammar.grammar.model import Grammar, pack, unpack
 from treegrammar.shared import new_path, written
 from treegrammar.sources.carriers import Carrier, Spine
@@ -72,7 +73,7 @@ def start_parentheses(g: Grammar) -> np.ndarray:
     return out
 
 
-def shard_row(key: tuple, rows: list[tuple[int, str | None]], policy: str, spine: bool, compressor: str, max_rank: int) -> dict:
+def shard_row(key: tuple, rows: list[tuple[int, str | None]], policy: str, spine: bool, compressor: str, max_rank: int, rules: list | None = None) -> dict:
     """One index row of the records of a shard, in order. With a spine they form a single run of siblings."""
     t0 = time.perf_counter()
     forest = forest_of(rows, policy)
@@ -80,7 +81,8 @@ def shard_row(key: tuple, rows: list[tuple[int, str | None]], policy: str, spine
     if spine:
         doc_start = np.array([0, len(events)], np.int64)
     t1 = time.perf_counter()
-    g = COMPRESSORS[compressor](forest.names, events, doc_start, spine, max_rank)
+    compress = COMPRESSORS[compressor] if rules is None else pairs_with(rules)
+    g = compress(forest.names, events, doc_start, spine, max_rank)
     t2 = time.perf_counter()
     chunk = {}
     for kind in ("elem", "text"):
@@ -98,6 +100,26 @@ def shard_row(key: tuple, rows: list[tuple[int, str | None]], policy: str, spine
     return row
 
 
+#: Records that a dictionary is learned from, about, and characters of markup at most.
+SAMPLE_RECORDS, SAMPLE_CHARS = 400, 8_000_000
+
+
+def learn_dictionary(records: DataFrame, policy: str, size: int, max_rank: int) -> list:
+    """Rules learned on a sample of records that a hash of their keys chooses."""
+    n = records.count()
+    draw = F.pmod(F.xxhash64("section", "ord"), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    chosen = records.where((draw < min(1.0, SAMPLE_RECORDS / max(1, n))) & F.col("content").isNotNull()).select("section", "ord", "content")
+    rows, held = [], 0
+    for r in chosen.toLocalIterator():
+        held += len(r["content"])
+        if held > SAMPLE_CHARS:
+            break
+        rows.append((r["section"], r["ord"], r["content"]))
+    forest = forest_of([(k, c) for k, (_, _, c) in enumerate(sorted(rows))], policy)
+    events, doc_start = forest.arrays()
+    return train(forest.names, events, doc_start, size, max_rank)
+
+
 def load_shard(row: dict) -> Grammar:
     """The grammar of an index row that has at least the columns ``CORE``."""
     names = list(zip(map(int, row["kinds"]), row["names"], strict=True))
@@ -141,16 +163,19 @@ class TreeIndex:
     # Build, save, load
 
     @staticmethod
-    def build(spark: SparkSession, source: Carrier, path: str | None = None, compressor: str = "pairs", max_rank: int = 2, shard_nodes: int = SHARD_NODES) -> TreeIndex:
-        """Compress the carrier's records into shards and write them; one shuffle by shard."""
+    def build(spark: SparkSession, source: Carrier, path: str | None = None, compressor: str = "pairs", max_rank: int = 2, shard_nodes: int = SHARD_NODES, dictionary: int = 0) -> TreeIndex:
+        """Compress the carrier's records into shards and write them; one shuffle by shard.
+
+        With ``dictionary`` so many rules are learned on a sample of records first, of bounded size, and applied to all shards."""
         has_spine, policy, name = source.spine is not None, source.policy, source.name
         records = written(spark, source.records, f"records-{name}") if source.costly else source.records
         numbered = assign_shards(records, shard_nodes)
+        rules = learn_dictionary(records, policy, dictionary, max_rank) if dictionary else None
 
         def make(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
             table = table.sort_by([("ord", "ascending")])
             rows = list(zip(table.column("doc_id").to_pylist(), table.column("content").to_pylist(), strict=True))
-            row = shard_row((name, *(k.as_py() for k in key)), rows, policy, has_spine, compressor, max_rank)
+            row = shard_row((name, *(k.as_py() for k in key)), rows, policy, has_spine, compressor, max_rank, rules)
             return pa.Table.from_pylist([row], schema=ARROW_SCHEMA)
 
         out = numbered.select("section", "shard_no", "ord", "doc_id", "content").groupBy("section", "shard_no").applyInArrow(make, SHARD_SCHEMA)

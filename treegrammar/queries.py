@@ -72,6 +72,62 @@ def _selectivity(spark: SparkSession, sf: str) -> DataFrame:
     return index(spark, sf, "market").selectivity("//keyword").select("n", "elements")
 
 
+@query("count_relational_reply_kw", DOCUMENTS["threads_reply_kw"][2])
+def _relational(spark: SparkSession, sf: str) -> DataFrame:
+    """The rule-wise run as joins, level by level."""
+    from treegrammar.operators.rulewise_relational import count
+
+    return count(index(spark, sf, "threads", "no_start"), "//reply//kw")
+
+
+for _name in ("threads_reply_kw", "log_click", "pages_ul_a"):
+    _carrier, _path, _sql = DOCUMENTS[_name]
+    query(f"count_{_name}_dictionary", _sql)(partial(lambda c, path, spark, sf: index(spark, sf, c, shard_nodes=20_000, dictionary=64).count(path, by="doc"), _carrier, _path))
+
+
+@query("count_many_tree", " UNION ALL ".join(f"SELECT '{n}' AS name, n FROM ({MARKET[n][1]})" for n in ("q03", "q05", "q07", "x1", "fsib_listitem")))
+def _many(spark: SparkSession, sf: str) -> DataFrame:
+    """Several paths answered in one pass over the shards."""
+    wanted = {MARKET[n][0]: n for n in ("q03", "q05", "q07", "x1", "fsib_listitem")}
+    names = spark.createDataFrame(list(wanted.items()), "path string, name string")
+    return index(spark, sf, "market").count_many(list(wanted)).join(names, "path").select("name", "n")
+
+
+@query("sql_xpath_count_html", DOCUMENTS["pages_ul_a"][2])
+def _udf(spark: SparkSession, sf: str) -> DataFrame:
+    """A path over markup in a column, without an index."""
+    from treegrammar.functions.tree_functions import xpath_count_html
+
+    return table(spark, sf, "pages").select(F.col("page_id").alias("doc_id"), xpath_count_html("html", F.lit("//ul//a")).alias("n"))
+
+
+@query("sql_shred_lateral", "SELECT page_id AS doc_id, CAST(len(regexp_extract_all(html, '<li[ >]')) AS BIGINT) AS n FROM pages WHERE html LIKE '%<li>%'")
+def _shred(spark: SparkSession, sf: str) -> DataFrame:
+    """The table function that shreds a page, joined laterally in SQL."""
+    from treegrammar.functions.tree_functions import register
+
+    register(spark)
+    table(spark, sf, "pages").createOrReplaceTempView("tree_pages")
+    return spark.sql("SELECT page_id AS doc_id, count(*) AS n FROM tree_pages, LATERAL shred(html) s WHERE s.label = 'li' AND s.kind = 0 GROUP BY page_id")
+
+
+@query("sql_xpath_results", "SELECT page_id AS doc_id, CAST(len(regexp_extract_all(html, '<h1>')) AS BIGINT) AS n FROM pages")
+def _xpath_results(spark: SparkSession, sf: str) -> DataFrame:
+    from treegrammar.functions.tree_functions import register
+
+    register(spark)
+    table(spark, sf, "pages").createOrReplaceTempView("tree_pages")
+    return spark.sql("SELECT page_id AS doc_id, count(*) AS n FROM tree_pages, LATERAL xpath_results(html, '//article/h1') r WHERE r.xml LIKE '<h1>%</h1>' GROUP BY page_id")
+
+
+@query("b6_market_records", MARKET["q07"][1])
+def _dom_market(spark: SparkSession, sf: str) -> DataFrame:
+    """The interpreter on each record of the giant document (the path selects nothing on the spine)."""
+    from treegrammar.sources.carriers import market
+
+    return dom.count(market(spark, sf).records.select("doc_id", F.col("content").alias("xml")), MARKET["q07"][0]).agg(F.sum("n").alias("n"))
+
+
 # Materialize
 
 #: Elements of each closed sale: itself, price, annotation, description, then its text with a keyword or its list.

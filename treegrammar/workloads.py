@@ -98,15 +98,15 @@ DOCUMENTS = {
 _INDEXES: dict[tuple, object] = {}
 
 
-def index(spark, sf_dir: str, name: str, compressor: str = "pairs", max_rank: int = 2, shard_nodes: int | None = None):
+def index(spark, sf_dir: str, name: str, compressor: str = "pairs", max_rank: int = 2, shard_nodes: int | None = None, dictionary: int = 0):
     """The index of a carrier, built once for each application, tables and variant."""
     from treegrammar.operators.index import SHARD_NODES, TreeIndex
     from treegrammar.sources.carriers import carrier
 
-    key = (spark.sparkContext.applicationId, sf_dir, name, compressor, max_rank, shard_nodes)
+    key = (spark.sparkContext.applicationId, sf_dir, name, compressor, max_rank, shard_nodes, dictionary)
     if key not in _INDEXES:
         path = new_path(spark, f"index-{name}")
-        _INDEXES[key] = TreeIndex.build(spark, carrier(spark, name, sf_dir), path, compressor, max_rank, shard_nodes or SHARD_NODES)
+        _INDEXES[key] = TreeIndex.build(spark, carrier(spark, name, sf_dir), path, compressor, max_rank, shard_nodes or SHARD_NODES, dictionary)
     return _INDEXES[key]
 
 
