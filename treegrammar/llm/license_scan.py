@@ -3,7 +3,8 @@
 Texts become words; every rolling three-word gram is hashed and joined to the gram positions of the license templates.
 A hit votes for the diagonal document position minus template position. Votes are summed by diagonal, neighbouring
 diagonals (a word added or lost moves the rest by one) are merged, and a merged span is verified: it must hold at least
-``MIN_COVER`` of the template's grams within a stretch that is not much longer than the template. A phrase that stands
+``MIN_COVER`` of the template's grams, or all of them for a template of fewer than ``SHORT`` grams (one word tells such
+licenses apart), within a stretch that is not much longer than the template. A phrase that stands
 word for word is a single diagonal with every gram of its template.
 
 The templates are a fixed list of a few hundred words, so their positions are broadcast. Texts are read once: each text
@@ -18,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-GRAM, MIN_COVER, NEAR, SLACK = 3, 0.8, 2, 1.5
+GRAM, MIN_COVER, SHORT, NEAR, SLACK = 3, 0.8, 12, 2, 1.5
 SENTINEL = 0
 #: The base phrases and their labels.
 BASE = (("mit", "under the mit license"), ("apache-2", "apache license version 2"), ("cc-by-nc", "cc by nc"))
@@ -84,7 +85,7 @@ def scan(docs: DataFrame) -> DataFrame:
     )
     cover = F.least(F.lit(1.0), F.col("votes") / F.col("grams"))
     fits = F.col("end") - F.col("start") + 1 <= SLACK * (F.col("grams") + GRAM - 1) + NEAR
-    found = real & ((F.col("places") > 0) | (cover >= MIN_COVER) & fits)
+    found = real & ((F.col("places") > 0) | (cover >= F.when(F.col("grams") < SHORT, 1.0).otherwise(MIN_COVER)) & fits)
     joined = lambda c: F.concat_ws(",", F.array_sort(F.collect_set(c)))
     out = spans.groupBy("row", "doc_id", "n_words").agg(
         F.sum("places").cast("long").alias("n_base"), F.min("first").cast("long").alias("first_word"), F.max("last").cast("long").alias("last_word"),
