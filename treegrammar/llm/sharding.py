@@ -4,8 +4,9 @@ Equal texts form a group, which is never cut. A group has a weight (its bytes) a
 language, source, and position in the table. Starting from one node, all nodes of a level are split together: each along
 the dimension in which it is widest, at the weighted median of its groups. The median is found by radix selection over
 order keys (the coordinate, then a hash of the text for ties): a round sums the weights of at most 2**``RADIX`` bins a
-node, so the driver sees a bounded histogram, and stops when the bin on the median is light enough. With a number of
-shards that is no power of two the weights are cut in proportion.
+node, finds the bin on the median in a window over these bins, and stops when that bin is light enough. The tree itself is a
+table with a row for each node, so neither the number of shards nor of bins bears on the driver. With a number of shards
+that is no power of two the weights are cut in proportion.
 
 Slots: rows of a shard are numbered within hash chunks whose number grows with the table, and the chunk counts are
 summed up, so no task ever orders a whole shard.
@@ -17,8 +18,6 @@ near equal unless a single group outweighs a shard, since equal texts stay toget
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
-
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -31,18 +30,6 @@ CHUNK_ROWS = 20_000
 DIMENSIONS = ("x_size", "x_lang", "x_source", "x_place")
 
 
-@dataclass
-class Node:
-    first: int
-    shards: int
-    weight: int = 0
-    dim: int = 0
-    prefix: int = 0
-    below: int = 0  # weight of the keys below the current prefix
-    cut: int | None = None
-    spread: list[float] = field(default_factory=list)
-
-
 def _fraction(value: Column) -> Column:
     return F.coalesce(F.pmod(F.xxhash64(value), F.lit(1 << 20)) / F.lit(float(1 << 20)), F.lit(0.0))
 
@@ -76,70 +63,49 @@ def _key(dim: Column) -> Column:
     return F.shiftleft(F.floor(x * float(1 << 24)).cast("long"), 32).bitwiseOR(F.col("tie").bitwiseAND(0xFFFFFFFF))
 
 
-def _of(node: Column, values: dict[int, int]) -> Column:
-    return F.coalesce(*[F.when(node == k, F.lit(v).cast("long")) for k, v in values.items()])
-
-
-def split_level(spark: SparkSession, groups: DataFrame, nodes: dict[int, Node]) -> DataFrame:
-    """Split every node that has more than one shard; groups get the number of their new node."""
-    live = {k: n for k, n in nodes.items() if n.shards > 1}
-    wide = [F.max(c) - F.min(c) for c in DIMENSIONS]
-    for r in groups.where(F.col("node").isin(list(live))).groupBy("node").agg(F.sum("weight").alias("w"), F.array(*wide).alias("spread")).collect():
-        n = live[r["node"]]
-        n.weight, n.spread = int(r["w"]), list(r["spread"])
-        n.dim = max(range(len(DIMENSIONS)), key=lambda k: (n.spread[k], -k))
+def split_level(spark: SparkSession, groups: DataFrame, nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Split every node (node, first, shards) that has more than one shard; the groups' new nodes and the new tree level."""
+    spread = [(F.max(c) - F.min(c)).alias(f"s{k}") for k, c in enumerate(DIMENSIONS)]
+    widest = F.greatest(*[F.col(f"s{k}") for k in range(len(DIMENSIONS))])
+    dim = F.coalesce(*[F.when(F.col(f"s{k}") == widest, k) for k in range(len(DIMENSIONS))])
+    live = groups.join(nodes.where("shards > 1"), "node").groupBy("node", "first", "shards").agg(F.sum("weight").alias("total"), *spread)
+    want = F.col("total") * F.floor(F.col("shards") / 2) / F.col("shards")
+    cuts = live.select("node", "first", "shards", "total", dim.alias("dim"), want.alias("want"), F.lit(0).cast("long").alias("prefix"), F.lit(0).cast("long").alias("below"), F.lit(None).cast("long").alias("cut"))
+    cuts = written(spark, cuts, "kd-cuts")
     shift = KEY_BITS
     for _ in range(ROUNDS):
-        open_ = {k: n for k, n in live.items() if n.cut is None and n.weight}
-        if not open_:
+        open_ = cuts.where("cut is null")
+        if open_.isEmpty():
             break
-        key = _key(_of(F.col("node"), {k: n.dim for k, n in open_.items()}))
-        at = groups.where(F.col("node").isin(list(open_))).select("node", "weight", key.alias("key"))
-        if shift < KEY_BITS:
-            at = at.where(F.shiftright("key", shift) == _of(F.col("node"), {k: n.prefix for k, n in open_.items()}))
+        at = groups.join(open_.select("node", "dim", "prefix"), "node").withColumn("key", _key(F.col("dim"))).where(F.shiftright("key", shift) == F.col("prefix"))
         shift -= RADIX
         bins = at.groupBy("node", F.shiftright("key", shift).alias("bin")).agg(F.sum("weight").alias("w"))
-        own: dict[int, list[tuple[int, int]]] = {k: [] for k in open_}
-        for r in bins.collect():
-            own[r["node"]].append((r["bin"], int(r["w"])))
-        for k, n in open_.items():
-            want, total = n.weight * (n.shards // 2) / n.shards, n.below
-            for b, w in sorted(own[k]):
-                if total + w >= want:
-                    # The cut goes before or after this bin, whichever misses less; a heavy bin is opened further.
-                    if min(want - total, total + w - want) <= TOLERANCE * n.weight or shift <= 0:
-                        n.cut = (b if want - total <= total + w - want else b + 1) << shift
-                    n.prefix, n.below = b, total
-                    break
-                total += w
-    new, moves = {}, []
-    for k, n in nodes.items():
-        if n.shards == 1 or n.cut is None:
-            new[2 * k] = Node(n.first, 1 if n.shards == 1 or not n.weight else n.shards)
-            continue
-        left = n.shards // 2
-        new[2 * k], new[2 * k + 1] = Node(n.first, left), Node(n.first + left, n.shards - left)
-        moves.append(k)
-    nodes_col, step = F.col("node"), F.lit(0)
-    if moves:
-        key = _key(_of(nodes_col, {k: nodes[k].dim for k in moves}))
-        step = F.when(nodes_col.isin(moves), (key >= _of(nodes_col, {k: nodes[k].cut for k in moves})).cast("int")).otherwise(0)
-    nodes.clear()
-    nodes.update(new)
-    return groups.withColumn("node", (nodes_col * 2 + step).cast("int"))
+        upto = F.sum("w").over(Window.partitionBy("node").orderBy("bin"))  # at most 2**RADIX bins a node
+        hit = bins.withColumn("upto", upto).join(open_, "node").where(F.col("below") + F.col("upto") >= F.col("want")).groupBy("node").agg(F.min(F.struct("bin", "w", "upto")).alias("b"))
+        start = F.col("below") + F.col("b.upto") - F.col("b.w")
+        short, over = F.col("want") - start, start + F.col("b.w") - F.col("want")
+        # The cut goes before or after the bin, whichever misses less; a heavy bin is opened further.
+        done = (F.least(short, over) <= TOLERANCE * F.col("total")) | F.lit(shift <= 0)
+        place = F.shiftleft(F.col("b.bin") + F.when(short <= over, 0).otherwise(1), shift)
+        moved = open_.join(hit, "node").select("node", "first", "shards", "total", "dim", "want", F.col("b.bin").alias("prefix"), start.alias("below"), F.when(done, place).alias("cut"))
+        cuts = written(spark, cuts.where("cut is not null").unionByName(moved), "kd-cuts")
+    cut = cuts.where("cut is not null").select("node", "dim", "cut", F.floor(F.col("shards") / 2).cast("int").alias("left"))
+    step = F.when(F.col("cut").isNotNull(), (_key(F.col("dim")) >= F.col("cut")).cast("int")).otherwise(0)
+    groups = groups.join(cut.drop("left"), "node", "left").withColumn("node", F.col("node") * 2 + step).drop("dim", "cut")
+    below = nodes.join(cut.select("node", "left"), "node", "left")
+    part = F.explode(F.when(F.col("left").isNull(), F.array(F.struct(F.lit(0).alias("side"), F.col("first").alias("f"), F.lit(1).alias("n")))).otherwise(
+        F.array(F.struct(F.lit(0).alias("side"), F.col("first").alias("f"), F.col("left").alias("n")), F.struct(F.lit(1).alias("side"), (F.col("first") + F.col("left")).alias("f"), (F.col("shards") - F.col("left")).alias("n")))))
+    nodes = below.withColumn("p", part).select((F.col("node") * 2 + F.col("p.side")).alias("node"), F.col("p.f").cast("int").alias("first"), F.col("p.n").cast("int").alias("shards"))
+    return written(spark, groups, "kd-groups"), written(spark, nodes, "kd-nodes")
 
 
 def place_groups(spark: SparkSession, groups: DataFrame, shards: int) -> DataFrame:
-    """digest, none, shard of every group."""
-    nodes = {1: Node(0, shards)}
-    groups = groups.withColumn("node", F.lit(1))
-    while any(n.shards > 1 for n in nodes.values()):
-        before = {k: (n.first, n.shards) for k, n in nodes.items()}
-        groups = written(spark, split_level(spark, groups, nodes), "kd-level")
-        if {n.first: n.shards for n in nodes.values()} == {f: s for f, s in before.values()}:
-            break  # only empty or single-key nodes are left
-    shard = _of(F.col("node"), {k: n.first for k, n in nodes.items()}).cast("int")
-    return groups.select("digest", "none", shard.alias("shard"))
+    """digest, none, shard of every group. A node that cannot be split (it has no groups) keeps its first shard."""
+    groups = groups.withColumn("node", F.lit(1).cast("long"))
+    nodes = spark.range(1).select(F.lit(1).cast("long").alias("node"), F.lit(0).alias("first"), F.lit(shards).alias("shards"))
+    for _ in range((shards - 1).bit_length()):
+        groups, nodes = split_level(spark, groups, nodes)
+    return groups.join(nodes.select("node", F.col("first").alias("shard")), "node").select("digest", "none", "shard")
 
 
 def shard_documents(spark: SparkSession, docs: DataFrame, shards: int | None = 8, target_bytes: int | None = None) -> DataFrame:
