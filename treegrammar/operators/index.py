@@ -15,12 +15,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from treegrammar.grammar.compress import COMPRESSORS
 from treegrammar.grammar.dictionary import pairs_with, train
 from treegrammar.grammar.model import Grammar, pack, unpack
+from treegrammar.operators.prefix import before
 from treegrammar.shared import new_path, written
 from treegrammar.sources.carriers import Carrier, Spine
 from treegrammar.sources.markup import forest_of, node_table
@@ -54,8 +55,7 @@ def assign_shards(records: DataFrame, target_nodes: int = SHARD_NODES) -> DataFr
     stats = stats.select("section", "lo", F.floor(width).cast("long").alias("width"))
     placed = sized.join(F.broadcast(stats), "section").withColumn("bucket", F.floor((F.col("ord") - F.col("lo")) / F.col("width")))  # a row for each section
     buckets = placed.groupBy("section", "bucket").agg(F.sum("size").alias("n"))
-    before = F.sum("n").over(Window.partitionBy("section").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1))
-    numbered = buckets.select("section", "bucket", F.floor(F.coalesce(before, F.lit(0)) / target_nodes).alias("shard_no"))
+    numbered = before(buckets, "section", "bucket", {"nodes_before": "n"}).select("section", "bucket", F.floor(F.col("nodes_before") / target_nodes).alias("shard_no"))
     return placed.join(numbered, ["section", "bucket"]).drop("size", "lo", "width", "bucket")
 
 
@@ -314,12 +314,10 @@ class TreeIndex:
 
     def offsets(self, plan: SpinePlan) -> DataFrame:
         """(section, shard_no, e0, n0, t0): elements, nodes and texts of the giant document before each shard."""
-        totals = self.totals()
-        bases = plan.bases(totals)
-        w = Window.partitionBy("section").orderBy("shard_no").rowsBetween(Window.unboundedPreceding, -1)
-        before = lambda c: F.coalesce(F.sum(c).over(w), F.lit(0))
+        bases = plan.bases(self.totals())
         at = lambda k: F.coalesce(*[F.when(F.col("section") == s, F.lit(b[k])) for s, b in bases.items()], F.lit(0)).cast("long")
-        return self.shards.select("section", "shard_no", "n_elem", "n_node", "n_text").select("section", "shard_no", (before("n_elem") + at(0)).alias("e0"), (before("n_node") + at(1)).alias("n0"), (before("n_text") + at(2)).alias("t0"))
+        sums = before(self.shards.select("section", "shard_no", "n_elem", "n_node", "n_text"), "section", "shard_no", {"e": "n_elem", "n": "n_node", "t": "n_text"})
+        return sums.select("section", "shard_no", (F.col("e") + at(0)).alias("e0"), (F.col("n") + at(1)).alias("n0"), (F.col("t") + at(2)).alias("t0"))
 
     def _placed(self, src: DataFrame, a: Automaton | None, plan: SpinePlan) -> tuple[DataFrame, dict | None]:
         """Where the shards of a giant document stand and in which state they are entered: a short table that is shipped
