@@ -32,6 +32,8 @@ from treegrammar.llm.holdout import held_out
 
 #: Examples a class at most, terms of the vocabulary at most, neighbours, examples a block.
 MAX_EXAMPLES, MAX_TERMS, K, BLOCK = 3000, 1024, 15, 32
+#: Counts from which a term that occurs so often is a term of its own, as the cosine knows no lengths.
+REPEATS = (2, 4)
 #: Letters of the word beginnings that are terms of their own; the least z-score of a term, share of the toxic
 #: examples that hold it, and number of examples: words that a few copies of one text share say nothing of its label.
 BEGINNINGS, LEAST_Z, LEAST_SHARE, LEAST_DF = (4, 5, 6), 5.0, 0.008, 3
@@ -39,15 +41,22 @@ _WORD = re.compile(r"[^\W\d_]+")
 
 
 def term_counts(text: str | None, vocab: dict[str, int] | None = None) -> dict:
-    """How often each term occurs: words, and beginnings marked with a trailing ``-``; only those of vocab if given."""
+    """How often each term occurs: words, beginnings marked with a trailing ``-``, and either with ``*k`` where it occurs
+    at least k times; only those of vocab, by number, if given."""
     words = Counter(_WORD.findall((text or "").lower()))
-    out: Counter = Counter()
+    plain: Counter = Counter()
     for w, n in words.items():
         if vocab is None or w in vocab:
-            out[w if vocab is None else vocab[w]] += n
+            plain[w] += n
         for k in BEGINNINGS:
             if len(w) > k and (vocab is None or w[:k] + "-" in vocab):
-                out[w[:k] + "-" if vocab is None else vocab[w[:k] + "-"]] += n
+                plain[w[:k] + "-"] += n
+    out: Counter = Counter()
+    for t, n in plain.items():
+        out[t if vocab is None else vocab[t]] += n
+        for k in REPEATS:
+            if n >= k and (vocab is None or f"{t}*{k}" in vocab):
+                out[f"{t}*{k}" if vocab is None else vocab[f"{t}*{k}"]] += 1
     return out
 
 
@@ -99,6 +108,8 @@ class Neighbours:
                 if z >= LEAST_Z:
                     ranked.append((-z, t))
         ranked = sorted(ranked)[:MAX_TERMS]
+        chosen = {t for _, t in ranked}
+        ranked = [r for r in ranked if "*" not in r[1] or r[1].split("*")[0] in chosen]  # a repeat is looked up by its term
         self.vocab = {t: i for i, (_, t) in enumerate(ranked)}
         # Inverse document frequency under the true share of labels, not that of the balanced sample.
         rate = [self.share * df[1][t] / max(n1, 1) + (1 - self.share) * df[0][t] / max(n0, 1) for _, t in ranked]
