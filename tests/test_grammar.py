@@ -6,9 +6,11 @@ import pytest
 from tests.helpers import forest
 from treegrammar.grammar import compress
 from treegrammar.grammar.model import Grammar, GrammarLimitError, pack, unpack
+from treegrammar.grammar.normal_form import general, inline_single, normal_form
 from treegrammar.operators.index import start_parentheses
 from treegrammar.queries import WORKED
 from treegrammar.sources.markup import forest_of
+from treegrammar.texts import TextBuffer
 
 
 def same_trees(g: Grammar, events, doc_start) -> None:
@@ -108,3 +110,28 @@ def test_pairs_beat_shared_subtrees_on_records():
     ev, ds = f.arrays()
     edges = {c: compress.COMPRESSORS[c](f.names, ev, ds).edges() for c in ("pairs", "dag", "one_rule")}
     assert edges["pairs"] <= edges["dag"] < edges["one_rule"] / 5
+
+
+def test_normal_form_bounds():
+    """The normal form generates the same trees; its size grows by the rank at most, and rules are at most twice the size."""
+    rng = random.Random(21)
+    for k in range(40):
+        f = forest(rng, rng.randint(1, 3), 120)
+        ev, ds = f.arrays()
+        g = compress.pairs(f.names, ev, ds, k % 3 == 0, max_rank=rng.choice([1, 2, 3, 8]))
+        big = inline_single(general(g))
+        h = normal_form(big)
+        same_trees(h, ev, ds)
+        r = max((big.rank[v] for v in big.rules), default=0)
+        assert h.n_rules <= 2 * max(1, big.edges()) and h.edges() <= (1 + r) * max(1, big.edges()) + len(big.rules)
+        assert h.rank[h.first_rule :].max(initial=0) <= max(2, r + 2)
+        assert len(big.rules) <= g.n_rules and big.edges() <= g.edges()
+        same = normal_form(general(g))
+        same_trees(same, ev, ds)
+
+
+def test_text_buffer():
+    t = TextBuffer(["", "a", "äö", "x" * 500])
+    assert [t[i] for i in range(4)] == ["", "a", "äö", "x" * 500] and len(t) == 4 and t.bytes() > 500
+    with pytest.raises(IndexError):
+        t[4]

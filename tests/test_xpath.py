@@ -69,3 +69,17 @@ def test_lazy_transition_agrees_with_tables():
     for k, (kind, name) in enumerate(a.classes):
         hits = tuple(s.matches(kind, name or "\0other") for s in a.steps)
         assert transition(a.steps, (0,), hits)[0] == a.selects[a.initial, k]
+
+
+def test_simple_paths_match_like_a_string_search_along_first_children():
+    """Reading labels down a chain of first children, //a1/../an selects exactly where the last n labels are a1..an."""
+    rng = random.Random(6)
+    for _ in range(60):
+        word = [rng.choice("ab") for _ in range(rng.randint(1, 5))]
+        a = compile_path("//" + "/".join(word))
+        chain = [rng.choice("abc") for _ in range(40)]
+        q = a.initial
+        for k, label in enumerate(chain):
+            c = int(a.classify([(0, label)])[0])
+            assert a.selects[q, c] == (chain[max(0, k + 1 - len(word)) : k + 1] == word)
+            q = a.to_down[q, c]

@@ -125,22 +125,10 @@ def pairs(names, events, doc_start, open_end=False, max_rank: int = 2, batch: in
 
 
 def pruned(g: Grammar) -> Grammar:
-    """Rules that are used once are dissolved into their user and put back in normal form; unused rules go."""
-    uses = np.bincount(np.concatenate([g.outer, g.inner, g.start]), minlength=g.first_rule + g.n_rules)
-    while True:
-        dead = [k for k in range(g.n_rules) if uses[g.first_rule + k] == 0]
-        fresh = [k for k in dead if uses[g.outer[k]] >= 0 and not g.tables.get(("gone", k))]
-        if not fresh:
-            break
-        for k in fresh:
-            g.tables["gone", k] = True
-            uses[g.outer[k]] -= 1
-            uses[g.inner[k]] -= 1
-    keep = [k for k in range(g.n_rules) if uses[g.first_rule + k] > 0]
-    new = {s: s for s in range(g.first_rule)} | {g.first_rule + k: g.first_rule + j for j, k in enumerate(keep)}
-    outer, inner = np.array([new[int(g.outer[k])] for k in keep], np.int64), np.array([new[int(g.inner[k])] for k in keep], np.int64)
-    rank = np.concatenate([g.rank[: g.first_rule], g.rank[[g.first_rule + k for k in keep]]]) if keep else g.rank[: g.first_rule]
-    return Grammar(g.names, outer, g.hole[keep] if keep else np.empty(0, np.int64), inner, rank, np.array([new[int(s)] for s in g.start], np.int64), g.doc_start, g.open_end)
+    """Rules that are used once are dissolved into their user, and what is left is put back in normal form."""
+    from treegrammar.grammar.normal_form import general, inline_single, normal_form
+
+    return normal_form(inline_single(general(g)))
 
 
 def dag(names, events, doc_start, open_end=False, max_rank: int = 2) -> Grammar:

@@ -291,8 +291,12 @@ class TreeIndex:
         rows = [r.asDict() for r in self.shards.select(*CORE).toLocalIterator()]
         return Resident(self, [(r["section"], r["shard_no"], load_shard(r)) for r in sorted(rows, key=lambda r: (r["section"], r["shard_no"]))])
 
-    def label_count(self, label: str) -> DataFrame:
-        return self.count(f"//{label}")
+    def label_count(self, label: str, within: tuple[int, int, int] | None = None) -> DataFrame:
+        """(n) of the elements with a label, of all documents or of a subtree: document, structure number and size."""
+        if within is None:
+            return self.count(f"//{label}")
+        doc, node, size = within
+        return self.materialize(f"//{label}").where((F.col("doc_id") == doc) & F.col("node").between(node, node + size - 1)).agg(F.count("*").alias("n"))
 
     def selectivity(self, path: str) -> DataFrame:
         """(n, elements, fraction): the exact share of elements that a path selects."""
@@ -566,6 +570,30 @@ class TreeIndex:
 
         return self.shards.select(*CORE).mapInArrow(run, "carrier string, section int, shard_no long, " + STATS_SCHEMA)
 
+    def actual_bytes(self) -> DataFrame:
+        """Bytes of the stored arrays of each component, and of the texts, next to the model of ``stats``."""
+        size = lambda c, w: F.sum(F.coalesce(F.size(c), F.lit(0)) * w).cast("long")
+        return self.shards.agg(
+            size("rules", 8).alias("rules"), size("start", 4).alias("start"), size("start_close", 4).alias("shape_explicit"), F.sum(F.octet_length("start_bp")).alias("shape_parentheses"), size("jump", 8).alias("jump"),
+            size("elem_chunks", 4).alias("element_map"), size("text_chunks", 4).alias("text_map"), size("skip_elem", 4).alias("skip"), F.sum("text_bytes").alias("texts"),
+        )
+
+    def build_report(self) -> DataFrame:
+        """Seconds of each stage over all shards, the slowest shard, and the largest worker."""
+        return self.shards.agg(*[F.sum(c).alias(c) for c in ("t_structure", "t_compress", "t_tables")], F.max(F.col("t_structure") + F.col("t_compress") + F.col("t_tables")).alias("slowest_shard"), F.max("peak_mb").alias("peak_mb"))
+
+    def normal_form_shapes(self) -> DataFrame:
+        """What the binary normal form does to each shard's grammar: rules, edges, depth and rank before and after."""
+        from treegrammar.grammar.normal_form import shapes
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for row in _shards(batches):
+                s = shapes(load_shard(row))
+                yield _batch([(row["section"], row["shard_no"], *s.values())], ["section", "shard_no", *s], [pa.int32(), pa.int64(), *[pa.float64() if k == "growth_percent" else pa.int64() for k in s]])
+
+        schema = "section int, shard_no long, start long, rules_before long, rules_after long, depth_before long, depth_after long, edges_before long, edges_after long, growth_percent double, rank_before long, rank_after long"
+        return self.shards.select(*CORE).mapInArrow(run, schema)
+
     def cached(self) -> TreeIndex:
         self.shards = written(self.spark, self.shards, "index-copy")
         return self

@@ -319,6 +319,44 @@ def _visits(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+@query("traversal_structures")
+def _structures(spark: SparkSession, sf: str) -> DataFrame:
+    """Seven structures of a document of growing size: bytes and visited nodes in both orders and modes (no oracle: the sizes are the result)."""
+    from treegrammar.baselines.trees import structures, traverse
+    from treegrammar.sources.carriers import log
+    from treegrammar.sources.markup import forest_of
+    from treegrammar.views.nodewise import Cursor
+
+    users = [r["content"] for r in log(spark, sf).records.orderBy("doc_id").limit(8).collect()]  # eight documents are the workload
+    rows = []
+    for k in (1, 2, 4, 8):
+        f = forest_of([(0, "<users>" + "".join(users[:k]) + "</users>")])
+        for name, (tree, root, size) in structures(f.arrays()[0], f.names).items():
+            walk = tree.traverse if isinstance(tree, Cursor) else (lambda r, o, m, tree=tree: traverse(tree, r, o, m))
+            got = {(o, m): walk(root, o, m) for o in ("dflr", "dfrl") for m in ("rec", "iter")}
+            same = got["dflr", "rec"] == got["dflr", "iter"] and got["dfrl", "rec"] == got["dfrl", "iter"]
+            rows.append((k, name, size, got["dflr", "rec"][0], same))
+    return spark.createDataFrame(rows, "users int, structure string, bytes long, visited long, orders_agree boolean")
+
+
+@query("normal_form_growth")
+def _growth(spark: SparkSession, sf: str) -> DataFrame:
+    """Rules, edges and depth before and after the binary normal form, by carrier (no oracle: the sizes are the result)."""
+    out = None
+    for c in ("market", "threads", "pages", "log", "vectors"):
+        s = index(spark, sf, c).normal_form_shapes().agg(*[F.sum(k).alias(k) for k in ("start", "rules_before", "rules_after", "edges_before", "edges_after")], F.max("depth_before").alias("depth_before"), F.max("depth_after").alias("depth_after"))
+        one = s.withColumn("carrier", F.lit(c))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("label_within_europe", MARKET["q03"][1])
+def _within(spark: SparkSession, sf: str) -> DataFrame:
+    """A label query restricted to a subtree."""
+    top = nodes(spark, sf, "market").where("path = '/site/regions/europe'").select("node", "size").first()
+    return index(spark, sf, "market").label_count("keyword", (0, top["node"], top["size"]))
+
+
 def entry(spark: SparkSession, sf: str) -> DataFrame:
     """The flagship query: words of nested replies, counted on the grammars, one row for each thread."""
     return index(spark, sf, "threads").count("//reply//kw", by="doc")
