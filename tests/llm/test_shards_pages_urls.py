@@ -114,10 +114,13 @@ def test_extraction_of_the_given_pages(spark):
     assert exact == len(got)
 
 
-def test_page_edges(spark, labeller):
+def test_page_edges(spark, labeller, monkeypatch):
     rows = [(1, "u", None, 1), (2, None, "", 2), (3, "u", "<article><p>Text here.</p></article>" * 3000, 3), (3, "u", "<", 3)]
     got = html_extract.extract(spark, spark.createDataFrame(rows, "page_id long, url string, html string, text int"), labeller).collect()
     assert len(got) == 4 and all(r["text"] is not None for r in got)
+    monkeypatch.setattr(html_extract, "STRETCH", 700)
+    again = labeller.main_texts([rows[2][2], rows[0][2], rows[3][2]])
+    assert again[0].count("Text here.") == 3000 and again[1] == ""
     assert next(r for r in got if r["n_chars"] > 1000)["text"].count("Text here.") == 3000
     assert html_extract.extract(spark, spark.createDataFrame([], "page_id long, url string, html string"), labeller).count() == 0
     assert html_extract.fit(spark, spark.createDataFrame([], "page_id long, url string, html string")) is not None

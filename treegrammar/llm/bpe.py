@@ -24,8 +24,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: Words whose encodings a worker keeps; the cache starts anew beyond that.
-CACHE_WORDS = 1_500_000
+#: Words whose encodings, and pairs of tokens whose border a worker keeps; either cache starts anew beyond that.
+CACHE_WORDS, CACHE_PAIRS = 800_000, 1_500_000
 #: The byte-level pre-tokenization pattern; white space as Unicode defines it.
 _SPACE = r"\p{White_Space}"
 PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|{_SPACE}+(?!\P{{White_Space}})|{_SPACE}+"
@@ -90,7 +90,7 @@ class Bpe:
                         break
                 if not got:
                     break
-            if len(self.apart) > 4_000_000:
+            if len(self.apart) > CACHE_PAIRS:
                 self.apart.clear()
             self.apart[key] = got
         return got

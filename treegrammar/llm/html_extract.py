@@ -35,6 +35,9 @@ WIDTH = PATH_BITS + WORD_BITS + MEASURES
 #: Pages of the training sample, bytes of html that it may hold for each, generated pages, and training steps.
 PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 500, 420, 24, 64
 
+#: Blocks that are read in one stretch; only larger pages are read in several, each with its own context.
+STRETCH = 20_000
+
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|svg|math|iframe|object|textarea|select)\b[^>]*>.*?(?:</\1\s*>|\Z)"
     r"|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>|<[!?][^>]*>|([^<]+|<)",
@@ -312,9 +315,22 @@ class BlockLabeller:
 
     def main_texts(self, pages: list[str | None]) -> list[str]:
         """The main text of each page; pages of similar length are read together."""
-        blocks = [leaf_blocks(p) for p in pages]
-        out = [""] * len(pages)
-        order = sorted((i for i in range(len(pages)) if blocks[i]), key=lambda i: len(blocks[i]))
+        whole = [leaf_blocks(p) for p in pages]
+        blocks, of = [], []
+        for i, b in enumerate(whole):
+            for at in range(0, len(b), STRETCH):
+                blocks.append(b[at : at + STRETCH])
+                of.append(i)
+        texts = self._read(blocks)
+        out: list[list[str]] = [[] for _ in pages]
+        for i, t in zip(of, texts, strict=True):
+            out[i] += t
+        return ["\n\n".join(t) for t in out]
+
+    def _read(self, blocks: list[list[Block]]) -> list[list[str]]:
+        """The texts of the main blocks of each stretch."""
+        out: list[list[str]] = [[] for _ in blocks]
+        order = sorted(range(len(blocks)), key=lambda i: len(blocks[i]))
         at = 0
         while at < len(order):
             group = [order[at]]
@@ -330,7 +346,7 @@ class BlockLabeller:
                 x[:n, k], mask[:n, k] = features(blocks[i]), 1
             y = self.net.logits(x, mask)[0]
             for k, i in enumerate(group):
-                out[i] = "\n\n".join(b.text for b, v in zip(blocks[i], y[:, k].tolist(), strict=False) if v > 0)
+                out[i] = [b.text for b, v in zip(blocks[i], y[:, k].tolist(), strict=False) if v > 0]
             at += len(group)
         return out
 

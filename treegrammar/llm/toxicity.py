@@ -30,6 +30,8 @@ from pyspark.sql import functions as F
 
 from treegrammar.llm.holdout import held_out
 
+#: Characters of an example at most: longer labelled texts are left to others, so the sample has a bounded size.
+EXAMPLE_CHARS = 40_000
 #: Examples a class at most, terms of the vocabulary at most, neighbours, examples a block.
 MAX_EXAMPLES, MAX_TERMS, K, BLOCK = 3000, 1024, 15, 32
 #: Counts from which a term that occurs so often is a term of its own, as the cosine knows no lengths.
@@ -199,7 +201,7 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_examples: i
     sizes = {r["toxic"]: r["n"] for r in marked.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     parts = [marked.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_examples) for y in (0, 1)]
     chosen = parts[0].unionByName(parts[1])
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").where(F.coalesce(F.length("text"), F.lit(0)) <= EXAMPLE_CHARS).select("doc_id", "text", "toxic")  # twice max_examples ids at most
     got = sorted(((r["doc_id"], r["text"] or "", r["toxic"]) for r in rows.toLocalIterator()), key=lambda r: (r[0], r[2], r[1]))
     total = sum(sizes.values())
     return Neighbours(got, sizes.get(1, 0) / total if total else None)
