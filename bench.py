@@ -14,9 +14,13 @@ import time
 from pyspark.sql import SparkSession
 
 from treegrammar.baselines import dom, labels_twigs, node_table, path_index
+from treegrammar.baselines.trees import structures, traverse
 from treegrammar.operators.index import CORE, SHARD_NODES, load_shard
 from treegrammar.queries import queries
 from treegrammar.shared import ship
+from treegrammar.sources.carriers import log
+from treegrammar.sources.markup import forest_of
+from treegrammar.views.nodewise import Cursor
 from treegrammar.views.rulewise import Run
 from treegrammar.workloads import MARKET, index, nodes
 from treegrammar.xpath.automaton import compile_path
@@ -88,6 +92,20 @@ def main() -> None:
         entry = market.spine_plan(a).entry
         for mode in ("lazy", "eager"):
             clock(f"kernel_{mode}_{q}", lambda a=a, entry=entry, mode=mode: [getattr(Run(g, a), f"{mode}_count")(entry[s]) for s, g in grammars if entry[s] != a.universal])
+    # The same count over grammars of other compressors and ranks
+    for c, r in (("pairs", 1), ("pairs", 2), ("pairs", 3), ("pairs", 8), ("patterns", 8), ("dag", 2), ("one_rule", 2)):
+        ix = index(spark, sf, "log", c, r)
+        own = ix.resident(1 << 30)
+        clock(f"k_log_{c}{r}", lambda own=own: own.count("//day//props"))
+        extra[f"edges_log_{c}{r}"] = ix.stats().groupBy().sum("edges").first()[0]
+    # Whole traversals of one document by seven structures
+    users = [r["content"] for r in log(spark, sf).records.orderBy("doc_id").limit(4).collect()]
+    f = forest_of([(0, "<users>" + "".join(users) + "</users>")])
+    for name, (tree, root, size) in structures(f.arrays()[0], f.names).items():
+        walk = tree.traverse if isinstance(tree, Cursor) else (lambda r, o, m, tree=tree: traverse(tree, r, o, m))
+        for mode in ("rec", "iter"):
+            clock(f"t_{name}_{mode}", lambda mode=mode, walk=walk, root=root: walk(root, "dflr", mode), 2)
+        extra[f"bytes_{name}"] = size
     headline = [k for k in times if k.startswith("count_")]
     out = {"metric": "sum of the count queries", "value": round(sum(times[k] for k in headline), 3), "unit": "sec", "queries": times, "sf": os.path.basename(sf.rstrip("/")), "shard_nodes": SHARD_NODES, "extra": extra, "registered": len(queries())}
     print(json.dumps(out), flush=True)

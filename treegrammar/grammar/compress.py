@@ -268,7 +268,6 @@ def no_start_rule(g: Grammar, max_rank: int = 3) -> Grammar:
         stack.append([k, 0])
         while stack and stack[-1][1] == tree.rank[int(tree.sym[stack[-1][0]])]:
             stack.pop()
-    turn = 0
     while True:
         v, key = tree.edges()
         if not len(v):
@@ -299,7 +298,6 @@ def no_start_rule(g: Grammar, max_rank: int = 3) -> Grammar:
         cuts = np.flatnonzero(np.diff(key)) + 1
         for nodes, k in zip(np.split(v, cuts), key[np.concatenate([[0], cuts])].tolist(), strict=True):
             tree.contract(nodes, k >> 33, k >> 29 & 15, k & (1 << 29) - 1)
-        turn += 1
     return tree.grammar()
 
 

@@ -160,7 +160,7 @@ class Grammar:
         per = np.concatenate([[0], np.cumsum(self.chunks(kind)[self.start].sum(axis=1))])
         return per[self.doc_start[1:]] - per[self.doc_start[:-1]]
 
-    def expand(self, limit: int | None = None) -> np.ndarray:
+    def expand(self) -> np.ndarray:
         """The parenthesis stream of the start: labels where nodes open, -1 where they close, -2 at an open end."""
         memo: dict[int, list[np.ndarray]] = {}
         none = np.empty(0, np.int32)
@@ -188,8 +188,7 @@ class Grammar:
                     continue
                 pending.append((parts, k))
                 break
-        got = np.concatenate(out) if out else none
-        return got
+        return np.concatenate(out) if out else none
 
     def _closure(self, used: set[int]) -> set[int]:
         out: set[int] = set()
