@@ -78,46 +78,65 @@ def _flush_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 class DigestIndex:
-    """Sorted runs of (digest, n_points, keep_id, n_rows) below one folder; level 0 holds flushed memtables."""
+    """Sorted runs of (digest, n_points, keep_id, n_rows) below one folder, each set of runs with its Bloom filter.
 
-    def __init__(self, spark: SparkSession, path: str | None = None):
-        self.spark, self.path, self.runs = spark, path or new_path(spark, "lsm"), 0
-        self.base: str | None = None
+    ``insert`` flushes a batch to level 0; ``compact`` merges all runs and the level below into a new level 1; ``lookup`` joins only
+    the probes that some filter lets pass. A set of runs whose filter would be too large to ship has none, and lets all pass."""
+
+    def __init__(self, spark: SparkSession, filters: bool = True):
+        self.spark, self.filters = spark, filters
+        self.runs: list[tuple[str, bytes | None]] = []
+        self.base: tuple[str, bytes | None] | None = None
+
+    def _filter(self, path: str) -> bytes | None:
+        if not self.filters:
+            return None
+        run = self.spark.read.parquet(path)
+        return bloom_filter(run, run.count())
 
     def insert(self, digests: DataFrame) -> None:
         """Flush the memtables of a batch of documents (doc_id, digest, n_points) as new runs."""
-        runs = digests.select("doc_id", "digest", "n_points").mapInArrow(_flush_runs, "digest binary, n_points long, keep_id long, n_rows long")
-        runs.write.parquet(f"{self.path}/level0/batch={self.runs:06d}")
-        self.runs += 1
+        path = new_path(self.spark, "lsm-level0")
+        digests.select("doc_id", "digest", "n_points").mapInArrow(_flush_runs, "digest binary, n_points long, keep_id long, n_rows long").write.parquet(path)
+        self.runs.append((path, self._filter(path)))
 
     def compact(self) -> DataFrame:
         """Merge all runs and the level below; of each digest the longest row with the smallest identifier stays."""
-        if not self.runs and self.base:
-            return self.read()
-        merged = self._all_runs().groupBy("digest").agg(
-            F.min(F.struct((-F.col("n_points")).alias("less"), F.coalesce("keep_id", F.lit(_BIG)).alias("id"))).alias("best"), F.sum("n_rows").alias("n_rows")
-        )
-        merged = merged.select("digest", (-F.col("best.less")).alias("n_points"), F.when(F.col("best.id") != _BIG, F.col("best.id")).alias("keep_id"), "n_rows")
-        base = new_path(self.spark, "lsm-level1")
-        merged.sortWithinPartitions("digest").write.parquet(base)
-        self.base, self.runs, self.path = base, 0, new_path(self.spark, "lsm")
-        return self.read()
-
-    def _all_runs(self) -> DataFrame:
-        parts = [self.spark.read.parquet(f"{self.path}/level0/batch={k:06d}") for k in range(self.runs)]
-        if self.base:
-            parts.append(self.spark.read.parquet(self.base))
-        out = parts[0]
-        for p in parts[1:]:
-            out = out.unionByName(p)
-        return out
-
-    def read(self) -> DataFrame:
-        return self.spark.read.parquet(self.base) if self.base else self.compact()
+        if self.runs:
+            parts = [p for p, _ in self.runs] + ([self.base[0]] if self.base else [])
+            best = F.min(F.struct((-F.col("n_points")).alias("less"), F.coalesce("keep_id", F.lit(_BIG)).alias("id")))
+            merged = self.spark.read.parquet(*parts).groupBy("digest").agg(best.alias("best"), F.sum("n_rows").alias("n_rows"))
+            merged = merged.select("digest", (-F.col("best.less")).alias("n_points"), F.when(F.col("best.id") != _BIG, F.col("best.id")).alias("keep_id"), "n_rows")
+            path = new_path(self.spark, "lsm-level1")
+            merged.sortWithinPartitions("digest").write.parquet(path)
+            self.base, self.runs = (path, self._filter(path)), []
+        return self.spark.read.parquet(self.base[0])
 
     def lookup(self, digests: DataFrame) -> DataFrame:
         """The entry of every probed digest: doc_id, digest, keep_id and rows seen (null where the index has none)."""
-        return digests.select("doc_id", "digest").join(self.read().select("digest", "keep_id", "n_rows"), "digest", "left")
+        sets = [*self.runs, *([self.base] if self.base else [])]
+        probe = digests.select("doc_id", "digest")
+        if not sets:
+            return probe.select("*", F.lit(None).cast("long").alias("keep_id"), F.lit(None).cast("long").alias("n_rows"))
+        best = F.min(F.struct((-F.col("n_points")).alias("less"), F.coalesce("keep_id", F.lit(_BIG)).alias("id")))
+        seen = self.spark.read.parquet(*[p for p, _ in sets]).groupBy("digest").agg(best.alias("best"), F.sum("n_rows").alias("n_rows"))
+        seen = seen.select("digest", F.when(F.col("best.id") != _BIG, F.col("best.id")).alias("keep_id"), "n_rows")
+        filters = [f for _, f in sets]
+        if any(f is None for f in filters) or sum(map(len, filters)) > MAX_FILTER_BYTES:
+            return probe.join(seen, "digest", "left").select("doc_id", "digest", "keep_id", "n_rows")
+        shared = self.spark.sparkContext.broadcast(filters)  # MAX_FILTER_BYTES at most
+
+        def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            words = [np.frombuffer(f, np.uint64) for f in shared.value]
+            for b in batches:
+                if b.num_rows:
+                    own = b.column(1).to_pylist()
+                    hit = np.any([passes(w, own) for w in words], axis=0)
+                    yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(hit)], names=["doc_id", "digest", "maybe"])
+
+        marked = probe.mapInArrow(test, "doc_id long, digest binary, maybe boolean")
+        joined = marked.where("maybe").join(seen, "digest", "left").select("doc_id", "digest", "keep_id", "n_rows")
+        return joined.unionByName(marked.where("not maybe").select("doc_id", "digest", F.lit(None).cast("long").alias("keep_id"), F.lit(None).cast("long").alias("n_rows")))
 
 
 def _positions(digests: list[bytes], bits: int) -> np.ndarray:
@@ -127,6 +146,12 @@ def _positions(digests: list[bytes], bits: int) -> np.ndarray:
     return (two[:, :1] + step * np.arange(HASHES, dtype=np.uint64)) % np.uint64(bits)
 
 
+def passes(words: np.ndarray, digests: list[bytes]) -> np.ndarray:
+    """Which digests a filter lets pass."""
+    p = _positions(digests, len(words) * 64)
+    return ((words[p >> np.uint64(6)] >> (p & np.uint64(63))) & np.uint64(1)).all(axis=1)
+
+
 def bloom_filter(repeated: DataFrame, n: int) -> bytes | None:
     """The filter of the digests of ``repeated`` (n rows), or None if it would be larger than may be broadcast."""
     bits = max(1024, 1 << (n * BITS_PER_KEY - 1).bit_length())
@@ -158,8 +183,7 @@ def _hits(filter_bytes):
                 hashed = [hashlib.sha256(t).digest() for t in normal]
                 pick = range(len(texts))
                 if words is not None:
-                    p = _positions(hashed, len(words) * 64)
-                    pick = np.flatnonzero(((words[p >> np.uint64(6)] >> (p & np.uint64(63))) & np.uint64(1)).all(axis=1)).tolist()
+                    pick = np.flatnonzero(passes(words, hashed)).tolist()
                 ids = part.column(0).to_pylist()
                 yield pa.RecordBatch.from_arrays([pa.array([ids[i] for i in pick], pa.int64()), pa.array([hashed[i] for i in pick], pa.binary()), pa.array([len(texts[i] or "") for i in pick], pa.int64()), pa.array([normal[i] for i in pick], pa.binary())], names=["doc_id", "digest", "n_points", "body"])
 
@@ -170,7 +194,7 @@ def exact_groups(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 of every row of ``docs`` (doc_id, text)."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     digests = written(spark, rows.mapInArrow(_digests, "doc_id long, digest binary, n_points long"), "digests")
-    index = DigestIndex(spark)
+    index = DigestIndex(spark, filters=False)  # a single batch: the filter that counts here is that of the repeated digests
     index.insert(digests)
     merged = index.compact()
     repeated = merged.where("n_rows > 1")
