@@ -30,10 +30,10 @@ from pyspark.sql import functions as F
 
 from treegrammar.llm.recurrent import Adam, BiLstm
 
-PATH_BITS, WORD_BITS, MEASURES, HIDDEN = 160, 48, 8, 16
+PATH_BITS, WORD_BITS, MEASURES, HIDDEN = 192, 48, 8, 24
 WIDTH = PATH_BITS + WORD_BITS + MEASURES
 #: Pages of the training sample, bytes of html that it may hold for each, generated pages, and training steps.
-PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 500, 420, 24, 64
+PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 1500, 1000, 32, 64
 
 #: Blocks that are read in one stretch; only larger pages are read in several, each with its own context.
 STRETCH = 20_000
@@ -229,13 +229,17 @@ def generated_page(rng: np.random.Generator, sentences: list[str]) -> tuple[str,
         if kind == "menu":
             wrap(pick("nav", 'div class="menu"', 'div id="nav"', 'div role="navigation"', "header"), items)
         elif kind == "header":
-            wrap(pick("header", 'div class="header"', 'div id="masthead"', 'div role="banner"'), lambda: put(f"<{(t := pick('h1', 'div', 'p'))}>{short()}</{t}>", 0))
+            wrap(pick("header", "header", 'div class="header"', 'div id="masthead"', 'div role="banner"'), lambda: [put(f"<{(t := pick('h1', 'div', 'p', 'h2'))}>{pick(short(), text(1))}</{t}>", 0) for _ in range(int(rng.integers(1, 3)))])
+        elif kind == "named":
+            put(f"<{(t := pick('div', 'div', 'section', 'p'))} {pick('class', 'class', 'id', 'role')}=\"{pick(*sorted(AWAY_WORDS))}\">{pick(short(), text(1), text(2))}</{t}>", 0)
+        elif kind == "share":
+            put(f"<div class=\"{pick('share', 'social', 'follow', 'toolbar')}\"><a href=\"#\">{short()}</a> <a href=\"#\">{short()}</a></div>", 0)
         elif kind == "footer":
             wrap(pick("footer", 'div class="footer"', 'div id="footer"', 'div role="contentinfo"'), lambda: put(f"<p>&copy; {short()} {text(1)}</p>", 0))
         elif kind == "side":
             wrap(pick("aside", 'div class="sidebar"', 'div id="sidebar"', 'div class="widget"', 'div class="related"'), pick(items, away_text))
         elif kind == "ad":
-            put(f"<{(t := pick('div', 'p', 'section'))} class=\"{pick('ad', 'ads', 'advert', 'banner', 'sponsored', 'promo')}\">{text(int(rng.integers(1, 3)))}</{t}>", 0)
+            put(f"<{(t := pick('div', 'p', 'section'))} class=\"{pick('ad', 'ads', 'advert', 'advertisement', 'banner', 'sponsored', 'promo')}\">{text(int(rng.integers(1, 3)))}</{t}>", 0)
         elif kind == "notice":
             put(f"<div {pick('class', 'id')}=\"{pick('cookie', 'cookie-notice', 'consent', 'notice', 'alert', 'gdpr-banner', 'popup')}\">{text(1)}</div>", 0)
         elif kind == "form":
@@ -245,34 +249,44 @@ def generated_page(rng: np.random.Generator, sentences: list[str]) -> tuple[str,
         else:
             comments()
 
+    bare = rng.random() < 0.12  # nothing before the article
+
     def body() -> None:
-        if rng.random() < 0.8:
+        if rng.random() < (0.4 if bare else 0.8):
             inner = rng.random() < 0.2  # an article may have a header of its own
             put(("<header>" if inner else "") + f"<h1>{short()} {short()}</h1>" + ("</header>" if inner else ""), 1)
         brief = rng.random() < 0.2
         for _ in range(int(rng.integers(20, 70) if rng.random() < 0.2 else rng.integers(1, 9))):
             kind = rng.random()
-            if kind < 0.72:
+            if kind < 0.6:
                 put(f"<p>{pick('', '<b>')}{short() if brief else text(int(rng.integers(1, 6)))}" + pick("</p>", "</p>", "<br></p>"), 1)
-            elif kind < 0.8:
-                put(f"<h2>{short()}</h2>", 1)
-            elif kind < 0.87:
-                wrap("ul", lambda: [put(f"<li>{text(1)}</li>", 1) for _ in range(int(rng.integers(2, 5)))])
-            elif kind < 0.93:
-                put(f"<blockquote>{text(1)}</blockquote>", 1)
+            elif kind < 0.67:
+                put(f"<{(t := pick('h2', 'h2', 'h3'))}>{short()}</{t}>", 1)
+            elif kind < 0.75:
+                wrap(pick("ul", "ol"), lambda: [put(f"<li>{pick(text(1), short())}</li>", 1) for _ in range(int(rng.integers(2, 6)))])
+            elif kind < 0.79:
+                put(f"<{(t := pick('blockquote', 'pre', 'figcaption', 'div'))}>{text(1)}</{t}>", 1)
+            elif kind < 0.83:
+                wrap("table", lambda: [wrap("tr", lambda r=r: [put(f"<{(t := 'th' if r == 0 else 'td')}>{short()}</{t}>", 1) for _ in range(3)]) for r in range(int(rng.integers(2, 5)))])
             else:
-                boiler(pick("ad", "notice", "side"))
-
-    put(f"<!DOCTYPE html><html><head><title>{short()}</title></head><body>", 0)
-    for kind in ("notice", "header", "menu", "ad", "side"):
-        if rng.random() < 0.45:
+                boiler(pick("ad", "notice", "side", "menu", "share", "form", "named", "named", "named"))
+
+    if not bare and rng.random() < 0.8:
+        put(f"<!DOCTYPE html><html><head><title>{short()}</title></head><body>", 0)
+    frames = [pick('div id="wrapper"', 'div class="container"', 'div id="page"', 'div class="row"', 'div class="site"', "div", "section") for _ in range(int(rng.integers(0, 4)))]
+    for f in frames:
+        put(f"<{f}>")
+    for kind in ("notice", "header", "header", "named", "menu", "ad", "side"):
+        if not bare and rng.random() < 0.45:
             boiler(kind)
-    holder = pick("article", "article", "main", 'div class="content"', 'div id="content"', 'div class="post-body"', 'div class="entry"', 'section class="story"', 'div role="main"', "div", 'div class="article"')
+    holder = pick("article", "article", "main", 'div class="content"', 'div id="content"', 'div class="post-body"', 'div class="entry"', 'section class="story"', 'div role="main"', "div", 'div class="article"', 'div class="article-body"', 'div class="col main"', 'div class="main-content"', 'div class="page-text"')
     for _ in range(int(rng.integers(2, 20)) if rng.random() < 0.15 else 1):  # a page may hold several articles
         wrap(holder, body)
-    for kind in ("comments", "side", "form", "ad", "footer"):
+    for kind in ("share", "comments", "side", "named", "form", "ad", "footer"):
         if rng.random() < 0.4:
             boiler(kind)
+    for f in reversed(frames):
+        put(f"</{f.split(' ')[0]}>")
     put("</body></html>")
     return "".join(html), labels
 
