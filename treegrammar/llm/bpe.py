@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
@@ -25,11 +26,14 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Words whose encodings, and pairs of tokens whose border a worker keeps; either cache starts anew beyond that.
-CACHE_WORDS, CACHE_PAIRS = 800_000, 1_500_000
+CACHE_WORDS, CACHE_PAIRS = 1_000_000, 1_500_000
 #: The byte-level pre-tokenization pattern; white space as Unicode defines it.
 _SPACE = r"\p{White_Space}"
 PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|{_SPACE}+(?!\P{{White_Space}})|{_SPACE}+"
 
+#: The same pattern where a text is ASCII only; the plain engine is faster.
+PATTERN_ASCII = r"'s|'t|'re|'ve|'m|'ll|'d| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r A-Za-z0-9]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+"
+
 
 def byte_alphabet() -> dict[str, int]:
     """The printable character that stands for each byte in byte-level vocabularies, and its byte."""
@@ -60,10 +64,11 @@ class Bpe:
         self.longest = max(map(len, self.ids))
         self.added = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.token |= {i: s.encode() for s, i in self.added.items()}
-        self.cut = regex.compile(PATTERN)
+        self.cut, self.cut_ascii = regex.compile(PATTERN), re.compile(PATTERN_ASCII)
         self.special = regex.compile("|".join(regex.escape(s) for s in sorted(self.added, key=len, reverse=True))) if self.added else None
         self.apart: dict[int, bool] = {}
-        self.known: dict[str, tuple[str, int, bytes]] = {}
+        self.known: dict[str, str] = {}  # a word's ids, joined by commas
+        self.decoded: dict[str, bytes] = {}  # the bytes that these ids stand for
 
     def _edges(self, token: int, right: bool) -> list[tuple[int, int, float]]:
         """Pieces on one edge of a token while it grows: the piece, and the ranks at which it is made and absorbed."""
@@ -124,10 +129,12 @@ class Bpe:
         new = {w.encode("utf-8", "surrogatepass"): w for w in words if w not in self.known}
         if len(self.known) + len(new) > CACHE_WORDS:
             self.known.clear()
+            self.decoded.clear()
             new = {w.encode("utf-8", "surrogatepass"): w for w in words}
         token = self.token
         for raw, ids in self.encode_words(new):
-            self.known[new[raw]] = (",".join(map(str, ids)), len(ids), b"".join([token[i] for i in ids]))
+            self.known[new[raw]] = ",".join(map(str, ids))
+            self.decoded[new[raw]] = b"".join([token[i] for i in ids])
 
     def pieces(self, text: str) -> list[str | int]:
         """The text cut at added tokens, which become their ids."""
@@ -141,13 +148,14 @@ class Bpe:
 
     def encode_texts(self, texts: list[str]) -> Iterator[tuple[str, int, bytes]]:
         """For each text its ids joined by commas, their number, and the bytes they decode to."""
-        cut = self.cut.findall
-        cuts = [[x if isinstance(x, int) else cut(x) for x in self.pieces(t)] for t in texts]
+        wide, plain = self.cut.findall, self.cut_ascii.findall
+        cuts = [[x if isinstance(x, int) else plain(x) if x.isascii() else wide(x) for x in self.pieces(t)] for t in texts]
         self.learn({w for c in cuts for x in c if not isinstance(x, int) for w in x})
-        known = self.known
+        known, decoded = self.known.__getitem__, self.decoded.__getitem__
         for c in cuts:
-            got = [y for x in c for y in ([(str(x), 1, self.token[x])] if isinstance(x, int) else [known[w] for w in x])]
-            yield ",".join([g[0] for g in got]), sum([g[1] for g in got]), b"".join([g[2] for g in got])
+            ids = ",".join([str(x) if isinstance(x, int) else ",".join(map(known, x)) for x in c if x != []])
+            raw = b"".join([self.token[x] if isinstance(x, int) else b"".join(map(decoded, x)) for x in c])
+            yield ids, ids.count(",") + 1 if ids else 0, raw
 
     def decode(self, ids: Iterable[int]) -> str:
         return b"".join([self.token[i] for i in ids]).decode("utf-8", "replace")
