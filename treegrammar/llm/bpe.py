@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Words whose encodings, and pairs of tokens whose border a worker keeps; either cache starts anew beyond that.
-CACHE_WORDS, CACHE_PAIRS = 1_000_000, 1_500_000
+CACHE_WORDS, CACHE_PAIRS = 1_500_000, 1_500_000
 #: The byte-level pre-tokenization pattern; white space as Unicode defines it.
 _SPACE = r"\p{White_Space}"
 PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|{_SPACE}+(?!\P{{White_Space}})|{_SPACE}+"
