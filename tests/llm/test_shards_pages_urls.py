@@ -76,6 +76,29 @@ def test_leaf_blocks():
     assert [b.text for b in html_extract.leaf_blocks("<p>x &nbsp;&#x41;\n\t y</p>")] == ["x A y"]
 
 
+@pytest.mark.parametrize(
+    "page, texts",
+    [
+        ('<p>a</p><svg viewBox="0 0 1 1"/><p>b</p><math/><p>c</p>', ["a", "b", "c"]),
+        ("<p>a</p><object data=x><p>b</p><p>c</p>", ["a", "b", "c"]),
+        ("<p>a</p><select><option>b<option>c<p>d</p>", ["a", "b", "c", "d"]),
+        ("<p>a</p><noscript>b<p>c</p>", ["a", "b", "c"]),
+        ("<p>a</p><noscript>b</noscript><div>c</div>", ["a", "b", "c"]),
+        ("<p>for <math><mi>x</mi><mo>=</mo><mn>1</mn></math> and <object>y</object>, <noscript>z</noscript>.</p>", ["for x=1 and y, z."]),
+        ("<p>a <svg><title>t</title><path d='M0'></path><g/></svg> b</p>", ["a t b"]),
+        ("<p>a</p><select-box><p>b</p></select-box><style-guide>c</style-guide><p>d</p>", ["a", "b", "c", "d"]),
+        ("<p>a</p><iframe src=x><p>b</p></iframe><textarea>c <p> &amp;</textarea><p>d</p>", ["a", "c <p> &", "d"]),
+        ("<p>a</p><iframe src=x><p>b</p><textarea><p>c</p>", ["a", "b", "c"]),
+        ("<p>a</p><svg><g><div>b</div><div>c</div>", ["a", "b", "c"]),
+        ("<p>a</p><style>x</style ><p>b</p><script>var t = '</p>", ["a", "b"]),
+        ("<template><p>a</p></template><p>b</p>", ["a", "b"]),
+        ("<svg><style/><script/></svg><p>b</p>", ["b"]),
+    ],
+)
+def test_embedded_elements_cut_no_text(page, texts):
+    assert [b.text for b in html_extract.leaf_blocks(page)] == texts
+
+
 def test_generated_pages_have_a_label_for_each_block():
     rng = np.random.default_rng(3)
     for _ in range(150):

@@ -9,11 +9,12 @@ Training: labels come from the structure of a bounded sample of pages (blocks in
 outside navigation, page headers and footers, forms, asides, notices, adverts and comments) and from generated
 layouts, whose container names are drawn from usual ones, so that pages without such elements are covered too.
 
-Scripts, styles, comments and other markup never become text. White space inside a block becomes one space, a line
+Scripts, styles, comments, the source inside an iframe and other markup never become text; a textarea holds text without markup.
+All other elements, drawings and formulas among them, are read as part of the page, and the network decides on their blocks. White space inside a block becomes one space, a line
 break is white space, character references are decoded, blocks are joined by an empty line, and nothing is capped.
 
 Defined results: null or empty html gives empty text; so does a page without main blocks; malformed markup is read
-tolerantly to its end; repeated rows give a row each; extra columns are ignored; an empty table gives no rows.
+tolerantly to its end (only a script or style without an end tag takes what follows it); repeated rows give a row each; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -38,18 +39,21 @@ PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 1500, 1000, 32,
 #: Blocks that are read in one stretch; only larger pages are read in several, each with its own context.
 STRETCH = 20_000
 
-_TOKEN = re.compile(
-    r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|svg|math|iframe|object|textarea|select)\b[^>]*>.*?(?:</\1\s*>|\Z)"
-    r"|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>|<[!?][^>]*>|([^<]+|<)",
-    re.S | re.I,
-)
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>|<[!?][^>]*>|([^<]+|<)", re.S)
+#: Elements whose content is no markup, and their end tags.
+_RAW_END = {n: re.compile(rf"</{n}(?=[\s/>])[^>]*>", re.I) for n in ("script", "style", "textarea", "iframe")}
 _ATTR = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _NAME = re.compile(r"[a-z]+")
 #: Elements that stand inside a line, elements without content, and start tags that end an open paragraph.
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr br img ruby rt".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr br img ruby rt svg math".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK_ENDS_P = frozenset("address article aside blockquote details div dl fieldset figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 ENDS_SAME = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table", "tbody", "thead", "tfoot"}, "td": {"tr"}, "th": {"tr"}, "option": {"select", "datalist"}}
+#: Elements that stand inside a line only where text does, such places, and the elements that count as markup of the page inside svg and math.
+HOLDERS = frozenset("noscript object select template textarea".split())
+TEXTUAL = frozenset("p h1 h2 h3 h4 h5 h6 li dt dd td th pre figcaption caption".split())
+FOREIGN = frozenset(("svg", "math"))
+NOT_FOREIGN = BLOCK_ENDS_P | INLINE | frozenset(ENDS_SAME) | frozenset("html head body center tbody thead tfoot caption button".split()) | HOLDERS
 #: Words of container names for the structural labels.
 AWAY_ELEMENTS = frozenset("nav footer aside form button head header menu dialog".split())
 AWAY_WORDS = frozenset(
@@ -80,7 +84,7 @@ def leaf_blocks(html: str | None) -> list[Block]:
     stack: list[str] = []
     names: list[str] = []
     parts: list[str] = []
-    linked = links = 0
+    linked = links = foreign = 0
 
     def flush() -> None:
         nonlocal parts, linked
@@ -90,47 +94,90 @@ def leaf_blocks(html: str | None) -> list[Block]:
                 out.append(Block(tuple(s for s, n in zip(stack, names, strict=True) if n not in INLINE), text, min(linked, len(text))))
         parts, linked = [], 0
 
-    for m in _TOKEN.finditer(html or ""):
-        text, name = m[5], m[3]
+    def close(at: int) -> None:
+        nonlocal links, foreign
+        gone = names[at:]
+        links -= gone.count("a")
+        foreign -= gone.count("svg") + gone.count("math")
+        del names[at:], stack[at:]
+
+    def put(text: str) -> None:
+        nonlocal linked
+        parts.append(text)
+        if links:
+            linked += len(text)
+
+    def in_line(upto: int) -> bool:
+        """Whether an element below the first ``upto`` open ones stands in a line of text."""
+        return next((n in TEXTUAL for n in reversed(names[:upto]) if n not in INLINE and n not in HOLDERS), False)
+
+    html, at, endless = html or "", 0, set()
+    while at < len(html):
+        m = _TOKEN.match(html, at)
+        at = m.end()
+        text, name = m[4], m[2]
         if text is not None:
-            parts.append(text)
-            if links:
-                linked += len(text)
+            put(text)
             continue
         if name is None:
             continue
-        name = name.lower()
+        name, ends = name.lower(), m[1]
+        single = m[3].rstrip().endswith("/")
+        if name in _RAW_END and not ends and not (foreign and single):
+            end = None if name in endless else _RAW_END[name].search(html, at)
+            if end is None:
+                endless.add(name)
+                if name in ("script", "style"):  # what follows is code; after the others it is read as markup
+                    break
+                continue
+            body, at = html[at : end.start()], end.end()
+            if name == "textarea":
+                apart = not in_line(len(names))
+                if apart:
+                    flush()
+                    names.append(name)
+                    stack.append(_label(name, m[3]))
+                put(body)
+                if apart:
+                    flush()
+                    close(len(names) - 1)
+            continue
+        if foreign and name not in NOT_FOREIGN:  # parts of drawings and formulas do not end a block
+            if name in ("text", "title", "desc"):
+                parts.append(" ")
+            continue
         inline = name in INLINE
-        if m[2]:
+        if ends:
             if name in names:
-                if not inline:
-                    flush()
-                at = len(names) - 1 - names[::-1].index(name)
-                if inline and any(n not in INLINE for n in names[at:]):
+                first = len(names) - 1 - names[::-1].index(name)
+                blocks = any(n not in INLINE and n not in HOLDERS for n in names[first + 1 :])
+                if inline and (blocks or any(n in HOLDERS for n in names[first + 1 :])):
                     continue  # an inline end tag does not close blocks
-                links -= names[at:].count("a")
-                del names[at:], stack[at:]
-            elif not inline:
+                if not inline and (name not in HOLDERS or blocks or not in_line(first)):
+                    flush()
+                close(first)
+            elif not inline and name not in HOLDERS and name not in _RAW_END:
                 flush()
             continue
         if name in ("br", "wbr", "img", "hr"):
             parts.append(" ")
-        if not inline:
+        if not inline and (name not in HOLDERS or not in_line(len(names))):
             flush()
+            if foreign:  # a block ends an open drawing or formula
+                close(next(k for k, n in enumerate(names) if n in FOREIGN))
             if name in BLOCK_ENDS_P and "p" in names:
-                at = len(names) - 1 - names[::-1].index("p")
-                if not any(n in ("button", "td", "th", "table", "object") for n in names[at:]):
-                    links -= names[at:].count("a")
-                    del names[at:], stack[at:]
+                first = len(names) - 1 - names[::-1].index("p")
+                if not any(n in ("button", "td", "th", "table", "object") for n in names[first:]):
+                    close(first)
             if name in ENDS_SAME and name in names:
-                at = len(names) - 1 - names[::-1].index(name)
-                if not any(n in ENDS_SAME[name] for n in names[at + 1 :]):
-                    links -= names[at:].count("a")
-                    del names[at:], stack[at:]
-        if name not in VOID and not m[4].rstrip().endswith("/"):
+                first = len(names) - 1 - names[::-1].index(name)
+                if not any(n in ENDS_SAME[name] for n in names[first + 1 :]):
+                    close(first)
+        if name not in VOID and not single:
             names.append(name)
-            stack.append(name if inline else _label(name, m[4]))
+            stack.append(name if inline else _label(name, m[3]))
             links += name == "a"
+            foreign += name in FOREIGN
     flush()
     return out
 
