@@ -149,6 +149,19 @@ def test_page_edges(spark, labeller, monkeypatch):
     assert html_extract.fit(spark, spark.createDataFrame([], "page_id long, url string, html string")) is not None
 
 
+def test_long_pages_are_read_as_one_document(labeller, monkeypatch):
+    """The labels of a page do not depend on where its stretches are cut."""
+    rng = np.random.default_rng(5)
+    page = "".join(html_extract.generated_page(rng, ["Words of another page", "They are new, too"])[0] for _ in range(40))
+    blocks = html_extract.leaf_blocks(page)
+    whole = labeller.net.logits(html_extract.features(blocks)[:, None], np.ones((len(blocks), 1), np.float32))[0][:, 0]
+    text = labeller.main_texts([page])
+    for stretch in (1, 7, 100, len(blocks) - 1):
+        monkeypatch.setattr(html_extract, "STRETCH", stretch)
+        assert np.allclose(labeller.long_logits(blocks), whole, atol=1e-3)
+        assert labeller.main_texts(["<p>x", page, ""])[1:] == [*text, ""]
+
+
 # URLs
 
 

@@ -36,7 +36,7 @@ WIDTH = PATH_BITS + WORD_BITS + MEASURES
 #: Pages of the training sample, bytes of html that it may hold for each, generated pages, and training steps.
 PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 1500, 1000, 32, 64
 
-#: Blocks that are read in one stretch; only larger pages are read in several, each with its own context.
+#: Blocks whose vectors are held at once; larger pages are read in several stretches, and the states of both directions are carried on.
 STRETCH = 20_000
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>|<[!?][^>]*>|([^<]+|<)", re.S)
@@ -205,11 +205,14 @@ def _path_vector(path: tuple[str, ...]) -> np.ndarray:
     return got
 
 
-def features(blocks: list[Block]) -> np.ndarray:
-    out = np.zeros((len(blocks), WIDTH), np.float32)
+def features(blocks: list[Block], start: int = 0, stop: int | None = None) -> np.ndarray:
+    """The vectors of the blocks of a page, or of a stretch of them; places are those in the page."""
     n = len(blocks)
-    for k, b in enumerate(blocks):
-        row, text = out[k], b.text
+    stop = n if stop is None else min(stop, n)
+    out = np.zeros((stop - start, WIDTH), np.float32)
+    for k in range(start, stop):
+        b = blocks[k]
+        row, text = out[k - start], b.text
         row[:PATH_BITS] = _path_vector(b.path)
         words = text.split(" ")
         size = len(words)
@@ -377,19 +380,29 @@ class BlockLabeller:
     def main_texts(self, pages: list[str | None]) -> list[str]:
         """The main text of each page; pages of similar length are read together."""
         whole = [leaf_blocks(p) for p in pages]
-        blocks, of = [], []
+        texts = self._read([b if len(b) <= STRETCH else [] for b in whole])
         for i, b in enumerate(whole):
-            for at in range(0, len(b), STRETCH):
-                blocks.append(b[at : at + STRETCH])
-                of.append(i)
-        texts = self._read(blocks)
-        out: list[list[str]] = [[] for _ in pages]
-        for i, t in zip(of, texts, strict=True):
-            out[i] += t
-        return ["\n\n".join(t) for t in out]
+            if len(b) > STRETCH:
+                texts[i] = [x.text for x, v in zip(b, self.long_logits(b).tolist(), strict=True) if v > 0]
+        return ["\n\n".join(t) for t in texts]
+
+    def long_logits(self, blocks: list[Block]) -> np.ndarray:
+        """The logits of the blocks of a page, with the vectors of ``STRETCH`` blocks in memory: backward over the stretches, then forward."""
+        out, p = np.zeros(len(blocks), np.float32), self.net.p
+        cuts = range(0, len(blocks), STRETCH)
+        last = None
+        for at in reversed(cuts):
+            states, last = self.net.one_way(features(blocks, at, at + STRETCH)[::-1], 1, last)
+            out[at : at + STRETCH] = (states @ p["o"][1])[::-1]
+        last = None
+        for at in cuts:
+            x = features(blocks, at, at + STRETCH)
+            states, last = self.net.one_way(x, 0, last)
+            out[at : at + STRETCH] += states @ p["o"][0] + x @ p["s"] + p["c"]
+        return out
 
     def _read(self, blocks: list[list[Block]]) -> list[list[str]]:
-        """The texts of the main blocks of each stretch."""
+        """The texts of the main blocks of each page."""
         out: list[list[str]] = [[] for _ in blocks]
         order = sorted(range(len(blocks)), key=lambda i: len(blocks[i]))
         at = 0

@@ -138,6 +138,20 @@ class BiLstm:
             out[k] = state
         return out
 
+    def one_way(self, x: np.ndarray, way: int, last: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray]]:
+        """Hidden states (time, hidden) of one direction over vectors (time, width) in its reading order, going on from ``last``, and its last state and cell."""
+        h, u = self.hidden, self.p["u"][way]
+        inner = x @ self.p["x"][way] + self.p["b"][way]
+        state, cell = last or (np.zeros(h, np.float32), np.zeros(h, np.float32))
+        out = np.empty((len(x), h), np.float32)
+        for k in range(len(x)):
+            a = inner[k] + state @ u
+            gates = sigmoid(a[: 3 * h])
+            cell = gates[h : 2 * h] * cell + gates[:h] * np.tanh(a[3 * h :])
+            state = gates[2 * h :] * np.tanh(cell)
+            out[k] = state
+        return out, (state, cell)
+
     def logits(self, x: np.ndarray, mask: np.ndarray, keep: list | None = None) -> tuple[np.ndarray, np.ndarray]:
         states = self._run(x, mask, keep)
         return states[:, 0] @ self.p["o"][0] + states[::-1, 1] @ self.p["o"][1] + x @ self.p["s"] + self.p["c"], states
