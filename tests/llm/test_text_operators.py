@@ -1,3 +1,4 @@
+import itertools
 import random
 import re
 import zlib
@@ -90,6 +91,29 @@ def test_overlaps_against_brute_force():
         assert {x[0] for x in block.overlaps(doc)} == slow_overlaps(doc, items), doc
 
 
+def test_masks_leave_no_pattern_of_substitutions():
+    """All ways to put as many substitutions as the thresholds allow into 8 to 29 words; longer stretches hold one of these."""
+    for n in range(decontaminate.MIN_ITEM_WORDS, 30):
+        need = int(np.ceil(0.9 * n)) if n < 14 else max(decontaminate.MIN_WORDS, int(np.ceil(decontaminate.MIN_SHARE * n)))
+        gone = np.array([sum(1 << k for k in c) for c in itertools.combinations(range(n), n - min(need, n))], np.int64)
+        hit = np.zeros(len(gone), bool)
+        for mask in decontaminate.MASKS:
+            for at in range(n - mask[-1]):
+                hit |= gone & sum(1 << at + k for k in mask) == 0
+        assert hit.all(), (n, int((~hit).sum()))
+
+
+def test_substitutions_at_the_threshold():
+    """Passages with the reviewed pattern and random ones, through the operator."""
+    rng = random.Random(4)
+    for n, changed in [(15, (2, 4, 9)), (10, (4,))] + [(n, rng.sample(range(n), n // 5)) for n in range(15, 45) for _ in range(4)]:
+        words = sentence(n).split(" ")
+        block = decontaminate.TestBlock([(1, " ".join(words))])
+        for k in changed:
+            words[k] = "changed"
+        assert [x[0] for x in block.overlaps("before it " + " ".join(words) + " behind it")] == [1], (n, changed)
+
+
 def test_every_planted_passage_is_found_and_no_clean_document(spark):
     items = [(k, sentence(RNG.randint(15, 59))) for k in range(30)]
     rows, truth = [], set()
