@@ -78,6 +78,22 @@ def test_repeated_rows_and_null_ids(spark):
     assert kept.columns == table(spark, rows).columns
 
 
+@pytest.mark.parametrize(
+    "rows, stay",
+    [
+        ([(1, "a"), (1, "a"), (1, "b"), (None, "a"), (2, "a ")], [(1, "b"), (2, "a ")]),
+        ([(None, "b"), (None, "c"), (1, "a"), (1, "a")], [(1, "a"), (None, "b"), (None, "c")]),
+        ([(1, "a"), (1, "a "), (1, "é\t"), (1, "é"), (2, None), (2, ""), (3, " \x0b")], [(1, "a "), (1, "é\t"), (3, " \x0b")]),
+        ([(None, "a"), (None, "a"), (None, "b")], [(None, "a"), (None, "b")]),
+        ([(1, "a"), (2, "b")], [(1, "a"), (2, "b")]),
+    ],
+)
+def test_rows_stay_by_their_own_flag(spark, rows, stay):
+    got = [(r["doc_id"], r["text"]) for r in exact_dedup.keep_first(spark, table(spark, rows)).collect()]
+    assert sorted(got, key=str) == sorted(stay, key=str)
+    assert len(got) == sum(r["kept"] for r in exact_dedup.exact_groups(spark, table(spark, rows)).collect())
+
+
 def test_empty_table(spark):
     assert exact_dedup.exact_groups(spark, table(spark, [])).count() == 0
     assert simhash.near_components(spark, table(spark, [])).count() == 0

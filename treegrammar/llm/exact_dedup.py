@@ -192,6 +192,11 @@ def _hits(filter_bytes):
 
 def exact_groups(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 of every row of ``docs`` (doc_id, text)."""
+    return _groups(spark, docs).select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
+
+
+def _groups(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """The columns of ``exact_groups``, n_points, and whether the row is the one that stays or a repeat of it."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     digests = written(spark, rows.mapInArrow(_digests, "doc_id long, digest binary, n_points long"), "digests")
     index = DigestIndex(spark, filters=False)  # a single batch: the filter that counts here is that of the repeated digests
@@ -201,7 +206,7 @@ def exact_groups(spark: SparkSession, docs: DataFrame) -> DataFrame:
     n = repeated.count()
     tag = F.lower(F.hex("digest"))
     if not n:
-        return digests.select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), tag.alias("text_sha256"))
+        return digests.select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), tag.alias("text_sha256"), "n_points", F.lit(True).alias("first"))
     bloom = bloom_filter(repeated, n)
     hits = rows.mapInArrow(_hits(None if bloom is None else spark.sparkContext.broadcast(bloom)), "doc_id long, digest binary, n_points long, body binary")
     salts = F.greatest(F.lit(1).cast("long"), F.ceil(F.col("n_rows") / SALT_ROWS))
@@ -213,27 +218,31 @@ def exact_groups(spark: SparkSession, docs: DataFrame) -> DataFrame:
     member = hits.withColumn("salt", F.pmod(F.xxhash64("doc_id", F.rand(7)), F.col("salts")))
     compared = member.join(keeper, ["digest", "salt"]).select("doc_id", "digest", "keep_id", "n_rows", "n_points", "best_points", (F.col("body") == F.col("keep_body")).alias("same"), F.when(F.col("body") != F.col("keep_body"), F.col("body")).alias("other"))
     compared = written(spark, compared, "compared")
-    alike = compared.where("same").select("doc_id", "digest", "keep_id", "n_rows", "n_points", "best_points")
+    alike = compared.where("same").select("doc_id", "digest", "keep_id", "n_rows", "n_points", "best_points", "other")
     odd = compared.where("not same")
     if odd.isEmpty():
         found = alike
     else:  # a collision of the digest: these rows are grouped by their bytes
         of_body = odd.groupBy("digest", "other").agg(F.min(F.struct((-F.col("n_points")).alias("less"), F.coalesce("doc_id", F.lit(_BIG)).alias("id"))).alias("best"), F.count("*").alias("own_rows"))
-        regrouped = odd.drop("keep_id", "n_rows", "best_points").join(of_body, ["digest", "other"]).select("doc_id", "digest", F.when(F.col("best.id") != _BIG, F.col("best.id")).alias("keep_id"), F.col("own_rows").alias("n_rows"), "n_points", (-F.col("best.less")).alias("best_points"))
+        regrouped = odd.drop("keep_id", "n_rows", "best_points").join(of_body, ["digest", "other"]).select("doc_id", "digest", F.when(F.col("best.id") != _BIG, F.col("best.id")).alias("keep_id"), F.col("own_rows").alias("n_rows"), "n_points", (-F.col("best.less")).alias("best_points"), "other")
         left = alike.groupBy("digest").agg(F.count("*").alias("left"))
-        found = alike.join(left, "digest").select("doc_id", "digest", "keep_id", F.col("left").alias("n_rows"), "n_points", "best_points").unionByName(regrouped)
+        found = alike.join(left, "digest").select("doc_id", "digest", "keep_id", F.col("left").alias("n_rows"), "n_points", "best_points", "other").unionByName(regrouped)
     first = F.col("doc_id").eqNullSafe(F.col("keep_id")) & (F.col("n_points") == F.col("best_points"))
-    once = Window.partitionBy("doc_id", "digest").orderBy(F.lit(1))
-    kept = found.where(first).withColumn("kept", F.row_number().over(once) == 1)
-    grouped = found.where(~first).withColumn("kept", F.lit(False)).unionByName(kept).select("doc_id", "keep_id", F.col("n_rows").alias("group_size"), "kept", tag.alias("text_sha256"))
-    single = digests.join(repeated.select("digest"), "digest", "left_anti").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), tag.alias("text_sha256"))
+    once = Window.partitionBy("doc_id", "digest", "other").orderBy(F.lit(1))
+    kept = found.where(first).withColumn("kept", F.row_number().over(once) == 1).withColumn("first", F.lit(True))
+    grouped = found.where(~first).withColumn("kept", F.lit(False)).withColumn("first", F.lit(False)).unionByName(kept).select("doc_id", "keep_id", F.col("n_rows").alias("group_size"), "kept", tag.alias("text_sha256"), "n_points", "first")
+    single = digests.join(repeated.select("digest"), "digest", "left_anti").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), tag.alias("text_sha256"), "n_points", F.lit(True).alias("first"))
     return single.unionByName(grouped)
 
 
 def keep_first(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns."""
-    groups = written(spark, exact_groups(spark, docs).select("doc_id", "keep_id", "kept", "group_size"), "groups")
-    kept = groups.where("kept").select(F.col("doc_id").alias("__keep")).distinct()
-    out = docs.join(kept, docs["doc_id"].eqNullSafe(kept["__keep"]), "left_semi")
-    again = groups.where("doc_id <=> keep_id and not kept").isEmpty()  # repeats of a row that stays, of the same id
-    return out if again else out.dropDuplicates(["doc_id"])
+    """The rows of ``docs`` that stay, with all their columns: those whose id, digest and length have the flag, and of repeats of such a row one."""
+    groups = written(spark, _groups(spark, docs).select("doc_id", "kept", "first", "text_sha256", "n_points"), "groups")
+    kept = groups.where("kept").select(F.col("doc_id").alias("__keep"), F.col("text_sha256").alias("__sha"), F.col("n_points").alias("__points")).distinct()
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    body = F.translate(text, BLANK.decode(), "")
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("__keep")) & (F.sha2(body.cast("binary"), 256) == F.col("__sha")) & (F.length(text) == F.col("__points"))
+    out = docs.join(kept, same, "left_semi")
+    if groups.where("first and not kept").isEmpty():
+        return out
+    return out.withColumn("__body", body).dropDuplicates(["doc_id", "__body"]).drop("__body")
