@@ -206,6 +206,17 @@ def test_templates_generalise_and_reject(spark):
     assert url_filter.judge(spark, df.limit(0)).count() == 0
 
 
+def test_deep_segments_generalise(spark):
+    """Identifiers below the fourth segment become wildcards too, and labels there reach unlabelled siblings; deep lone paths end at once."""
+    rules = (("spam.com", "/a/b/c/2024/1", "block"), ("spam.com", "/a/b/c/d/e/f/read/1", "allow"))
+    urls = [f"http://spam.com/a/b/c/2024/{n}" for n in (*range(100, 200), *range(900, 920))] + [f"http://spam.com/a/b/c/d/e/f/read/{n}" for n in (*range(100, 200), *range(900, 920))]
+    urls += ["http://lone.org/" + "x/7/" * 300, "http://lone.org", "http://lone.org/a//b"]
+    got = url_filter.judge(spark, spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"), rules).collect()
+    assert len(got) == len(urls)
+    free = {r["template"]: r["verdict"] for r in got if r["rule"] is None}
+    assert free == {"/a/b/c/*/*": "block", "/a/b/c/d/e/f/read/*": "allow", "/" + "x/*/" * 300: "allow", "/": "allow", "/a//b": "allow"}
+
+
 def test_rare_children_become_a_wildcard(spark):
     urls = [f"http://h.org/user/name-{n}x/posts" for n in range(60)]
     got = url_filter.judge(spark, spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"))
