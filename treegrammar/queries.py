@@ -321,22 +321,29 @@ def _visits(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("traversal_structures")
 def _structures(spark: SparkSession, sf: str) -> DataFrame:
-    """Seven structures of a document of growing size: bytes and visited nodes in both orders and modes (no oracle: the sizes are the result)."""
+    """Seven structures of every document of the log: documents, bytes and visited nodes in both orders and modes (no oracle: the sizes are the result)."""
     from treegrammar.baselines.trees import structures, traverse
     from treegrammar.sources.carriers import log
     from treegrammar.sources.markup import forest_of
     from treegrammar.views.nodewise import Cursor
 
-    users = [r["content"] for r in log(spark, sf).records.orderBy("doc_id").limit(8).collect()]  # eight documents are the workload
-    rows = []
-    for k in (1, 2, 4, 8):
-        f = forest_of([(0, "<users>" + "".join(users[:k]) + "</users>")])
-        for name, (tree, root, size) in structures(f.arrays()[0], f.names).items():
-            walk = tree.traverse if isinstance(tree, Cursor) else (lambda r, o, m, tree=tree: traverse(tree, r, o, m))
-            got = {(o, m): walk(root, o, m) for o in ("dflr", "dfrl") for m in ("rec", "iter")}
-            same = got["dflr", "rec"] == got["dflr", "iter"] and got["dfrl", "rec"] == got["dfrl", "iter"]
-            rows.append((k, name, size, got["dflr", "rec"][0], same))
-    return spark.createDataFrame(rows, "users int, structure string, bytes long, visited long, orders_agree boolean")
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            rows = []
+            for content in batch.column(0).to_pylist():
+                f = forest_of([(0, "<users>" + (content or "") + "</users>")])
+                for name, (tree, root, size) in structures(f.arrays()[0], f.names).items():
+                    walk = tree.traverse if isinstance(tree, Cursor) else (lambda r, o, m, tree=tree: traverse(tree, r, o, m))
+                    got = {(o, m): walk(root, o, m) for o in ("dflr", "dfrl") for m in ("rec", "iter")}
+                    same = got["dflr", "rec"] == got["dflr", "iter"] and got["dfrl", "rec"] == got["dfrl", "iter"]
+                    rows.append((name, int(size), int(got["dflr", "rec"][0]), bool(same)))
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(cols, (pa.string(), pa.int64(), pa.int64(), pa.bool_()), strict=True)], names=["structure", "bytes", "visited", "agree"])
+
+    each = log(spark, sf).records.select("content").mapInArrow(run, "structure string, bytes long, visited long, agree boolean")
+    return each.groupBy("structure").agg(F.count("*").alias("documents"), F.sum("bytes").alias("bytes"), F.sum("visited").alias("visited"), F.every("agree").alias("orders_agree"))
 
 
 @query("normal_form_growth")
