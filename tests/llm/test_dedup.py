@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from treegrammar.llm import components, exact_dedup, simhash
+from treegrammar.llm import components, exact_dedup, simhash, skew
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, digest string, keep string, salt int"
 
@@ -29,15 +29,15 @@ def brute_exact(rows):
 ROWS = [(1, "a b"), (2, "ab"), (3, "a  b\n"), (4, None), (5, ""), (6, " \t\r\n\x0b\x0c"), (7, "é é"), (8, "éé"), (9, "x" * 50_000), (10, "x" * 50_000 + " "), (11, "single"), (12, "a\u00a0b"), (13, "a b"), (14, "a \x1cb")]
 
 
-@pytest.mark.parametrize("bound", [16 << 20, 0])
+@pytest.mark.parametrize("bound", [16 << 20, 20])
 def test_exact_groups(spark, monkeypatch, bound):
     monkeypatch.setattr(exact_dedup, "MAX_FILTER_BYTES", bound)
     got = sorted(tuple(r) for r in exact_dedup.exact_groups(spark, table(spark, ROWS)).select("doc_id", "keep_id", "group_size", "kept", "text_sha256").collect())
     assert got == brute_exact(ROWS)
 
 
-def test_exact_groups_with_small_memtables_and_hot_groups(spark, monkeypatch):
-    monkeypatch.setattr(exact_dedup, "SALT_ROWS", 3)
+def test_exact_groups_with_hot_groups(spark, monkeypatch):
+    monkeypatch.setattr(skew, "HOT", 4)
     rng = random.Random(1)
     rows = [(i, "hot text" + " " * rng.randint(0, 3) if i % 3 == 0 else f"t{rng.randint(0, 40)}") for i in range(300)]
     got = sorted(tuple(r) for r in exact_dedup.exact_groups(spark, table(spark, rows)).select("doc_id", "keep_id", "group_size", "kept", "text_sha256").collect())
@@ -100,16 +100,42 @@ def test_empty_table(spark):
     assert simhash.keep_one(spark, table(spark, [])).count() == 0
 
 
-def test_index_takes_batches(spark):
+@pytest.mark.parametrize("bound", [16 << 20, 20])
+def test_index_takes_batches(spark, monkeypatch, bound):
+    """Runs, compaction and lookups, with all filters in one pass and with one prefix a pass."""
+    monkeypatch.setattr(exact_dedup, "MAX_FILTER_BYTES", bound)
+    digests = lambda rows: exact_dedup.digests(spark, table(spark, rows))
     index = exact_dedup.DigestIndex(spark)
     for rows in ([(5, "a"), (6, "b")], [(3, "a"), (7, "c")]):
-        index.insert(table(spark, rows).select("doc_id", "text").mapInArrow(exact_dedup._digests, "doc_id long, digest binary, n_points long"))
+        index.insert(digests(rows))
+    probes = [(9, " a"), (9, "a"), (8, "new"), (None, "b"), (4, "c")]
+    assert sorted((r["doc_id"] or 0, r["keep_id"]) for r in index.lookup(digests(probes)).collect()) == [(0, 6), (4, 7), (8, None), (9, 3), (9, 3)]
     first = {(r["keep_id"], r["n_rows"]) for r in index.compact().collect()}
     assert first == {(3, 2), (6, 1), (7, 1)}
-    index.insert(table(spark, [(1, "a")]).select("doc_id", "text").mapInArrow(exact_dedup._digests, "doc_id long, digest binary, n_points long"))
+    index.insert(digests([(1, "a")]))
     assert {(r["keep_id"], r["n_rows"]) for r in index.compact().collect()} == {(1, 3), (6, 1), (7, 1)}
-    probe = table(spark, [(9, " a"), (8, "new")]).select("doc_id", "text").mapInArrow(exact_dedup._digests, "doc_id long, digest binary, n_points long")
-    assert {(r["doc_id"], r["keep_id"]) for r in index.lookup(probe).collect()} == {(9, 1), (8, None)}
+    assert sorted((r["doc_id"] or 0, r["keep_id"]) for r in index.lookup(digests(probes)).collect()) == [(0, 6), (4, 7), (8, None), (9, 1), (9, 1)]
+    assert exact_dedup.DigestIndex(spark).lookup(digests(probes)).where("keep_id is null").count() == 5
+
+
+def test_filters_lose_no_digest_and_pass_few_others():
+    own = [hashlib.sha256(str(i).encode()).digest() for i in range(5000)]
+    filters: dict[int, list[bytes]] = {}
+    for d in own:
+        filters.setdefault(exact_dedup.prefix_of(d), []).append(d)
+    filters = {p: [exact_dedup.bloom_filter(ds)] for p, ds in filters.items()}
+    assert exact_dedup.passing(filters, own) == list(range(5000))
+    other = [hashlib.sha256(b"x%d" % i).digest() for i in range(5000)]
+    assert len(exact_dedup.passing(filters, other)) < 50
+
+
+def test_joins_of_hot_keys(spark, monkeypatch):
+    monkeypatch.setattr(skew, "HOT", 3)
+    rows = spark.createDataFrame([(i, "h" if i % 2 else f"k{i % 7}") for i in range(100)] + [(200, "none")], "id long, key string")
+    entries = rows.where("key <> 'none'").groupBy("key").count().withColumnRenamed("count", "n")
+    for how, n in (("inner", 100), ("left", 101)):
+        got = skew.join_entries(rows, entries, ["key"], "n", 101, how).collect()
+        assert len(got) == n and {(r["key"], r["n"]) for r in got if r["key"] != "none"} == {(r["key"], r["n"]) for r in entries.collect()}
 
 
 # SimHash
@@ -177,6 +203,33 @@ def test_links_in_dense_balls_are_not_lost(spark, monkeypatch, cell_rows):
     assert {p: got.get(p, p) for p in prints} == want
 
 
+@pytest.mark.parametrize(
+    "rows, stay",
+    [
+        ([(1, "x y"), (1, "x y"), (2, "x y"), (None, "p q r"), (None, "p q r"), (None, "s t u")], [(1, "x y"), (None, "p q r"), (None, "s t u")]),
+        ([(3, "a b c d"), (3, "e f g h"), (4, "a b c d"), (None, "e f g h")], [(3, "a b c d"), (3, "e f g h")]),
+        ([(None, None), (None, ""), (7, "a")], [(None, None), (7, "a")]),
+    ],
+)
+def test_one_row_of_each_component_stays(spark, rows, stay):
+    """Null and repeated ids: rows stay by themselves, not by their id."""
+    got = [(r["doc_id"], r["text"] or None) for r in simhash.keep_one(spark, table(spark, rows)).collect()]
+    assert sorted(got, key=str) == sorted(stay, key=str)
+
+
+def test_pairs_within_the_radius_are_dealt_together():
+    """However three bits are changed, two segments have equal pivot distances."""
+    rng = np.random.default_rng(8)
+    a = rng.integers(0, 1 << 63, 3000, dtype=np.uint64)
+    b = a.copy()
+    for k in range(3):
+        b ^= np.uint64(1) << rng.integers(0, 64, 3000).astype(np.uint64)
+    x, y = (simhash.deal_keys(simhash.pivot_distances(v).astype(np.uint64)) for v in (a, b))
+    assert (x == y).any(axis=1).all()
+    assert (simhash.pivot_distances(a).sum(axis=1) == np.bitwise_count(a[:, None] ^ simhash.references())).all()
+    assert (x[:-1] == x[1:]).mean() < 0.001
+
+
 def test_pivot_table_discards_no_link():
     rng = np.random.default_rng(3)
     prints = rng.integers(0, 1 << 63, 400, dtype=np.uint64)

@@ -3,7 +3,8 @@
 ``components(spark, links)`` takes links (a, b) of long nodes and returns (node, root), root being the smallest node
 that can be reached; only nodes with links to other nodes appear. Tasks first reduce the links they hold to a spanning
 forest, then every round points each node to the smallest neighbour (large star), then shortens the chains (small
-star). A hub's neighbours are never gathered: only minima are aggregated, with map-side combining, and joined back.
+star). A hub's neighbours are never gathered: only minima are aggregated, with map-side combining, and joined back; those of hubs are broadcast,
+at most ``skew.HOT`` of them, so the links of a hub stay where they are.
 Every round is written below the shared folder, so that lost executors repeat one round at most.
 """
 
@@ -16,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from treegrammar.llm.skew import join_entries
 from treegrammar.shared import written
 
 
@@ -61,15 +63,18 @@ def _local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> DataFrame:
     own = links.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).where("a <> b")
     now = written(spark, own.mapInArrow(_local, "a long, b long"), "links")
-    seen = None
+    seen, size = None, now.count()
     for _ in range(max_rounds):
         both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        big = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        small = big.groupBy("a").agg(F.min("b").alias("m"))
-        next_ = big.join(small, "a").select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        least = both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n")
+        least = written(spark, least, "links-least")
+        big = join_entries(both.where("b > a"), least, ["a"], "n", 2 * size).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        big = written(spark, big, "links-large-star")
+        small = written(spark, big.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")), "links-least")
+        next_ = join_entries(big, small, ["a"], "n", size).select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         now = written(spark, next_, "links")
         mark = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
+        size = mark[0]
         if mark == seen:
             break
         seen = mark

@@ -5,11 +5,12 @@ get a table of Hamming distances to ``PIVOTS`` reference fingerprints, computed
 ``d`` bits have distances to any reference that differ by ``d`` at most, so a pair whose largest coordinate difference
 exceeds the radius is discarded without comparing the fingerprints; survivors are verified by their exact distance.
 
-Which pairs meet in the tables: the 64 bits are cut into five segments, and a pair within three bits agrees on at least
-two of them, so the rows are dealt by each of the ten pairs of segments (no pair within the radius is lost). A group
+Which pairs meet: the table holds the distances by segment too. The 64 bits are cut into five segments; distances to the references
+within a segment add up to the whole ones, and a pair within three bits has equal distances to every reference in at least two segments. So the rows
+are dealt by the tuples of distances in each of the ten pairs of segments, and no pair within the radius is lost. A group
 of more than ``CELL_ROWS`` fingerprints is split into chunks and every pair of chunks becomes a cell of its own, so no
 task holds a group without bound; a cell emits a spanning forest of its links, never all pairs. Equal fingerprints are
-one node from the start, however many texts share one.
+one node from the start, however many texts share one, and the entries of fingerprints and components with many rows are broadcast (a bounded number).
 
 Defined results: a null text counts as empty; a text without words has fingerprint zero and is linked like any other;
 repeated rows of an id are rows of their own; extra columns are ignored; an empty table gives no rows. A null doc_id
@@ -28,6 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from treegrammar.llm.components import components, forest
+from treegrammar.llm.skew import join_entries
 from treegrammar.shared import written
 
 SEED, SHINGLE, RADIUS = 42, 3, 3
@@ -74,17 +76,35 @@ def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         for at in range(0, batch.num_rows, 512):
             part = batch.slice(at, 512)
             prints = np.array([fingerprint(t) for t in part.column(1).to_pylist()], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(prints)], names=["doc_id", "print"])
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(prints), part.column(2)], names=["doc_id", "print", "mark"])
+
+
+def pivot_distances(prints: np.ndarray) -> np.ndarray:
+    """(fingerprints, segments, references): the distances to all references within each segment."""
+    masks = np.array([((1 << n) - 1) << at for at, n in SEGMENTS], np.uint64)
+    return np.bitwise_count((prints[:, None, None] ^ references()) & masks[:, None])
+
+
+def deal_keys(far: np.ndarray) -> np.ndarray:
+    """(fingerprints, pairs of segments): a hash of the tuple of distances in both segments."""
+    odd = np.random.default_rng(77).integers(0, 1 << 62, (2, far.shape[2]), dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
+    one = (far[:, :, None, :] * odd).sum(axis=3, dtype=np.uint64)  # (fingerprints, segments, 2)
+    pairs = np.array(list(combinations(range(len(SEGMENTS)), 2)))
+    key = one[:, pairs[:, 0], 0] * np.uint64(0x9E3779B97F4A7C15) + one[:, pairs[:, 1], 1] + np.arange(len(pairs), dtype=np.uint64)
+    key = (key ^ key >> np.uint64(29)) * np.uint64(0xBF58476D1CE4E5B9)
+    return (key ^ key >> np.uint64(32)).view(np.int64)
 
 
 def _table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The pivot distances of each fingerprint, one byte each."""
-    pivots = references()
+    """The whole pivot distances of each fingerprint, one byte each, and the keys by which it is dealt."""
     for batch in batches:
-        prints = batch.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
-        far = np.bitwise_count(prints[:, None] ^ pivots).astype(np.uint8)
-        packed = [far[i].tobytes() for i in range(len(far))]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], names=["print", "far"])
+        for at in range(0, batch.num_rows, 2048):
+            part = batch.slice(at, 2048)
+            apart = pivot_distances(part.column(0).to_numpy(zero_copy_only=False).view(np.uint64))
+            whole, keys = apart.sum(axis=1, dtype=np.uint8), deal_keys(apart.astype(np.uint64))
+            packed = pa.array([w.tobytes() for w in whole], pa.binary())
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, keys.size + 1, keys.shape[1]), pa.int32()), pa.array(keys.ravel()))
+            yield pa.RecordBatch.from_arrays([part.column(0), packed, lists], names=["print", "far", "keys"])
 
 
 def linked(prints: np.ndarray, far: np.ndarray, left: np.ndarray, right: np.ndarray, radius: int) -> np.ndarray:
@@ -177,13 +197,9 @@ def print_links(spark: SparkSession, prints: DataFrame, radius: int = RADIUS) ->
     """Links (a, b) between distinct fingerprints ``prints`` (print long) that connect all within ``radius`` <= 3 bits."""
     if radius > 3:
         raise ValueError("five segments cover a radius of three bits at most")
-    table = written(spark, prints.select("print").mapInArrow(_table, "print long, far binary"), "pivots")
-    masks = [sum(((1 << SEGMENTS[s][1]) - 1) << SEGMENTS[s][0] for s in two) for two in combinations(range(5), 2)]
-    signed = [m - (1 << 64) if m >> 63 else m for m in masks]
-    keys = F.array(*[F.xxhash64(F.lit(k), F.col("print").bitwiseAND(F.lit(m).cast("long"))) for k, m in enumerate(signed)])
-    dealt = table.select("print", F.explode(keys).alias("key"))
-    sizes = dealt.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    met = table.select("print", "far", F.explode(keys).alias("key")).join(sizes, "key")
+    table = written(spark, prints.select("print").mapInArrow(_table, "print long, far binary, keys array<long>"), "pivots")
+    sizes = written(spark, table.select(F.explode("keys").alias("key")).groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "cells")
+    met = join_entries(table.select("print", "far", F.explode("keys").alias("key")), sizes, ["key"], "n", 10 * table.count())
     chunks = F.ceil(F.col("n") / CELL_ROWS).cast("int")
     met = met.withColumn("chunks", chunks).withColumn("own", F.pmod(F.xxhash64("print"), F.col("chunks")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
@@ -193,20 +209,39 @@ def print_links(spark: SparkSession, prints: DataFrame, radius: int = RADIUS) ->
     return met.repartition(n, "cell").sortWithinPartitions("cell").mapInArrow(_links(radius), "a long, b long").distinct()
 
 
+_BIG = (1 << 63) - 1
+
+
+def _named(spark: SparkSession, docs: DataFrame, radius: int) -> DataFrame:
+    """doc_id, print, mark (a digest of the text), component_id, and the row that stays for its component: keep_id, keep_mark."""
+    text = F.col("text").cast("string")
+    mark = F.sha2(F.coalesce(text, F.lit("")).cast("binary"), 256).alias("mark")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), mark)
+    prints = written(spark, rows.mapInArrow(_fingerprints, "doc_id long, print long, mark string"), "prints")
+    least = F.min(F.struct(F.coalesce("doc_id", F.lit(_BIG)).alias("id"), "mark"))
+    nodes = written(spark, prints.groupBy("print").agg(least.alias("least"), F.count("*").alias("n")), "print-nodes")
+    joined = components(spark, print_links(spark, nodes, radius))  # over fingerprints
+    rooted = nodes.join(joined.select(F.col("node").alias("print"), "root"), "print", "left").select("print", "least", "n", F.coalesce("root", "print").alias("root"))
+    rooted = written(spark, rooted, "print-roots")
+    best = written(spark, rooted.groupBy("root").agg(F.min("least").alias("best"), F.count("*").alias("prints")), "root-entries")
+    named = written(spark, join_entries(rooted.select("print", "n", "root"), best, ["root"], "prints", nodes.count()).select("print", "n", "best"), "print-entries")
+    keep_id = F.when(F.col("best.id") != _BIG, F.col("best.id"))
+    return join_entries(prints, named, ["print"], "n", prints.count()).select("doc_id", "print", "mark", keep_id.alias("component_id"), F.col("best.mark").alias("keep_mark"))
+
+
 def near_components(spark: SparkSession, docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     """doc_id, fingerprint and component_id of every row of ``docs`` (doc_id, text)."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    prints = written(spark, rows.mapInArrow(_fingerprints, "doc_id long, print long"), "prints")
-    nodes = written(spark, prints.groupBy("print").agg(F.min("doc_id").alias("node")), "print-nodes")
-    links = print_links(spark, nodes, radius)
-    joined = components(spark, links)  # over fingerprints
-    rooted = nodes.join(joined.select(F.col("node").alias("print"), "root"), "print", "left").select("print", "node", F.coalesce("root", "print").alias("root"))
-    least = rooted.groupBy("root").agg(F.min("node").alias("component_id"))
-    named = rooted.join(least, "root").select("print", "component_id")
-    return prints.join(named, "print").select("doc_id", F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), "component_id")
+    return _named(spark, docs, radius).select("doc_id", F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def keep_one(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The document with the smallest id of every component, with all its columns."""
-    found = near_components(spark, docs).where("doc_id <=> component_id").select(F.col("doc_id").alias("__keep")).distinct()
-    return docs.join(found, docs["doc_id"].eqNullSafe(found["__keep"]), "left_semi")
+    """One row of every component, with all its columns: that with the smallest id (null last), of these the one whose text has the smallest digest."""
+    found = _named(spark, docs, RADIUS).where("doc_id <=> component_id and mark = keep_mark")
+    found = written(spark, found.groupBy(F.col("doc_id").alias("__keep"), F.col("mark").alias("__mark")).agg(F.count("*").alias("repeats")), "representatives")
+    mark = F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary"), 256)
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("__keep")) & (mark == F.col("__mark"))
+    again = found.where("repeats > 1")
+    if again.isEmpty():
+        return docs.join(found, same, "left_semi")
+    one = docs.join(again, same, "left_semi").withColumn("__mark", mark).dropDuplicates(["doc_id", "__mark"]).drop("__mark")
+    return docs.join(found.where("repeats = 1"), same, "left_semi").unionByName(one)
