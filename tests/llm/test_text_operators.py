@@ -64,7 +64,9 @@ def slow_overlaps(doc, items, min_words=decontaminate.MIN_WORDS, min_share=decon
     d, out = decontaminate.words(doc), set()
     for item_id, text in items:
         w = decontaminate.words(text)
-        if len(w) < decontaminate.MIN_ITEM_WORDS:
+        if len(w) < decontaminate.TOLERANT:
+            if w and any(d[k : k + len(w)] == w for k in range(len(d))):
+                out.add(item_id)
             continue
         need = min(min_words, int(np.ceil(0.9 * len(w))))
         for shift in range(-len(w), len(d)):
@@ -93,7 +95,7 @@ def test_overlaps_against_brute_force():
 
 def test_masks_leave_no_pattern_of_substitutions():
     """All ways to put as many substitutions as the thresholds allow into 8 to 29 words; longer stretches hold one of these."""
-    for n in range(decontaminate.MIN_ITEM_WORDS, 30):
+    for n in range(decontaminate.TOLERANT, 30):
         need = int(np.ceil(0.9 * n)) if n < 14 else max(decontaminate.MIN_WORDS, int(np.ceil(decontaminate.MIN_SHARE * n)))
         gone = np.array([sum(1 << k for k in c) for c in itertools.combinations(range(n), n - min(need, n))], np.int64)
         hit = np.zeros(len(gone), bool)
@@ -114,6 +116,29 @@ def test_substitutions_at_the_threshold():
         assert [x[0] for x in block.overlaps("before it " + " ".join(words) + " behind it")] == [1], (n, changed)
 
 
+def test_short_items_must_stand_whole():
+    items = [(k, sentence(k)) for k in range(8)] + [(20, "..."), (21, "cake")]
+    block = decontaminate.TestBlock(items)
+    rng = random.Random(6)
+    for k, text in items:
+        own = text.split(" ") if text else []
+        changed = ["changed", *own[1:]]
+        for doc in (sentence(9, rng) + " " + text + " " + sentence(5, rng), text, " ".join(own[:-1]), " ".join(changed), "cake " * 40):
+            assert {x[0] for x in block.overlaps(doc)} == slow_overlaps(doc, items), (k, doc)
+    assert block.overlaps("a cake, a cake") == [(21, 1, 1, 1, 0)] and block.overlaps(None) == []
+
+
+def test_rows_are_cleaned_by_their_own_text(spark):
+    """Null and repeated ids: a row goes if its own text holds a passage."""
+    item = sentence(20)
+    rows = [(None, item), (None, "clean"), (1, "also clean"), (1, "x " + item), (1, "also clean")]
+    tests = spark.createDataFrame([(1, item)], "item_id long, text string")
+    got = sorted(((r["doc_id"], r["text"]) for r in decontaminate.clean(spark, table(spark, rows), tests).collect()), key=str)
+    assert got == sorted([(None, "clean"), (1, "also clean"), (1, "also clean")], key=str)
+    found = decontaminate.overlaps(spark, table(spark, [(1, "y z " + item), (1, item + " q"), (None, item)]), tests).collect()
+    assert {(r["doc_id"], r["equal_words"], r["doc_word"]) for r in found} == {(1, 20, 0), (None, 20, 0)}
+
+
 def test_every_planted_passage_is_found_and_no_clean_document(spark):
     items = [(k, sentence(RNG.randint(15, 59))) for k in range(30)]
     rows, truth = [], set()
@@ -221,7 +246,7 @@ def test_language_held_out_accuracy(spark):
 def test_language_edges(spark):
     model = language.LanguageModel(["aa", "bb"])
     model.train(["xyz " * 30] * 4 + ["qrs " * 30] * 4, ["aa"] * 4 + ["bb"] * 4, steps=60)
-    rows = [(1, None), (2, ""), (3, "12 -- \n"), (4, "xyz xyz"), (5, "qrs " * 5000), (6, "é"), (6, "é")]
+    rows = [(1, None), (2, ""), (3, "12 -- \n \u00b2\u00bd"), (4, "xyz xyz"), (5, "qrs " * 5000), (6, "é"), (6, "é")]
     got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in language.predict(spark, table(spark, rows), model).collect()}
     assert got[1] == got[2] == got[3] == ("und", 0.0) and got[4][0] == "aa" and got[5][0] == "bb" and got[6][0] in ("aa", "bb")
     assert language.predict(spark, table(spark, []), model).count() == 0
@@ -248,7 +273,11 @@ def test_block_max_search_equals_a_full_scan():
         if not len(terms):
             continue
         rows, sims = model.nearest(terms, w)
-        full = model.matrix[:, terms] @ w
+        full = np.zeros(len(model.ids))
+        for t, x in zip(terms.tolist(), w.tolist(), strict=True):
+            pieces = slice(model.of_term[t], model.of_term[t + 1])
+            for at, size in zip(model.piece_start[pieces].tolist(), model.piece_size[pieces].tolist(), strict=True):
+                full[model.row[at : at + size]] += x * model.w[at : at + size]
         order = np.lexsort((model.ids, -np.round(full, 6)))
         order = [k for k in order.tolist() if full[k] > 0][: model.k]
         assert rows.tolist() == order and np.allclose(sims, full[order], atol=1e-5)
@@ -269,8 +298,24 @@ def test_toxicity_edges(spark):
     assert only.score("a")[0] < 0.5
 
 
-def test_near_copies_count_once():
-    rng = random.Random(4)
-    text = sentence(60, rng)
-    rows = [(i, text + f" tail{i}", 1) for i in range(50)] + [(100 + i, sentence(60, rng), i % 2) for i in range(40)]
-    assert len(toxicity.collapse(rows)) == 41
+def test_every_word_counts():
+    """No word of an example is left out of its vector, and equal word sequences count once."""
+    rows = examples()
+    model = toxicity.Neighbours(rows + [(10_000 + i, t, y) for i, t, y in rows])
+    assert set(model.vocab) == {w for _, t, _ in rows for w in t.split(" ")} and len(model.ids) == len({t for _, t, _ in rows})
+    assert (model.term_weight > 0).all()
+
+
+def test_document_frequencies(spark):
+    rows = [(1, "Aa bb aa"), (2, "bb cc"), (2, "bb cc"), (3, None), (4, "")]
+    assert toxicity.document_frequencies(spark, table(spark, rows), {"aa", "bb", "zz"}) == ({"aa": 1, "bb": 3}, 5)
+    assert toxicity.document_frequencies(spark, table(spark, []), {"aa"}) == ({}, 0)
+
+
+def test_toxicity_held_out(spark):
+    """Labelled rows that the model has not seen, on the given table."""
+    from treegrammar.llm.queries import op8_toxicity
+
+    sf = "/root/testdata/sf0.1"
+    got = op8_toxicity(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "toxic"), "doc_id").where("held_out").select("predicted", "toxic").collect()
+    assert np.mean([r["predicted"] == r["toxic"] for r in got]) > 0.975

@@ -3,7 +3,7 @@
 The distinct words of a batch go into a trie in sorted order. A depth-first walk keeps, for every prefix, the last token
 of its encoding: the unique token that ends there and stays apart from the last token of the prefix before it. Words
 with a common prefix share that work, and a word's encoding is read back through the last-token chain. Encodings are
-kept in a bounded cache of the Python worker, so frequent words are encoded once.
+kept in a cache of bounded bytes, so frequent words are encoded once; a task drops it at its end.
 
 Words are cut as the tokenizer file says (byte-level pre-tokenization without a prefix space); the strings of added
 tokens are matched first and get their own ids. Decoding joins the bytes of the ids and replaces invalid UTF-8.
@@ -25,8 +25,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: Words whose encodings, and pairs of tokens whose border a worker keeps; either cache starts anew beyond that.
-CACHE_WORDS, CACHE_PAIRS = 1_500_000, 1_500_000
+#: Bytes of words and encodings, about, and pairs of tokens whose border a task keeps; beyond that either cache starts anew,
+#: the first with the words of the texts at hand. Their tables take some 120 MB at most.
+CACHE_BYTES, CACHE_PAIRS, WORD_BYTES = 80 << 20, 300_000, 190
 #: The byte-level pre-tokenization pattern; white space as Unicode defines it.
 _SPACE = r"\p{White_Space}"
 PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|{_SPACE}+(?!\P{{White_Space}})|{_SPACE}+"
@@ -68,7 +69,8 @@ class Bpe:
         self.special = regex.compile("|".join(regex.escape(s) for s in sorted(self.added, key=len, reverse=True))) if self.added else None
         self.apart: dict[int, bool] = {}
         self.known: dict[str, str] = {}  # a word's ids, joined by commas
-        self.decoded: dict[str, bytes] = {}  # the bytes that these ids stand for
+        self.held = 0  # bytes of the words known, about
+        self.named = {str(i): t for i, t in self.token.items()}
 
     def _edges(self, token: int, right: bool) -> list[tuple[int, int, float]]:
         """Pieces on one edge of a token while it grows: the piece, and the ranks at which it is made and absorbed."""
@@ -126,15 +128,18 @@ class Bpe:
 
     def learn(self, words: set[str]) -> None:
         """Add the encodings of words that are not known yet."""
+        if self.held > CACHE_BYTES:
+            kept = {w: self.known[w] for w in words if w in self.known}
+            self.known, self.held = kept, sum(WORD_BYTES + len(w) + len(i) for w, i in kept.items())
         new = {w.encode("utf-8", "surrogatepass"): w for w in words if w not in self.known}
-        if len(self.known) + len(new) > CACHE_WORDS:
-            self.known.clear()
-            self.decoded.clear()
-            new = {w.encode("utf-8", "surrogatepass"): w for w in words}
-        token = self.token
         for raw, ids in self.encode_words(new):
-            self.known[new[raw]] = ",".join(map(str, ids))
-            self.decoded[new[raw]] = b"".join([token[i] for i in ids])
+            shown = ",".join(map(str, ids))
+            self.known[new[raw]] = shown
+            self.held += WORD_BYTES + len(raw) + len(shown)
+
+    def forget(self) -> None:
+        """Drop what was kept of the texts read so far."""
+        self.known, self.apart, self.held = {}, {}, 0
 
     def pieces(self, text: str) -> list[str | int]:
         """The text cut at added tokens, which become their ids."""
@@ -151,11 +156,11 @@ class Bpe:
         wide, plain = self.cut.findall, self.cut_ascii.findall
         cuts = [[x if isinstance(x, int) else plain(x) if x.isascii() else wide(x) for x in self.pieces(t)] for t in texts]
         self.learn({w for c in cuts for x in c if not isinstance(x, int) for w in x})
-        known, decoded = self.known.__getitem__, self.decoded.__getitem__
+        known, named = self.known.__getitem__, self.named.__getitem__
         for c in cuts:
             ids = ",".join([str(x) if isinstance(x, int) else ",".join(map(known, x)) for x in c if x != []])
-            raw = b"".join([self.token[x] if isinstance(x, int) else b"".join(map(decoded, x)) for x in c])
-            yield ids, ids.count(",") + 1 if ids else 0, raw
+            each = ids.split(",") if ids else []
+            yield ids, len(each), b"".join(map(named, each))
 
     def decode(self, ids: Iterable[int]) -> str:
         return b"".join([self.token[i] for i in ids]).decode("utf-8", "replace")
@@ -165,7 +170,7 @@ _LOADED: dict[str, Bpe] = {}
 
 
 def loaded(text: str) -> Bpe:
-    """One encoder a worker for each tokenizer file, so that its cache outlives a task."""
+    """One encoder a worker for each tokenizer file; what it keeps of the texts is dropped by ``forget``."""
     key = hashlib.sha256(text.encode()).hexdigest()
     if key not in _LOADED:
         _LOADED.clear()
@@ -190,6 +195,7 @@ def digests(docs: DataFrame, tokenizer: str) -> DataFrame:
                 got = list(bpe.encode_texts([t or "" for t in part.column(1).to_pylist()]))
                 cols = [part.column(0), pa.array([g[1] for g in got], pa.int64()), pa.array([hashlib.sha256(g[0].encode()).hexdigest() for g in got]), pa.array([hashlib.sha256(g[2].decode("utf-8", "replace").encode()).hexdigest() for g in got])]
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        bpe.forget()
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
@@ -206,6 +212,7 @@ def encode(docs: DataFrame, tokenizer: str) -> DataFrame:
                 part = batch.slice(at, 64)
                 ids = [[int(x) for x in g[0].split(",") if x] for g in bpe.encode_texts([t or "" for t in part.column(1).to_pylist()])]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["doc_id", "ids"])
+        bpe.forget()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>")
 
@@ -217,6 +224,8 @@ def decode(encoded: DataFrame, tokenizer: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = loaded(shared.value)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([bpe.decode(ids or []) for ids in batch.column(1).to_pylist()], pa.string())], names=["doc_id", "text"])
+            for at in range(0, batch.num_rows, 64):
+                part = batch.slice(at, 64)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([bpe.decode(ids or []) for ids in part.column(1).to_pylist()], pa.string())], names=["doc_id", "text"])
 
     return encoded.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("ids").cast(T.ArrayType(T.IntegerType())).alias("ids")).mapInArrow(run, "doc_id long, text string")

@@ -8,15 +8,17 @@ between item and document, and the overlap around it is verified word by word, t
 A document is contaminated by an item if the verified overlap has at least ``min_words`` equal words (or all words but
 a tenth, for an item shorter than that) with a share of equal words of ``min_share`` or more. The masks miss no such
 overlap at the default thresholds: every pattern of substitutions in 8 to 29 words that meets them leaves a hit, and a
-longer stretch either begins with 15 words that meet them or meets them without those. Higher thresholds keep this.
+longer stretch either begins with 15 words that meet them or meets them without those. Higher thresholds keep this. An item of one to
+seven words cannot lose a word and still be told from chance: it must stand in the document whole, and is found by a mask of its own length.
 
-The test side is small against the documents. Its hashes are shipped in blocks of at most ``BLOCK_WORDS`` words, so
-what is broadcast has a fixed size; a larger benchmark takes more passes, never a cap. Documents are read
+The test side is small against the documents. Its hashes are the build side of the join: they are shipped in blocks of at most ``BLOCK_WORDS`` words, so
+what is broadcast has a fixed size; a larger benchmark takes more passes, never a cap. (A shuffled join would move a row for each word
+and mask, some sixteen times the input.) Documents are read
 whole and stay in place: only verified overlaps leave the tasks, so frequent passages and sources cannot skew a shuffle.
 
-Defined results: null texts count as empty; items with fewer than ``MIN_ITEM_WORDS`` words cannot be told from chance
-and match nothing; several overlaps of a document with one item give one row, the one with most equal words, then the
-first; equal items give a row each; repeated rows of a document give one row for each item; extra columns are ignored.
+Defined results: null texts count as empty; an item without words matches nothing; several overlaps of a document with one item give one row, the one with most equal words, then the
+first; equal items give a row each; repeated rows of a document give one row for each item, that of the best overlap; extra columns are ignored.
+``clean`` judges every row by its own text, whatever its id.
 """
 
 from __future__ import annotations
@@ -31,7 +33,9 @@ from pyspark.sql import functions as F
 
 #: Positions that count, of windows of up to twelve words, from a greedy cover of all patterns of substitutions.
 MASKS = ((0, 1, 2, 3, 5, 6), (0, 1, 3, 7, 10, 11), (0, 1, 2, 6, 8, 9), (0, 1, 2, 3, 4, 5))
-MIN_WORDS, MIN_SHARE, MIN_ITEM_WORDS = 12, 0.8, 8
+MIN_WORDS, MIN_SHARE = 12, 0.8
+#: Words of an item from which substitutions are tolerated.
+TOLERANT = 8
 BLOCK_WORDS = 400_000
 _WORD = re.compile(r"[^\W_]+")
 
@@ -68,38 +72,39 @@ class TestBlock:
         self.vocab: dict[str, int] = {}
         self.items: list[tuple[int, np.ndarray]] = []
         for item, text in items:
-            got = words(text)
-            if len(got) >= MIN_ITEM_WORDS:
+            if got := words(text):
                 self.items.append((item, np.array([self.vocab.setdefault(w, len(self.vocab) + 1) for w in got], np.uint64)))
-        self.tables = []
-        for mask in MASKS:
-            parts = [(h, np.full(len(h), i), np.arange(len(h))) for i, (_, ids) in enumerate(self.items) if len(h := window_hashes(ids, mask))]
-            if not parts:
-                self.tables.append((np.empty(0, np.uint64), np.empty(0, int), np.empty(0, int)))
-                continue
-            h, i, at = (np.concatenate(x) for x in zip(*parts, strict=True))
-            order = np.argsort(h, kind="stable")
-            self.tables.append((h[order], i[order], at[order]))
-        self.unique = [np.unique(t[0]) for t in self.tables]
+        sizes = np.array([len(ids) for _, ids in self.items], np.int64)
+        self.shortest = int(sizes.min(initial=TOLERANT))
+        plans = [(m, sizes >= TOLERANT) for m in MASKS] + [(tuple(range(n)), sizes == n) for n in range(1, TOLERANT)]
+        self.tables = []  # mask, whether the whole item must stand there, distinct hashes, hashes, items, positions
+        for k, (mask, fits) in enumerate(plans):
+            parts = [(h, np.full(len(h), i), np.arange(len(h))) for i in np.flatnonzero(fits).tolist() if len(h := window_hashes(self.items[i][1], mask))]
+            if parts:
+                h, i, at = (np.concatenate(x) for x in zip(*parts, strict=True))
+                order = np.argsort(h, kind="stable")
+                self.tables.append((mask, k >= len(MASKS), np.unique(h), h[order], i[order], at[order]))
 
     def overlaps(self, text: str | None, min_words: int = MIN_WORDS, min_share: float = MIN_SHARE) -> list[tuple[int, int, int, int, int]]:
         """item_id, equal words, words of the overlap, its first word in the document and in the item."""
         known = self.vocab
         ids = np.array([known.get(w, 0) for w in words(text)], np.uint64)
-        if len(ids) < MIN_ITEM_WORDS or np.count_nonzero(ids) < 6:
+        if np.count_nonzero(ids) < min(6, self.shortest):
             return []
         seeds: set[tuple[int, int]] = set()
-        for mask, (hashes, item, at), unique in zip(MASKS, self.tables, self.unique, strict=True):
+        best: dict[int, tuple[int, int, int, int, int]] = {}
+        for mask, whole, unique, hashes, item, at in self.tables:
             mine = window_hashes(ids, mask)
-            if not len(mine) or not len(unique):
-                continue
             spot = np.flatnonzero(mine)
             found = np.searchsorted(unique, mine[spot])
             spot = spot[(found < len(unique)) & (unique[np.minimum(found, len(unique) - 1)] == mine[spot])]
             for p in spot.tolist():
                 for k in range(int(np.searchsorted(hashes, mine[p], "left")), int(np.searchsorted(hashes, mine[p], "right"))):
-                    seeds.add((int(item[k]), p - int(at[k])))
-        best: dict[int, tuple[int, int, int, int, int]] = {}
+                    i, n = int(item[k]), len(mask)
+                    if not whole:
+                        seeds.add((i, p - int(at[k])))
+                    elif i not in best and (ids[p : p + n] == self.items[i][1]).all():
+                        best[i] = (self.items[i][0], n, n, p, 0)
         for i, shift in sorted(seeds):
             item_id, own = self.items[i]
             lo, hi = max(0, shift), min(len(ids), shift + len(own))
@@ -150,27 +155,46 @@ def overlaps(spark: SparkSession, docs: DataFrame, tests: DataFrame, min_words:
     schema = "doc_id long, item_id long, equal_words long, overlap_words long, doc_word long, item_word long"
     out = None
     for block in _blocks(tests):
-        shared = spark.sparkContext.broadcast(block)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            test = TestBlock(shared.value)
-            for batch in batches:
-                found = []
-                for at in range(0, batch.num_rows, 512):
-                    part = batch.slice(at, 512)
-                    for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
-                        found += [(doc_id, *x) for x in test.overlaps(text, min_words, min_share)]
-                cols = list(zip(*found, strict=True)) if found else [[]] * 6
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), pa.int64()) for c in cols], names=["doc_id", "item_id", "equal_words", "overlap_words", "doc_word", "item_word"])
-
-        one = rows.mapInArrow(run, schema)
+        one = rows.mapInArrow(_found(spark.sparkContext.broadcast(block), min_words, min_share), schema)
         out = one if out is None else out.unionByName(one)
     if out is None:
         out = spark.createDataFrame([], schema)
-    return out.dropDuplicates(["doc_id", "item_id"]).withColumn("share", F.col("equal_words") / F.col("overlap_words"))
+    best = F.min(F.struct((-F.col("equal_words")).alias("less"), "doc_word", "overlap_words", "item_word")).alias("b")
+    out = out.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", (-F.col("b.less")).alias("equal_words"), "b.overlap_words", "b.doc_word", "b.item_word")
+    return out.withColumn("share", F.col("equal_words") / F.col("overlap_words"))
+
+
+def _found(shared, min_words: int, min_share: float):
+    """The overlaps of the rows (doc_id, text) with a block of items."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        test = TestBlock(shared.value)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                found = [(doc_id, *x) for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True) for x in test.overlaps(text, min_words, min_share)]
+                cols = list(zip(*found, strict=True)) if found else [[]] * 6
+                yield pa.RecordBatch.from_arrays([pa.array(list(c), pa.int64()) for c in cols], names=["doc_id", "item_id", "equal_words", "overlap_words", "doc_word", "item_word"])
+
+    return run
+
+
+def _without(shared):
+    """The rows whose texts share no passage with a block of items."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        test = TestBlock(shared.value)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                keep = [not test.overlaps(t) for t in part.column("text").cast(pa.string()).to_pylist()]
+                yield part.filter(pa.array(keep, pa.bool_()))
+
+    return run
 
 
 def clean(spark: SparkSession, docs: DataFrame, tests: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that share no passage with a test item, with all their columns."""
-    hit = overlaps(spark, docs, tests).select(F.col("doc_id").alias("__hit")).distinct()
-    return docs.join(hit, docs["doc_id"].eqNullSafe(hit["__hit"]), "left_anti")
+    """The rows of ``docs`` that share no passage with a test item, with all their columns; judged in place, without a shuffle."""
+    for block in _blocks(tests.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text"))):
+        docs = docs.mapInArrow(_without(spark.sparkContext.broadcast(block)), docs.schema)
+    return docs

@@ -30,6 +30,11 @@ STEPS, BATCH, RATE = 350, 192, 0.02
 _LETTER = re.compile(r"[^\W\d_]")
 
 
+def has_letter(text: str) -> bool:
+    """Whether a text holds a letter: numerals such as superscripts and fractions are none."""
+    return any(m[0].isalpha() for m in _LETTER.finditer(text))
+
+
 def windows(data: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """All bytes of the texts, each padded to whole windows: symbols (windows, WINDOW), and the text of each window."""
     n = np.array([-(-len(d) // WINDOW) for d in data], np.int64)
@@ -81,7 +86,7 @@ class LanguageModel:
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float]]:
         out: list[tuple[str, float]] = [("und", 0.0)] * len(texts)
-        live = [i for i, t in enumerate(texts) if t and _LETTER.search(t)] if self.languages else []
+        live = [i for i, t in enumerate(texts) if t and has_letter(t)] if self.languages else []
         prob = self.probabilities([texts[i] for i in live])
         for i, p in zip(live, prob, strict=True):
             k = int(np.argmax(p))
@@ -102,7 +107,7 @@ def fit(spark: SparkSession, docs: DataFrame, docs_each: int = DOCS, windows_eac
     size = F.length("text")
     cuts = F.transform(F.sequence(F.lit(0), F.lit(windows_each - 1)), lambda k: F.substring("text", (k * size / windows_each).cast("int") + 1, F.lit(WINDOW)))
     got = sorted((r["lang"], r["doc_id"], r["cuts"]) for r in rows.select("lang", "doc_id", F.when(size > WINDOW * windows_each, cuts).otherwise(F.array("text")).alias("cuts")).toLocalIterator())
-    texts = [(lang, t) for lang, _, cuts in got for t in cuts if t and _LETTER.search(t)]
+    texts = [(lang, t) for lang, _, cuts in got for t in cuts if t and has_letter(t)]
     model = LanguageModel(sorted(sizes))
     model.train([t for _, t in texts], [lang for lang, _ in texts])
     return model

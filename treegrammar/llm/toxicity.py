@@ -1,17 +1,20 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine, found with a block-max inverted index.
 
-Labelled examples (a bounded sample, ``max_examples`` a class, near copies collapsed) become TF-IDF vectors over words and word beginnings. The
-vocabulary holds the terms whose document frequency differs most between the two labels. Examples with a vector are put
-in blocks of ``BLOCK`` similar ones; for every term a block keeps the largest weight, so a query bounds the cosine of a
-whole block by one sparse product. Blocks are opened from the highest bound down until the k-th best cosine is no less
-than the next bound: the neighbours are exactly those of a full scan, ties going to the smaller example.
+Labelled examples (a bounded sample, ``MAX_EXAMPLES`` a class, equal word sequences once) become TF-IDF vectors over all their words: none is
+left out and the vocabulary has no cap. The inverse document frequency is taken over all documents; it is multiplied by
+the word's chi-square between the two labels, since plain TF-IDF follows the topic of a text instead of its tone.
+
+Examples are put in blocks of ``BLOCK`` similar ones. A word's posting list is cut at the blocks, and each piece has the
+largest weight in it, so a query bounds the cosine of every block by the pieces of its words alone. The blocks with the
+highest bounds are opened first; then every block whose bound reaches the k-th best cosine found there. The neighbours are exactly those of a
+full scan, ties going to the smaller id.
 
 The score is the distance-weighted vote of the k neighbours, put through a monotone calibration that is fitted on the
-examples' own leave-one-out votes and weighted back to the true share of labels. Texts that hold no term of the
-vocabulary get the smoothed share of toxic examples among such examples. The nearest examples come along as evidence.
+examples' own leave-one-out votes and weighted back to the true share of labels. Texts that share no word with an example
+get the smoothed share of toxic examples among those without words. The nearest examples come along as evidence.
 
-Defined results: null and empty texts hold no term; with no labelled rows every score is 0; examples with a null label
-or id are left out; repeated labels of an id count each; repeated rows are scored alike; extra columns are ignored;
+Defined results: null and empty texts hold no word; with no labelled rows every score is 0; examples with a null label
+or id are left out; repeated labels of an id count once if they agree and each if they differ; repeated rows are scored alike; extra columns are ignored;
 texts are read whole. Labels, lang, source and doc_id are never inputs of a score.
 """
 
@@ -19,9 +22,9 @@ from __future__ import annotations
 
 import math
 import re
-import zlib
 from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -32,135 +35,117 @@ from treegrammar.llm.holdout import held_out
 
 #: Characters of an example at most: longer labelled texts are left to others, so the sample has a bounded size.
 EXAMPLE_CHARS = 40_000
-#: Examples a class at most, terms of the vocabulary at most, neighbours, examples a block.
-MAX_EXAMPLES, MAX_TERMS, K, BLOCK = 3000, 1024, 15, 32
-#: Counts from which a term that occurs so often is a term of its own, as the cosine knows no lengths.
-REPEATS = (2, 4)
-#: Letters of the word beginnings that are terms of their own; the least z-score of a term, share of the toxic
-#: examples that hold it, and number of examples: words that a few copies of one text share say nothing of its label.
-BEGINNINGS, LEAST_Z, LEAST_SHARE, LEAST_DF = (4, 5, 6), 5.0, 0.008, 3
+#: Examples a class at most, neighbours, examples a block, blocks that are opened first.
+MAX_EXAMPLES, K, BLOCK, FIRST = 1000, 15, 32, 3
 _WORD = re.compile(r"[^\W\d_]+")
 
 
-def term_counts(text: str | None, vocab: dict[str, int] | None = None) -> dict:
-    """How often each term occurs: words, beginnings marked with a trailing ``-``, and either with ``*k`` where it occurs
-    at least k times; only those of vocab, by number, if given."""
-    words = Counter(_WORD.findall((text or "").lower()))
-    plain: Counter = Counter()
-    for w, n in words.items():
-        if vocab is None or w in vocab:
-            plain[w] += n
-        for k in BEGINNINGS:
-            if len(w) > k and (vocab is None or w[:k] + "-" in vocab):
-                plain[w[:k] + "-"] += n
-    out: Counter = Counter()
-    for t, n in plain.items():
-        out[t if vocab is None else vocab[t]] += n
-        for k in REPEATS:
-            if n >= k and (vocab is None or f"{t}*{k}" in vocab):
-                out[f"{t}*{k}" if vocab is None else vocab[f"{t}*{k}"]] += 1
-    return out
-
-
-def collapse(examples: list[tuple[int, str, int]], hashes: int = 8) -> list[tuple[int, str, int]]:
-    """One example of each group of near copies (any of a few min-hashes over word pairs and label agree), the first.
-
-    Copies would count as independent evidence for every rare word they share.
-    """
-    seen: dict[tuple[int, int, int], int] = {}
-    out = []
-    for number, (doc_id, text, label) in enumerate(examples):
-        got = _WORD.findall(text.lower())
-        ids = np.array([zlib.crc32(w.encode("utf-8", "replace")) for w in got], np.uint64)
-        if len(ids) < 2:
-            marks = [(label, -1, hash_) for hash_ in ids.tolist() or [0]]
-        else:
-            pair = ids[:-1] * np.uint64(0x9E3779B97F4A7C15) + ids[1:]
-            marks = []
-            for k in range(hashes):
-                h = (pair ^ np.uint64(k * 0xD1B54A32D192ED03 & (1 << 64) - 1)) * np.uint64(0xBF58476D1CE4E5B9)
-                marks.append((label, k, int((h ^ h >> np.uint64(31)).min())))
-        if not any(m in seen for m in marks):
-            out.append((doc_id, text, label))
-        for m in marks:
-            seen.setdefault(m, number)
-    return out
+def words_of(text: str | None) -> Counter:
+    """How often each word occurs, in lower case."""
+    return Counter(_WORD.findall((text or "").lower()))
+
+
+def _ranges(start: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """The numbers of all ranges, one range behind the other."""
+    total = int(length.sum())
+    return np.repeat(start - np.cumsum(length) + length, length) + np.arange(total, dtype=start.dtype)
 
 
 class Neighbours:
-    """Block-max inverted index over labelled TF-IDF vectors."""
+    """Block-max inverted index over labelled TF-IDF vectors.
 
-    def __init__(self, examples: list[tuple[int, str, int]], share: float | None = None, k: int = K):
+    df and n: document frequencies of the examples' words over all documents, and how many these are; by default over the examples."""
+
+    def __init__(self, examples: list[tuple[int, str, int]], share: float | None = None, df: dict[str, int] | None = None, n: int = 0, k: int = K):
         self.k = k
-        examples = collapse(examples)
-        ids = [e[0] for e in examples]
-        labels = np.array([e[2] for e in examples], np.float64)
+        once = {(tuple(_WORD.findall(t.lower())), y): (i, y) for i, t, y in reversed(examples)}
+        counts, kept = [Counter(w) for w, _ in once], list(once.values())
+        ids, labels = [i for i, _ in kept], np.array([y for _, y in kept], np.float64)
         n1, n0 = int(labels.sum()), int(len(labels) - labels.sum())
         self.share = share if share is not None else (n1 / len(labels) if len(labels) else 0.0)
-        df = [Counter(), Counter()]
-        counts = [term_counts(e[1]) for e in examples]
+        by_label = [Counter(), Counter()]
         for c, y in zip(counts, labels, strict=True):
-            df[int(y)].update(c.keys())
-        ranked = []
-        for t in df[0].keys() | df[1].keys():
-            a, b = df[1][t], df[0][t]
-            if n1 and n0 and a >= max(LEAST_DF, LEAST_SHARE * n1) and a / n1 > b / n0:
-                p = (a + b) / (n1 + n0)
-                z = (a / n1 - b / n0) / math.sqrt(max(p * (1 - p), 1e-9) * (1 / n1 + 1 / n0))
-                if z >= LEAST_Z:
-                    ranked.append((-z, t))
-        ranked = sorted(ranked)[:MAX_TERMS]
-        chosen = {t for _, t in ranked}
-        ranked = [r for r in ranked if "*" not in r[1] or r[1].split("*")[0] in chosen]  # a repeat is looked up by its term
-        self.vocab = {t: i for i, (_, t) in enumerate(ranked)}
-        # Inverse document frequency under the true share of labels, not that of the balanced sample.
-        rate = [self.share * df[1][t] / max(n1, 1) + (1 - self.share) * df[0][t] / max(n0, 1) for _, t in ranked]
-        self.idf = np.array([math.log(1 + 1 / max(r, 1e-6)) for r in rate], np.float32)
-        weight = np.where(labels == 1, self.share / max(n1, 1), (1 - self.share) / max(n0, 1))
+            by_label[int(y)].update(c.keys())
+        self.vocab = {w: k for k, w in enumerate(sorted(by_label[0].keys() | by_label[1].keys()))}
+        a, b = (np.array([by_label[y][w] for w in self.vocab], np.float64) for y in (1, 0))
+        p = (a + b) / max(1, n1 + n0)
+        chi = (a / max(1, n1) - b / max(1, n0)) ** 2 / (np.maximum(p * (1 - p), 1e-9) * (1 / max(1, n1) + 1 / max(1, n0)))
+        if not n1 or not n0:
+            chi = np.ones(len(a))
+        seen = a + b if df is None else np.array([df.get(w, 0) for w in self.vocab], np.float64)
+        self.term_weight = np.log(1 + max(n, len(kept)) / np.maximum(1, seen)) * (chi + 1e-6)
         vectors = [self.vector(counts=c) for c in counts]
+        weight = np.where(labels == 1, self.share / max(n1, 1), (1 - self.share) / max(n0, 1))
         have = [i for i, v in enumerate(vectors) if len(v[0])]
+        # Examples that lean on the same word share a block.
         have.sort(key=lambda i: (int(vectors[i][0][np.argmax(vectors[i][1])]), i))
-        self.ids = np.array([ids[i] for i in have], np.int64)
-        self.labels, self.weight = labels[have], weight[have]
-        self.matrix = np.zeros((len(have), len(self.vocab)), np.float32)
-        for r, i in enumerate(have):
-            self.matrix[r, vectors[i][0]] = vectors[i][1]
-        starts = np.arange(0, len(have), BLOCK)
-        self.most = np.maximum.reduceat(self.matrix, starts, axis=0).T.copy() if len(have) else np.zeros((len(self.vocab), 0), np.float32)
+        self.ids, self.labels, self.weight = np.array([ids[i] for i in have], np.int64), labels[have], weight[have]
+        self._post([vectors[i] for i in have])
         none = [i for i, v in enumerate(vectors) if not len(v[0])]
         total = weight[none].sum()
         self.empty = float(((weight[none] * labels[none]).sum() * len(labels) + self.share) / (total * len(labels) + 1)) if len(labels) else 0.0
         self.opened = 0
-        self._calibrate()
+        self._calibrate([vectors[i] for i in have])
+
+    def _post(self, vectors: list[tuple[np.ndarray, np.ndarray]]) -> None:
+        """Posting lists in pieces: word -> pieces (block, largest weight, postings) -> postings (example, weight)."""
+        term = np.concatenate([v[0] for v in vectors]) if vectors else np.empty(0, np.int64)
+        row = np.repeat(np.arange(len(vectors)), [len(v[0]) for v in vectors]) if vectors else np.empty(0, np.int64)
+        w = np.concatenate([v[1] for v in vectors]) if vectors else np.empty(0, np.float32)
+        order = np.lexsort((row, term))
+        term, self.row, self.w = term[order], row[order].astype(np.int32), w[order]
+        self.blocks = -(-len(vectors) // BLOCK)
+        piece = np.flatnonzero(np.diff(term * max(1, self.blocks) + self.row // BLOCK, prepend=-1))
+        self.piece_block = (self.row[piece] // BLOCK).astype(np.int32)
+        self.piece_start = piece.astype(np.int32)
+        self.piece_size = np.diff(piece, append=len(term)).astype(np.int32)
+        self.piece_max = np.maximum.reduceat(self.w, piece) if len(piece) else np.empty(0, np.float32)
+        self.of_term = np.searchsorted(term[piece], np.arange(len(self.vocab) + 1)).astype(np.int32)
 
     def vector(self, text: str | None = None, counts: Counter | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """Term numbers and unit-length TF-IDF weights."""
-        got = term_counts(text, self.vocab) if counts is None else {self.vocab[t]: n for t, n in counts.items() if t in self.vocab}
-        terms = np.array(sorted(got), np.int64)
+        """Word numbers in order and unit-length weights."""
+        counts = words_of(text) if counts is None else counts
+        terms = np.fromiter(map(self.vocab.get, counts, repeat(-1)), np.int64, len(counts))
+        n = np.fromiter(counts.values(), np.float64, len(counts))[terms >= 0]
+        terms = terms[terms >= 0]
         if not len(terms):
             return terms, np.empty(0, np.float32)
-        w = (1 + np.log(np.array([got[t] for t in terms.tolist()], np.float64))) * self.idf[terms]
-        return terms, (w / np.sqrt((w * w).sum())).astype(np.float32)
+        order = np.argsort(terms)
+        terms = terms[order]
+        w = (1 + np.log(n[order])) * self.term_weight[terms]
+        return terms, (w / math.sqrt(float(w @ w))).astype(np.float32)
 
     def nearest(self, terms: np.ndarray, w: np.ndarray, but: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """Rows and cosines of the k nearest examples (ties to the smaller id), row ``but`` left out."""
-        bound = w @ self.most[terms]
-        order = np.argsort(-bound, kind="stable")
-        rows, sims = np.empty(0, np.int64), np.empty(0, np.float32)
-        at, step = 0, 2
-        while at < len(order):
-            open_ = order[at : at + step]
-            if bound[open_[0]] <= 0 or len(sims) >= self.k and bound[open_[0]] < sims[self.k - 1] - 1e-6:
-                break
-            new = (open_[:, None] * BLOCK + np.arange(BLOCK)).ravel()
-            new = new[(new < len(self.ids)) & (new != but)]
-            rows, sims = np.concatenate([rows, new]), np.concatenate([sims, self.matrix[np.ix_(new, terms)] @ w])
-            best = np.lexsort((self.ids[rows], -np.round(sims, 6)))[: self.k]
-            rows, sims = rows[best], sims[best]
-            at, step = at + step, step * 2
-            self.opened += len(open_)
-        near = sims > 0
-        return rows[near], sims[near]
+        start = self.of_term[terms]
+        many = self.of_term[terms + 1] - start
+        piece = _ranges(start, many)
+        block, weight = self.piece_block[piece], np.repeat(w, many)
+        bound = np.bincount(block, self.piece_max[piece] * weight, self.blocks)
+        sims = np.zeros(len(self.ids))
+        first = np.argsort(-bound, kind="stable")[:FIRST]
+        todo = np.zeros(self.blocks, bool)
+        todo[first] = True
+        for again in (True, False):
+            pick = todo[block]
+            size = self.piece_size[piece[pick]]
+            at = _ranges(self.piece_start[piece[pick]], size)
+            sims += np.bincount(self.row[at], self.w[at] * np.repeat(weight[pick], size), len(sims))
+            if but >= 0:
+                sims[but] = 0
+            self.opened += int(todo.sum())
+            if again:
+                least = np.partition(sims, -self.k)[-self.k] if len(sims) > self.k else 0.0
+                todo = (bound >= least - 1e-5) & (bound > 0) & ~todo
+                if not todo.any():
+                    break
+        if len(sims) > self.k:
+            rows = np.flatnonzero(sims >= np.partition(sims, -self.k)[-self.k] - 1e-6)
+        else:
+            rows = np.arange(len(sims))
+        rows = rows[sims[rows] > 0]
+        rows = rows[np.lexsort((self.ids[rows], -np.round(sims[rows], 6)))[: self.k]]
+        return rows, sims[rows]
 
     def vote(self, rows: np.ndarray, sims: np.ndarray) -> float:
         if not len(rows):
@@ -168,9 +153,9 @@ class Neighbours:
         w = self.weight[rows] / (1.05 - np.minimum(sims, 1))
         return float((w * self.labels[rows]).sum() / w.sum())
 
-    def _calibrate(self) -> None:
+    def _calibrate(self, vectors: list[tuple[np.ndarray, np.ndarray]]) -> None:
         """Monotone steps from leave-one-out votes to the share of toxic examples (pool adjacent violators)."""
-        raw = np.array([self.vote(*self.nearest(np.flatnonzero(v), v[np.flatnonzero(v)], i)) for i, v in enumerate(self.matrix)])
+        raw = np.array([self.vote(*self.nearest(t, w, i)) for i, (t, w) in enumerate(vectors)])
         order = np.argsort(raw, kind="stable")
         pools: list[list[float]] = []
         for i in order.tolist():
@@ -195,6 +180,26 @@ class Neighbours:
         return float(self.values[max(0, at)]), self.ids[rows[:3]].tolist()
 
 
+def document_frequencies(spark: SparkSession, docs: DataFrame, vocab: set[str]) -> tuple[dict[str, int], int]:
+    """In how many rows of ``docs`` each word of ``vocab`` occurs, and the number of rows; vocab: the words of a bounded sample."""
+    shared = spark.sparkContext.broadcast(vocab)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, df, n = shared.value, Counter(), 0
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                for text in batch.column(0).slice(at, 512).to_pylist():
+                    df.update(own.intersection(_WORD.findall((text or "").lower())))
+                    n += 1
+        df[""] = n
+        yield pa.RecordBatch.from_arrays([pa.array(list(df), pa.string()), pa.array(list(df.values()), pa.int64())], names=["word", "n"])
+
+    sums = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    got = {r["word"]: r["n"] for r in sums.toLocalIterator()}
+    shared.unpersist()
+    return got, got.pop("", 0)
+
+
 def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_examples: int = MAX_EXAMPLES) -> Neighbours:
     """An index of labelled rows that are not held out; of each label the ``max_examples`` with the smallest id hashes."""
     marked = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("doc_id is not null and toxic in (0, 1)").where(~held_out("doc_id"))
@@ -204,7 +209,8 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, max_examples: i
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").where(F.coalesce(F.length("text"), F.lit(0)) <= EXAMPLE_CHARS).select("doc_id", "text", "toxic")  # twice max_examples ids at most
     got = sorted(((r["doc_id"], r["text"] or "", r["toxic"]) for r in rows.toLocalIterator()), key=lambda r: (r[0], r[2], r[1]))
     total = sum(sizes.values())
-    return Neighbours(got, sizes.get(1, 0) / total if total else None)
+    df, n = document_frequencies(spark, docs, {w for _, t, _ in got for w in _WORD.findall(t.lower())}) if got else ({}, 0)
+    return Neighbours(got, sizes.get(1, 0) / total if total else None, df, n)
 
 
 def scores(spark: SparkSession, docs: DataFrame, model: Neighbours) -> DataFrame:
@@ -232,7 +238,9 @@ def clean(spark: SparkSession, docs: DataFrame, model: Neighbours) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shared.value
         for batch in batches:
-            keep = [not own.score(t)[0] >= 0.5 for t in batch.column("text").cast(pa.string()).to_pylist()]
-            yield batch.filter(pa.array(keep, pa.bool_()))
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                keep = [not own.score(t)[0] >= 0.5 for t in part.column("text").cast(pa.string()).to_pylist()]
+                yield part.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
