@@ -3,7 +3,7 @@
 The distinct words of a batch go into a trie in sorted order. A depth-first walk keeps, for every prefix, the last token
 of its encoding: the unique token that ends there and stays apart from the last token of the prefix before it. Words
 with a common prefix share that work, and a word's encoding is read back through the last-token chain. Encodings are
-kept in a cache of bounded bytes, so frequent words are encoded once; a task drops it at its end.
+kept in a cache of the Python worker that is bounded by its bytes, so frequent words are encoded once.
 
 Words are cut as the tokenizer file says (byte-level pre-tokenization without a prefix space); the strings of added
 tokens are matched first and get their own ids. Decoding joins the bytes of the ids and replaces invalid UTF-8.
@@ -25,8 +25,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: Bytes of words and encodings, about, and pairs of tokens whose border a task keeps; beyond that either cache starts anew,
-#: the first with the words of the texts at hand. Their tables take some 120 MB at most.
+#: Bytes of words and encodings, about, and pairs of tokens whose border a worker keeps; beyond that either cache starts anew,
+#: the first with the words of the texts at hand. Both take some 120 MB at most.
 CACHE_BYTES, CACHE_PAIRS, WORD_BYTES = 80 << 20, 300_000, 190
 #: The byte-level pre-tokenization pattern; white space as Unicode defines it.
 _SPACE = r"\p{White_Space}"
@@ -62,7 +62,10 @@ class Bpe:
             a, b, c = self.ids[x], self.ids[y], self.ids[x + y]
             self.rank.setdefault((a, b), k)
             self.parts.setdefault(c, (k, a, b))
-        self.longest = max(map(len, self.ids))
+        self.reach: dict[bytes, int] = {}  # the longest token with these last two bytes
+        for t in self.ids:
+            self.reach[t[-2:]] = max(len(t), self.reach.get(t[-2:], 1))
+        self.edges: tuple[dict, dict] = ({}, {})
         self.added = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.token |= {i: s.encode() for s, i in self.added.items()}
         self.cut, self.cut_ascii = regex.compile(PATTERN), re.compile(PATTERN_ASCII)
@@ -74,37 +77,38 @@ class Bpe:
 
     def _edges(self, token: int, right: bool) -> list[tuple[int, int, float]]:
         """Pieces on one edge of a token while it grows: the piece, and the ranks at which it is made and absorbed."""
-        out, absorbed = [], float("inf")
-        while True:
-            made = self.parts.get(token)
-            out.append((token, made[0] if made else -1, absorbed))
-            if not made:
-                return out
-            absorbed, token = made[0], made[2 if right else 1]
+        known = self.edges[right]
+        if token not in known:
+            out, absorbed, piece = [], float("inf"), token
+            while True:
+                made = self.parts.get(piece)
+                out.append((piece, made[0] if made else -1, absorbed))
+                if not made:
+                    break
+                absorbed, piece = made[0], made[2 if right else 1]
+            known[token] = out
+        return known[token]
 
     def stay_apart(self, a: int, b: int) -> bool:
         """Whether no merge ever crosses the border between the tokens a and b when their bytes stand side by side."""
-        key = a << 32 | b
-        got = self.apart.get(key)
-        if got is None:
-            got, left, rank = True, self._edges(a, True), self.rank
-            for y, made_y, gone_y in self._edges(b, False):
-                for x, made_x, gone_x in left:
-                    m = rank.get((x, y))
-                    # Equal ranks merge from the left, so a piece absorbed to its left goes first, one absorbed to its right does not.
-                    if m is not None and made_x < m and made_y < m and m < gone_x and m <= gone_y:
-                        got = False
-                        break
-                if not got:
+        got, left, rank = True, self._edges(a, True), self.rank.get
+        for y, made_y, gone_y in self._edges(b, False):
+            for x, made_x, gone_x in left:
+                m = rank((x, y))
+                # Equal ranks merge from the left, so a piece absorbed to its left goes first, one absorbed to its right does not.
+                if m is not None and made_x < m and made_y < m and m < gone_x and m <= gone_y:
+                    got = False
                     break
-            if len(self.apart) > CACHE_PAIRS:
-                self.apart.clear()
-            self.apart[key] = got
+            if not got:
+                break
+        if len(self.apart) > CACHE_PAIRS:
+            self.apart.clear()
+        self.apart[a << 32 | b] = got
         return got
 
     def encode_words(self, words: Iterable[bytes]) -> Iterator[tuple[bytes, list[int]]]:
         """Each distinct word and its ids, in sorted order; prefixes that words share are worked out once."""
-        ids, token, apart, longest = self.ids, self.token, self.stay_apart, self.longest
+        ids, token, known, apart, reach = self.ids.get, self.token, self.apart.get, self.stay_apart, self.reach.get
         last: list[int] = [-1]  # last[d]: last token of the encoding of the first d bytes on the current path
         before = b""
         for word in sorted(words):
@@ -113,11 +117,17 @@ class Bpe:
                 d += 1
             del last[d + 1 :]
             for end in range(d + 1, len(word) + 1):
-                for start in range(max(0, end - longest), end):
-                    t = ids.get(word[start:end])
-                    if t is not None and (start == 0 or apart(last[start], t)):
-                        last.append(t)
-                        break
+                start = end - reach(word[end - 2 : end] if end > 1 else word[:1], 1)
+                for start in range(start if start > 0 else 0, end):
+                    t = ids(word[start:end])
+                    if t is not None:
+                        if start == 0:
+                            last.append(t)
+                            break
+                        ok = known(last[start] << 32 | t)
+                        if apart(last[start], t) if ok is None else ok:
+                            last.append(t)
+                            break
                 else:
                     raise ValueError("the vocabulary lacks a byte")
             before, out, at = word, [], len(word)
@@ -137,10 +147,6 @@ class Bpe:
             self.known[new[raw]] = shown
             self.held += WORD_BYTES + len(raw) + len(shown)
 
-    def forget(self) -> None:
-        """Drop what was kept of the texts read so far."""
-        self.known, self.apart, self.held = {}, {}, 0
-
     def pieces(self, text: str) -> list[str | int]:
         """The text cut at added tokens, which become their ids."""
         if self.special is None or not any(s in text for s in self.added):
@@ -170,7 +176,7 @@ _LOADED: dict[str, Bpe] = {}
 
 
 def loaded(text: str) -> Bpe:
-    """One encoder a worker for each tokenizer file; what it keeps of the texts is dropped by ``forget``."""
+    """One encoder a worker for each tokenizer file, so that its bounded cache outlives a task."""
     key = hashlib.sha256(text.encode()).hexdigest()
     if key not in _LOADED:
         _LOADED.clear()
@@ -195,7 +201,6 @@ def digests(docs: DataFrame, tokenizer: str) -> DataFrame:
                 got = list(bpe.encode_texts([t or "" for t in part.column(1).to_pylist()]))
                 cols = [part.column(0), pa.array([g[1] for g in got], pa.int64()), pa.array([hashlib.sha256(g[0].encode()).hexdigest() for g in got]), pa.array([hashlib.sha256(g[2].decode("utf-8", "replace").encode()).hexdigest() for g in got])]
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
-        bpe.forget()
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
@@ -212,7 +217,6 @@ def encode(docs: DataFrame, tokenizer: str) -> DataFrame:
                 part = batch.slice(at, 64)
                 ids = [[int(x) for x in g[0].split(",") if x] for g in bpe.encode_texts([t or "" for t in part.column(1).to_pylist()])]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["doc_id", "ids"])
-        bpe.forget()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>")
 
