@@ -99,6 +99,38 @@ def test_embedded_elements_cut_no_text(page, texts):
     assert [b.text for b in html_extract.leaf_blocks(page)] == texts
 
 
+def test_references_end_at_tags():
+    assert [b.text for b in html_extract.leaf_blocks("<p>x&am<b>p;</b> y &amp; z &lt;b&gt;</p>")] == ["x&amp; y & z <b>"]
+
+
+@pytest.mark.parametrize("piece, n", [('<a x="', 160_000), ("<div><p>x", 100_000), ("<b><p>y</b>", 80_000), ("<!-- ", 200_000), ("</p x='", 140_000), ("<script ", 120_000), ("<ul><li>z", 100_000), ("<!x", 300_000), ("<svg>t<i>", 100_000), ("&am;<", 180_000), ("<select><option>", 60_000)])
+def test_reading_is_linear(piece, n):
+    """A megabyte of broken markup is read, and its blocks get their vectors, within seconds."""
+    import time
+
+    for tail in ("", "<p>end</p>", '">'):
+        began = time.process_time()
+        blocks = html_extract.leaf_blocks(piece * n + tail)
+        assert time.process_time() - began < 12
+    some = html_extract.leaf_blocks(piece * 2000)
+    slow = [sum((0.7 + 0.3 * (d < 2)) for d, e in enumerate(reversed(b.path)) for w in ["x"]) for b in some[:50]]
+    assert len(slow) == min(50, len(some)) and html_extract.features(some).shape == (len(some), html_extract.WIDTH) and isinstance(blocks, list)
+
+
+def test_path_vectors_against_a_walk():
+    rng = np.random.default_rng(12)
+    for _ in range(20):
+        blocks = html_extract.leaf_blocks(html_extract.generated_page(rng, ["Aa bb", "Cc, dd ee"])[0])
+        for b, row in zip(blocks, html_extract.features(blocks), strict=True):
+            want = np.zeros(html_extract.PATH_BITS)
+            for depth, label in enumerate(reversed(b.path)):
+                first, *slots = html_extract._slots_of(label)
+                for k in slots:
+                    want[k] += 1.0 if depth < 2 else 0.7
+                want[first] += depth == 0
+            assert np.allclose(row[: html_extract.PATH_BITS], want, atol=1e-4)
+
+
 def test_generated_pages_have_a_label_for_each_block():
     rng = np.random.default_rng(3)
     for _ in range(150):

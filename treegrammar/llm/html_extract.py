@@ -11,7 +11,8 @@ layouts, whose container names are drawn from usual ones, so that pages without
 
 Scripts, styles, comments, the source inside an iframe and other markup never become text; a textarea holds text without markup.
 All other elements, drawings and formulas among them, are read as part of the page, and the network decides on their blocks. White space inside a block becomes one space, a line
-break is white space, character references are decoded, blocks are joined by an empty line, and nothing is capped.
+break is white space, character references are decoded in each stretch of text between two tags, blocks are joined by an empty line, and nothing is capped.
+Reading takes time linear in the page, however its tags are nested or broken.
 
 Defined results: null or empty html gives empty text; so does a page without main blocks; malformed markup is read
 tolerantly to its end (only a script or style without an end tag takes what follows it); repeated rows give a row each; extra columns are ignored; an empty table gives no rows.
@@ -22,6 +23,7 @@ from __future__ import annotations
 import html as html_lib
 import re
 import zlib
+from bisect import bisect_left
 from collections.abc import Iterator
 
 import numpy as np
@@ -39,7 +41,8 @@ PAGES, PAGE_BYTES, GENERATED, STEPS, BATCH, SPAN = 240, 200_000, 1500, 1000, 32,
 #: Blocks whose vectors are held at once; larger pages are read in several stretches, and the states of both directions are carried on.
 STRETCH = 20_000
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>|<[!?][^>]*>|([^<]+|<)", re.S)
+_NAME_OF_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+_TAG_STOP = re.compile("[>\"']")
 #: Elements whose content is no markup, and their end tags.
 _RAW_END = {n: re.compile(rf"</{n}(?=[\s/>])[^>]*>", re.I) for n in ("script", "style", "textarea", "iframe")}
 _ATTR = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
@@ -53,6 +56,8 @@ ENDS_SAME = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"tab
 HOLDERS = frozenset("noscript object select template textarea".split())
 TEXTUAL = frozenset("p h1 h2 h3 h4 h5 h6 li dt dd td th pre figcaption caption".split())
 FOREIGN = frozenset(("svg", "math"))
+#: Elements that keep a paragraph around them open.
+KEEPS_P = ("button", "td", "th", "table", "object")
 NOT_FOREIGN = BLOCK_ENDS_P | INLINE | frozenset(ENDS_SAME) | frozenset("html head body center tbody thead tfoot caption button".split()) | HOLDERS
 #: Words of container names for the structural labels.
 AWAY_ELEMENTS = frozenset("nav footer aside form button head header menu dialog".split())
@@ -63,11 +68,35 @@ AWAY_WORDS = frozenset(
 )
 
 
+class Node:
+    """An open element that is not inline: what features and labels need of it and those around it, so that no path is ever walked again."""
+
+    __slots__ = ("up", "label", "depth", "main", "away", "header")
+
+    def __init__(self, up: Node | None, label: str):
+        self.up, self.label, self.depth = up, label, up.depth + 1 if up else 0
+        name, *words = label.split(" ")
+        main, away, header = (up.main, up.away, up.header) if up else (-1, False, -1)
+        self.main = self.depth if name in ("article", "main") else main  # depth of the innermost article or main element
+        self.away = away or name in AWAY_ELEMENTS and name != "header" or not AWAY_WORDS.isdisjoint(words)
+        self.header = self.depth if name == "header" and header < 0 else header  # depth of the outermost header
+
+
 class Block:
-    __slots__ = ("path", "text", "linked")
+    """A leaf block: the innermost open element around it (inline ones aside), its text, and how many characters of it are links."""
 
-    def __init__(self, path: tuple[str, ...], text: str, linked: int):
-        self.path, self.text, self.linked = path, text, linked
+    __slots__ = ("node", "text", "linked")
+
+    def __init__(self, node: Node | None, text: str, linked: int):
+        self.node, self.text, self.linked = node, text, linked
+
+    @property
+    def path(self) -> tuple[str, ...]:
+        out, node = [], self.node
+        while node is not None:
+            out.append(node.label)
+            node = node.up
+        return tuple(reversed(out))
 
 
 def _label(name: str, attrs: str) -> str:
@@ -78,69 +107,128 @@ def _label(name: str, attrs: str) -> str:
     return " ".join([name, *words])
 
 
+class _Open:
+    """The open elements of a page, with the places of those that matter, so that every question takes no walk."""
+
+    def __init__(self) -> None:
+        self.names: list[str] = []
+        self.at: dict[str, list[int]] = {}  # name -> places
+        self.blocks: list[int] = []  # places of elements that are neither inline nor holders
+        self.holders: list[int] = []
+        self.foreign: list[int] = []
+        self.nodes: list[Node] = []
+
+    def push(self, name: str, label: str) -> None:
+        k = len(self.names)
+        self.names.append(name)
+        self.at.setdefault(name, []).append(k)
+        if name not in INLINE:
+            self.nodes.append(Node(self.nodes[-1] if self.nodes else None, label))
+            (self.holders if name in HOLDERS else self.blocks).append(k)
+        if name in FOREIGN:
+            self.foreign.append(k)
+
+    def close(self, at: int) -> None:
+        """Close the element at a place and all inside it."""
+        while len(self.names) > at:
+            name = self.names.pop()
+            self.at[name].pop()
+            if name not in INLINE:
+                self.nodes.pop()
+                (self.holders if name in HOLDERS else self.blocks).pop()
+            if name in FOREIGN:
+                self.foreign.pop()
+
+    def last(self, name: str) -> int:
+        """The place of the innermost element of a name, or -1."""
+        places = self.at.get(name)
+        return places[-1] if places else -1
+
+    def in_line(self, upto: int) -> bool:
+        """Whether an element below the first ``upto`` open ones stands in a line of text."""
+        k = bisect_left(self.blocks, upto) - 1
+        return k >= 0 and self.names[self.blocks[k]] in TEXTUAL
+
+
 def leaf_blocks(html: str | None) -> list[Block]:
-    """The text blocks of a page in order."""
+    """The text blocks of a page in order, in time linear in its length."""
+    html, at, endless = html or "", 0, set()
     out: list[Block] = []
-    stack: list[str] = []
-    names: list[str] = []
+    open_ = _Open()
     parts: list[str] = []
-    linked = links = foreign = 0
+    linked = 0
+    last_gt, quoted = html.rfind(">"), True
 
     def flush() -> None:
         nonlocal parts, linked
         if parts:
-            text = " ".join(html_lib.unescape("".join(parts)).split())
+            text = " ".join("".join(parts).split())
             if text:
-                out.append(Block(tuple(s for s, n in zip(stack, names, strict=True) if n not in INLINE), text, min(linked, len(text))))
+                out.append(Block(open_.nodes[-1] if open_.nodes else None, text, min(linked, len(text))))
         parts, linked = [], 0
 
-    def close(at: int) -> None:
-        nonlocal links, foreign
-        gone = names[at:]
-        links -= gone.count("a")
-        foreign -= gone.count("svg") + gone.count("math")
-        del names[at:], stack[at:]
-
     def put(text: str) -> None:
+        """Text of the page; its character references are decoded by themselves, as they cannot go on behind a tag."""
         nonlocal linked
+        text = html_lib.unescape(text) if "&" in text else text
         parts.append(text)
-        if links:
+        if open_.last("a") >= 0:
             linked += len(text)
 
-    def in_line(upto: int) -> bool:
-        """Whether an element below the first ``upto`` open ones stands in a line of text."""
-        return next((n in TEXTUAL for n in reversed(names[:upto]) if n not in INLINE and n not in HOLDERS), False)
+    def tag_end(k: int) -> int:
+        """The place of the ``>`` that ends a tag. A ``>`` inside quotes ends none, until a quote without an end shows that the page's quotes cannot be trusted."""
+        nonlocal quoted
+        start = k
+        while quoted:
+            m = _TAG_STOP.search(html, k)
+            if m is not None and m[0] == ">":
+                return m.start()
+            k = html.find(m[0], m.end()) + 1 if m is not None else 0
+            if not k:
+                quoted = False
+        return html.find(">", start)
 
-    html, at, endless = html or "", 0, set()
     while at < len(html):
-        m = _TOKEN.match(html, at)
-        at = m.end()
-        text, name = m[4], m[2]
-        if text is not None:
-            put(text)
+        if html[at] != "<":
+            end = html.find("<", at)
+            end = len(html) if end < 0 else end
+            put(html[at:end])
+            at = end
             continue
-        if name is None:
+        if html.startswith("<!--", at):
+            end = html.find("-->", at + 4)
+            at = len(html) if end < 0 else end + 3
             continue
-        name, ends = name.lower(), m[1]
-        single = m[3].rstrip().endswith("/")
+        m = _NAME_OF_TAG.match(html, at)
+        if last_gt < at or m is None and html[at + 1 : at + 2] not in ("!", "?"):
+            put("<")
+            at += 1
+            continue
+        if m is None:
+            at = html.find(">", at) + 1
+            continue
+        end = tag_end(m.end())
+        attrs, at = html[m.end() : end], end + 1
+        name, ends = m[2].lower(), m[1]
+        single = attrs.rstrip().endswith("/")
+        foreign = bool(open_.foreign)
         if name in _RAW_END and not ends and not (foreign and single):
-            end = None if name in endless else _RAW_END[name].search(html, at)
-            if end is None:
+            raw = None if name in endless else _RAW_END[name].search(html, at, last_gt + 1)
+            if raw is None:
                 endless.add(name)
                 if name in ("script", "style"):  # what follows is code; after the others it is read as markup
                     break
                 continue
-            body, at = html[at : end.start()], end.end()
+            body, at = html[at : raw.start()], raw.end()
             if name == "textarea":
-                apart = not in_line(len(names))
+                apart = not open_.in_line(len(open_.names))
                 if apart:
                     flush()
-                    names.append(name)
-                    stack.append(_label(name, m[3]))
+                    open_.push(name, _label(name, attrs))
                 put(body)
                 if apart:
                     flush()
-                    close(len(names) - 1)
+                    open_.close(len(open_.names) - 1)
             continue
         if foreign and name not in NOT_FOREIGN:  # parts of drawings and formulas do not end a block
             if name in ("text", "title", "desc"):
@@ -148,60 +236,94 @@ def leaf_blocks(html: str | None) -> list[Block]:
             continue
         inline = name in INLINE
         if ends:
-            if name in names:
-                first = len(names) - 1 - names[::-1].index(name)
-                blocks = any(n not in INLINE and n not in HOLDERS for n in names[first + 1 :])
-                if inline and (blocks or any(n in HOLDERS for n in names[first + 1 :])):
+            first = open_.last(name)
+            if first >= 0:
+                blocks = bool(open_.blocks) and open_.blocks[-1] > first
+                if inline and (blocks or open_.holders and open_.holders[-1] > first):
                     continue  # an inline end tag does not close blocks
-                if not inline and (name not in HOLDERS or blocks or not in_line(first)):
+                if not inline and (name not in HOLDERS or blocks or not open_.in_line(first)):
                     flush()
-                close(first)
+                open_.close(first)
             elif not inline and name not in HOLDERS and name not in _RAW_END:
                 flush()
             continue
         if name in ("br", "wbr", "img", "hr"):
             parts.append(" ")
-        if not inline and (name not in HOLDERS or not in_line(len(names))):
+        if not inline and (name not in HOLDERS or not open_.in_line(len(open_.names))):
             flush()
-            if foreign:  # a block ends an open drawing or formula
-                close(next(k for k, n in enumerate(names) if n in FOREIGN))
-            if name in BLOCK_ENDS_P and "p" in names:
-                first = len(names) - 1 - names[::-1].index("p")
-                if not any(n in ("button", "td", "th", "table", "object") for n in names[first:]):
-                    close(first)
-            if name in ENDS_SAME and name in names:
-                first = len(names) - 1 - names[::-1].index(name)
-                if not any(n in ENDS_SAME[name] for n in names[first + 1 :]):
-                    close(first)
+            if open_.foreign:  # a block ends an open drawing or formula
+                open_.close(open_.foreign[0])
+            if name in BLOCK_ENDS_P and (first := open_.last("p")) >= 0 and all(open_.last(n) < first for n in KEEPS_P):
+                open_.close(first)
+            if name in ENDS_SAME and (first := open_.last(name)) >= 0 and all(open_.last(n) < first for n in ENDS_SAME[name]):
+                open_.close(first)
         if name not in VOID and not single:
-            names.append(name)
-            stack.append(name if inline else _label(name, m[3]))
-            links += name == "a"
-            foreign += name in FOREIGN
+            open_.push(name, name if inline else _label(name, attrs))
     flush()
     return out
 
 
-_PATHS: dict[tuple[str, ...], np.ndarray] = {}
+_SLOTS: dict[str, tuple[int, ...]] = {}
 
 
 def _slot(word: str, bits: int) -> int:
     return zlib.crc32(word.encode("utf-8", "replace")) % bits
 
 
-def _path_vector(path: tuple[str, ...]) -> np.ndarray:
-    got = _PATHS.get(path)
+def _slots_of(label: str) -> tuple[int, ...]:
+    """The places of an element's name as innermost one, of its name, and of the words of its attributes in a path vector."""
+    got = _SLOTS.get(label)
     if got is None:
-        got = np.zeros(PATH_BITS, np.float32)
-        for depth, element in enumerate(reversed(path)):
-            name, *words = element.split(" ")
-            for w in [name, *(f".{x}" for x in words)]:
-                got[_slot(w, PATH_BITS)] += 1.0 if depth < 2 else 0.7
-            if depth == 0:
-                got[_slot(f"<{name}>", PATH_BITS)] += 1.0
-        if len(_PATHS) > 50_000:
-            _PATHS.clear()
-        _PATHS[path] = got
+        name, *words = label.split(" ")
+        if len(_SLOTS) > 20_000:
+            _SLOTS.clear()
+        got = _SLOTS[label] = tuple(_slot(w, PATH_BITS) for w in (f"<{name}>", name, *(f".{x}" for x in words)))
+    return got
+
+
+class _PathSums:
+    """How often each place is hit by the elements of a path; going from one block to the next costs what was closed and opened between them."""
+
+    def __init__(self) -> None:
+        self.sums, self.node = np.zeros(PATH_BITS, np.float32), None
+
+    def _count(self, node: Node, by: int) -> None:
+        for k in _slots_of(node.label)[1:]:
+            self.sums[k] += by
+
+    def vector(self, node: Node | None) -> np.ndarray:
+        """Elements count 0.7 each, the two innermost ones 1, and the innermost one has a place of its own besides."""
+        if node is not self.node:
+            old, new, opened = self.node, node, []
+            while old is not new:
+                if new is None or old is not None and old.depth >= new.depth:
+                    self._count(old, -1)
+                    old = old.up
+                else:
+                    opened.append(new)
+                    new = new.up
+            for x in opened:
+                self._count(x, 1)
+            self.node = node
+        out = self.sums * np.float32(0.7)
+        for x in (node, node.up if node is not None else None):
+            if x is not None:
+                for k in _slots_of(x.label)[1:]:
+                    out[k] += 0.3
+        if node is not None:
+            out[_slots_of(node.label)[0]] += 1
+        return out
+
+
+_WORD_SLOTS: dict[str, int] = {}
+
+
+def _word_slot(word: str) -> int:
+    got = _WORD_SLOTS.get(word)
+    if got is None:
+        if len(_WORD_SLOTS) > 100_000:
+            _WORD_SLOTS.clear()
+        got = _WORD_SLOTS[word] = _slot(word.lower(), WORD_BITS)
     return got
 
 
@@ -210,13 +332,16 @@ def features(blocks: list[Block], start: int = 0, stop: int | None = None) -> np
     n = len(blocks)
     stop = n if stop is None else min(stop, n)
     out = np.zeros((stop - start, WIDTH), np.float32)
+    sums, vector, last = _PathSums(), np.zeros(PATH_BITS, np.float32), None
     for k in range(start, stop):
         b = blocks[k]
         row, text = out[k - start], b.text
-        row[:PATH_BITS] = _path_vector(b.path)
+        if b.node is not last:
+            vector, last = sums.vector(b.node), b.node
+        row[:PATH_BITS] = vector
         words = text.split(" ")
         size = len(words)
-        slots = np.fromiter((len(w) + 31 * ord(w[0]) + 7 * ord(w[-1]) for w in words), np.int64, size) % WORD_BITS
+        slots = np.fromiter(map(_word_slot, words), np.int64, size)
         row[PATH_BITS : PATH_BITS + WORD_BITS] = np.bincount(slots, minlength=WORD_BITS) / size
         row[-MEASURES:] = (np.log1p(size) / 4, min(1.0, b.linked / len(text)), (text.count(".") + text.count(",")) / size, float(text[-1] in ".!?"), k / n, 1 / (1 + k), 1 / (n - k), 1.0)
     return out
@@ -224,19 +349,11 @@ def features(blocks: list[Block], start: int = 0, stop: int | None = None) -> np
 
 def structural_labels(blocks: list[Block]) -> np.ndarray | None:
     """One for blocks of the main text by the names of their elements; None if the page has no article or main element."""
-    main = [max((d for d, e in enumerate(b.path) if e.split(" ")[0] in ("article", "main")), default=-1) for b in blocks]
-    if not any(m >= 0 for m in main):
+    nodes = [b.node for b in blocks]
+    if not any(x is not None and x.main >= 0 for x in nodes):
         return None
-
-    def away(b: Block, m: int) -> bool:
-        for d, e in enumerate(b.path):
-            name, *words = e.split(" ")
-            inner_header = name == "header" and 0 <= m < d
-            if name in AWAY_ELEMENTS and not inner_header or AWAY_WORDS & set(words):
-                return True
-        return False
-
-    return np.array([float(m >= 0 and not away(b, m)) for b, m in zip(blocks, main, strict=True)], np.float32)
+    # A header inside the main element belongs to it.
+    return np.array([float(x is not None and x.main >= 0 and not x.away and not 0 <= x.header <= x.main) for x in nodes], np.float32)
 
 
 def generated_page(rng: np.random.Generator, sentences: list[str]) -> tuple[str, list[int]]:
