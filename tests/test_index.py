@@ -154,3 +154,44 @@ def test_joined_places_give_the_same(spark, sf, monkeypatch):
     assert other.serialize("//price").count() == COUNTS["label_price"] and other.nodes().select("node").distinct().count() == 54952
     assert other.resident().count("//keyword") == COUNTS["label_keyword"] and other.resident(10) is None
     assert {r["path"]: r["n"] for r in other.count_many(["//keyword", "/site/regions", path]).collect()} == {"//keyword": 3822, "/site/regions": 1, path: 4302}
+
+
+@pytest.mark.parametrize("kind", ["outlier", "equal", "dense run", "even", "two ends"])
+def test_shards_under_skewed_keys(spark, kind):
+    """No shard exceeds twice the target, and shards are contiguous in the order of the keys."""
+    n, target = 3000, 400
+    keys = {"outlier": [*range(n - 1), 10**12], "equal": [7] * n, "dense run": [*range(0, 10**9, 10**6), *range(5 * 10**8, 5 * 10**8 + n)], "even": [k * 1000 for k in range(n)], "two ends": [*range(n), *range(1 << 40, (1 << 40) + n)]}[kind]
+    df = spark.createDataFrame([(0, k, i, "<a><b/></a>") for i, k in enumerate(keys)], "section int, ord long, doc_id long, content string")
+    got = assign_shards(df, target).select("shard_no", "ord", "doc_id").collect()
+    assert len(got) == len(keys) and sorted(r["doc_id"] for r in got) == list(range(len(keys)))
+    sizes, order = {}, sorted((r["ord"], r["shard_no"]) for r in got)
+    for _, s in order:
+        sizes[s] = sizes.get(s, 0) + 5
+    assert max(sizes.values()) <= 2 * target and len(sizes) >= len(keys) * 5 / (2 * target)
+    if kind != "equal":
+        assert [s for _, s in order] == sorted(s for _, s in order)
+
+
+def test_label_count_within_a_subtree_reads_its_shards(spark, sf):
+    ix = index(spark, sf, "market", shard_nodes=5000)
+    top = nodes(spark, sf, "market").where("path = '/site/regions/europe'").select("node", "size").first()
+    own = ix._clipped(0, top["node"], top["node"] + top["size"])
+    assert n_of(ix.label_count("keyword", (0, top["node"], top["size"]))) == COUNTS["q03"]
+    assert 0 < own.shards.count() < ix.shards.count() / 2
+
+
+def test_lazy_materialization_jumps(spark, sf):
+    import numpy as np
+
+    from treegrammar.operators.index import load_shard
+    from treegrammar.views.chunkwise import Chunkwise
+    from treegrammar.views.rulewise import Run
+    from treegrammar.xpath.automaton import compile_path
+
+    row = index(spark, sf, "threads").shards.first().asDict()
+    g, a = load_shard(row), compile_path("//reply//kw")
+    runs = {j: Run(g, a, j) for j in (True, False)}
+    eager = Chunkwise(Run(g, a)).materialize()[0]
+    for r in runs.values():
+        assert all(np.array_equal(x, y) for x, y in zip(Chunkwise(r, lazy=True).materialize()[0], eager, strict=True))
+    assert runs[True].count.visited < runs[False].count.visited

@@ -46,17 +46,30 @@ CORE = ["carrier", "section", "shard_no", "kinds", "names", "rules", "start", "o
 
 
 def assign_shards(records: DataFrame, target_nodes: int = SHARD_NODES) -> DataFrame:
-    """Add shard_no: contiguous runs in the order of ``ord`` within a section, cut by size through a small table of key buckets."""
+    """Add shard_no: contiguous runs in the order of ``ord`` within a section, cut by size through a small table of key buckets.
+
+    Buckets split a section's range of keys evenly; one that holds more than a shard, as keys are dense there, is split by its own range
+    again until none does. So no shard exceeds twice the target but for a larger record. Records of one key have no order among them and are dealt by a hash."""
+    spark = records.sparkSession
     size = (F.length("content") - F.length(F.replace("content", F.lit("<"), F.lit(""))) + 2).cast("long")
-    sized = records.withColumn("size", F.coalesce(size, F.lit(2).cast("long")))
-    stats = sized.groupBy("section").agg(F.sum("size").alias("n"), F.count("*").alias("rows"), F.min("ord").alias("lo"), F.max("ord").alias("hi"))
+    sized = records.withColumn("size", F.coalesce(size, F.lit(2).cast("long"))).withColumn("bucket", F.lit(0).cast("long"))
     # Key buckets that hold about a sixteenth of a shard on average.
     width = F.greatest(F.lit(1.0), (F.col("hi") - F.col("lo") + 1) * F.lit(target_nodes / 16.0) / F.greatest(F.col("n"), F.lit(1)))
-    stats = stats.select("section", "lo", F.floor(width).cast("long").alias("width"))
-    placed = sized.join(F.broadcast(stats), "section").withColumn("bucket", F.floor((F.col("ord") - F.col("lo")) / F.col("width")))  # a row for each section
-    buckets = placed.groupBy("section", "bucket").agg(F.sum("size").alias("n"))
-    numbered = before(buckets, "section", "bucket", {"nodes_before": "n"}).select("section", "bucket", F.floor(F.col("nodes_before") / target_nodes).alias("shard_no"))
-    return placed.join(numbered, ["section", "bucket"]).drop("size", "lo", "width", "bucket")
+    cut = ["section", "bucket", F.col("lo").alias("__lo"), F.floor(width).cast("long").alias("__width")]
+    within = F.col("__lo") + F.floor((F.col("ord") - F.col("__lo")) / F.col("__width")) * F.col("__width")
+    totals = lambda df: df.groupBy("section", "bucket").agg(F.sum("size").alias("n"), F.min("ord").alias("lo"), F.max("ord").alias("hi"))
+    placed = sized.join(F.broadcast(totals(sized).select(*cut)), ["section", "bucket"]).withColumn("bucket", within).drop("__lo", "__width")  # a row for each section
+    while True:
+        buckets = written(spark, totals(placed), "key-buckets")
+        heavy = buckets.where((F.col("n") > target_nodes) & (F.col("lo") < F.col("hi")))
+        if heavy.isEmpty():
+            break
+        # At most one row for each shard; Spark broadcasts them if they are few.
+        placed = placed.join(heavy.select(*cut), ["section", "bucket"], "left").withColumn("bucket", F.coalesce(within, F.col("bucket"))).drop("__lo", "__width")
+    numbered = before(buckets, "section", "bucket", {"nodes_before": "n"})
+    numbered = numbered.select("section", "bucket", F.floor(F.col("nodes_before") / target_nodes).alias("shard_no"), F.ceil(F.col("n") / target_nodes).alias("parts"))
+    dealt = F.when(F.col("parts") > 1, F.pmod(F.xxhash64("doc_id", "content"), F.col("parts"))).otherwise(0)
+    return placed.join(numbered, ["section", "bucket"]).withColumn("shard_no", (F.col("shard_no") + dealt).cast("long")).drop("size", "bucket", "parts")
 
 
 def _bits(events: np.ndarray) -> bytes:
@@ -296,7 +309,20 @@ class TreeIndex:
         if within is None:
             return self.count(f"//{label}")
         doc, node, size = within
-        return self.materialize(f"//{label}").where((F.col("doc_id") == doc) & F.col("node").between(node, node + size - 1)).agg(F.count("*").alias("n"))
+        hits = self._clipped(doc, node, node + size).materialize(f"//{label}")
+        return hits.where((F.col("doc_id") == doc) & F.col("node").between(node, node + size - 1)).agg(F.count("*").alias("n"))
+
+    def _clipped(self, doc: int, first: int, end: int) -> TreeIndex:
+        """This index with only those shards that hold structure numbers from ``first`` to ``end`` of a document; numbers stay what they were."""
+        if self.spine is None:
+            return TreeIndex(self.spark, self.shards.where(F.array_contains("doc_ids", F.lit(doc).cast("long"))), self.name, None, self.path)
+        offsets = self.offsets(self.spine_plan(compile_path("/*")))
+        live = offsets.join(self.shards.select("section", "shard_no", "n_node"), ["section", "shard_no"]).where((F.col("n0") < end) & (F.col("n0") + F.col("n_node") > first))
+        out = TreeIndex(self.spark, self.shards.join(live.select("section", "shard_no"), ["section", "shard_no"], "left_semi"), self.name, self.spine, self.path)
+        # Places and totals are those of the whole document.
+        out._totals, out._n_shards = self.totals(), self._n_shards
+        out.offsets = self.offsets
+        return out
 
     def selectivity(self, path: str) -> DataFrame:
         """(n, elements, fraction): the exact share of elements that a path selects."""
@@ -345,8 +371,10 @@ class TreeIndex:
             src = src.where(F.col("section").isin(live))
         return src, {k: (q.get(k), *v) for k, v in self._places.items()}
 
-    def materialize(self, path: str, limit: int | None = None, jump: bool = True, start_skip: bool = True) -> DataFrame:
-        """(doc_id, node, pre) of the selected nodes: structure and element numbers from 0 in document order; pre is null for texts and attributes."""
+    def materialize(self, path: str, limit: int | None = None, mode: str = "eager", jump: bool = True, start_skip: bool = True) -> DataFrame:
+        """(doc_id, node, pre) of the selected nodes: structure and element numbers from 0 in document order; pre is null for texts and attributes.
+
+        The lazy mode works out only the rules and states that the walk meets, and ``jump`` lets it pass over those without relevant labels."""
         a = compile_path(path)
         element = a.steps[-1].kind == "element"
         src, places = self._pruned(a).select(*CORE), None
@@ -359,7 +387,7 @@ class TreeIndex:
                 q, e0, n0, _ = _place(row, places)
                 if q is not None and q == a.universal:
                     continue
-                got, _ = Chunkwise(Run(load_shard(row), a, jump), start_skip=start_skip).materialize(q, limit)
+                got, _ = Chunkwise(Run(load_shard(row), a, jump), start_skip=start_skip, lazy=mode == "lazy").materialize(q, limit)
                 for d, pos in zip(row["doc_ids"].tolist(), got, strict=True):
                     n = pos.shape[1]
                     pre = pa.array(pos[0] + e0, pa.int64()) if element else pa.nulls(n, pa.int64())
@@ -375,7 +403,7 @@ class TreeIndex:
 
     # Serialization
 
-    def serialize(self, path: str, copy: bool = True, jump: bool = True, start_skip: bool = True) -> DataFrame:
+    def serialize(self, path: str, copy: bool = True, start_skip: bool = True) -> DataFrame:
         """(doc_id, pre, piece_no, xml) of the selected subtrees; a result that spans shards comes in ordered pieces."""
         a = compile_path(path)
         src, places = self._pruned(a).select(*CORE, "doc_texts", "texts"), None
@@ -389,7 +417,7 @@ class TreeIndex:
                 if q is not None and q == a.universal:
                     continue
                 g = load_shard(row)
-                got, _ = Chunkwise(Run(g, a, jump), copy, start_skip).serialize(row["texts"], row["doc_texts"], q)
+                got, _ = Chunkwise(Run(g, a), copy, start_skip).serialize(row["texts"], row["doc_texts"], q)
                 out, size, show = [], 0, Renderer(g.names, row["texts"])
                 for d, (tags, res), t0 in zip(row["doc_ids"].tolist(), got, row["doc_texts"].tolist(), strict=True):
                     if not res.shape[1]:

@@ -148,7 +148,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "rel_asof_last_click": _asof,
         "rel_semi_ul_li": lambda s, d: with_child(page_nodes(s, d), "ul", "li").groupBy("doc_id").agg(F.count("*").alias("n")),
         "rel_anti_li": lambda s, d: n_of(without_attributes(page_nodes(s, d), "li")),
-        "rel_window_ordinals": lambda s, d: sibling_ordinals(thread_nodes(s, d)).where("label = 'say'").groupBy("doc_id").agg(F.sum(F.when(F.col("next_node").isNull(), 0).otherwise(1)).alias("with_next"), F.count("*").alias("n")).select("doc_id", "n"),
+        "rel_window_ordinals": lambda s, d: sibling_ordinals(thread_nodes(s, d)).where("label = 'say'").groupBy("doc_id").agg(F.sum(F.when(F.col("next_node").isNull(), 0).otherwise(1)).alias("with_next"), F.count("*").alias("n")),
         "rel_union": lambda s, d: n_of(_results(s, d, "//kw").union(_results(s, d, "//say")).distinct()),
         "rel_intersect": lambda s, d: n_of(_results(s, d, "//turn").intersect(_results(s, d, "//reply/turn"))),
         "rel_except": lambda s, d: _results(s, d, "//turn").exceptAll(_results(s, d, "//reply/turn")).groupBy("doc_id").agg(F.count("*").alias("n")),
@@ -157,8 +157,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "rel_topk_labels": lambda s, d: nodes_of(s, d, "log").where("kind = 0 and label in ('click', 'error', 'purchase', 'signup', 'view')").groupBy("label").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "label").limit(3),
         "rel_distinct_paths": lambda s, d: nodes_of(s, d, "vectors").agg(F.countDistinct("path").alias("n")),
         "rel_closure_turns": lambda s, d: ancestors(s, thread_nodes(s, d), "turn").groupBy("doc_id").agg(F.count("*").alias("n")),
-        "rel_percentile_levels": lambda s, d: thread_nodes(s, d).where("label = 'turn'").agg(F.max("level").alias("deepest"), F.min("level").alias("top")),
-        "rel_shared_subtrees": lambda s, d: shared_subtrees(s, nodes_of(s, d, "threads")).agg(F.sum("n").alias("nodes"), F.count("*").alias("kinds")).select("nodes"),
+        "rel_percentile_levels": lambda s, d: thread_nodes(s, d).where("label = 'turn'").agg(F.max("level").alias("deepest"), F.min("level").alias("top"), F.percentile("level", 0.75).alias("p75")),
+        "rel_shared_subtrees": lambda s, d: shared_subtrees(s, nodes_of(s, d, "threads")).agg(F.sum("n").alias("nodes"), F.count("*").alias("kinds")),
         "rel_pairs_triples": lambda s, d: _pairs_report(s, d),
     }
 
@@ -177,7 +177,7 @@ def oracle_sql() -> dict[str, str]:
         "rel_asof_last_click": "SELECT p.event_id, epoch_us(max(c.ts)) AS last_click FROM events p LEFT JOIN events c ON c.user_id = p.user_id AND c.ts <= p.ts AND c.event_type = 'click' WHERE p.event_type = 'purchase' GROUP BY 1",
         "rel_semi_ul_li": "SELECT page_id AS doc_id, CAST(len(regexp_extract_all(html, '<ul[ >]')) AS BIGINT) AS n FROM pages WHERE html LIKE '%<li>%'",
         "rel_anti_li": "SELECT CAST(sum(len(regexp_extract_all(html, '<li[ >]'))) AS BIGINT) AS n FROM pages",
-        "rel_window_ordinals": f"SELECT conv_id AS doc_id, CAST(sum({lines}) AS BIGINT) AS n FROM conversations GROUP BY 1",
+        "rel_window_ordinals": f"SELECT conv_id AS doc_id, CAST(sum({lines}) - 1 AS BIGINT) AS with_next, CAST(sum({lines}) AS BIGINT) AS n FROM conversations GROUP BY 1",
         "rel_union": f"SELECT CAST(sum({lines} + {kw}) AS BIGINT) AS n FROM conversations",
         "rel_intersect": "SELECT count(*) AS n FROM conversations WHERE turn > 0",
         "rel_except": "SELECT conv_id AS doc_id, count(*) AS n FROM conversations WHERE turn = 0 GROUP BY 1",
@@ -186,8 +186,13 @@ def oracle_sql() -> dict[str, str]:
         "rel_topk_labels": "SELECT event_type AS label, count(*) AS n FROM events GROUP BY 1 ORDER BY n DESC, label LIMIT 3",
         "rel_distinct_paths": "SELECT CAST(6 AS BIGINT) AS n",
         "rel_closure_turns": "SELECT conv_id AS doc_id, CAST(count(*) * (count(*) - 1) / 2 AS BIGINT) AS n FROM conversations GROUP BY 1 HAVING count(*) > 1",
-        "rel_percentile_levels": "SELECT CAST(2 * max(turn) + 1 AS BIGINT) AS deepest, CAST(1 AS BIGINT) AS top FROM conversations",
-        "rel_shared_subtrees": f"SELECT CAST(sum(v) AS BIGINT) AS nodes FROM (SELECT 4 + sum(4 + 2 * {lines} + 2 * {kw}) + count(*) - 1 AS v FROM conversations GROUP BY conv_id)",
+        "rel_percentile_levels": "SELECT CAST(2 * max(turn) + 1 AS BIGINT) AS deepest, CAST(1 AS BIGINT) AS top, CAST(quantile_cont(2 * turn + 1, 0.75) AS DOUBLE) AS p75 FROM conversations",
+        # A subtree of a thread is told by the numbers of keywords of its lines, turn by turn; below that: keyword, text, value, and the two attributes with their holders.
+        "rel_shared_subtrees": f"""WITH w AS (SELECT conv_id, turn, array_to_string(list_transform(string_split(text, chr(10)), lambda x: len(regexp_extract_all(x, '[A-Za-z]{{10,}}'))), ' ') AS says FROM conversations),
+y AS (SELECT DISTINCT unnest(list_transform(string_split(text, chr(10)), lambda x: len(regexp_extract_all(x, '[A-Za-z]{{10,}}')))) AS k FROM conversations),
+u AS (SELECT turn, string_agg(says, '|') OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS rest FROM w)
+SELECT (SELECT CAST(sum(v) AS BIGINT) FROM (SELECT 4 + sum(4 + 2 * {lines} + 2 * {kw}) + count(*) - 1 AS v FROM conversations GROUP BY conv_id)) AS nodes,
+  CAST((SELECT count(*) FROM y) + (SELECT count(DISTINCT rest) FROM u) + (SELECT count(DISTINCT rest) FROM u WHERE turn > 0) + (SELECT count(DISTINCT rest) FROM u WHERE turn = 0) + 7 AS BIGINT) AS kinds""",
     }
 
 

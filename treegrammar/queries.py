@@ -43,6 +43,10 @@ def _doc_count(carrier: str, path: str, spark: SparkSession, sf: str) -> DataFra
 for _name, (_carrier, _path, _sql) in DOCUMENTS.items():
     query(f"count_{_name}", _sql)(partial(_doc_count, _carrier, _path))
 
+# The memoised run, which follows the start and jumps, for every path.
+for _name, (_path, _sql) in MARKET.items():
+    query(f"count_{_name}_lazy", _sql)(partial(_market_count, _path, mode="lazy"))
+
 # Variants of the evaluators: the answers must not change.
 for _tag, _options in {"nojump": {"mode": "lazy", "jump": False}, "basic": {"mode": "lazy", "relevance": "basic"}, "fine": {"mode": "lazy"}, "noskip": {"mode": "lazy", "skip": False}, "noprune": {"prune": False}}.items():
     for _name in ("q05", "q07", "x2"):
@@ -155,10 +159,31 @@ for _name in ("x2", "x3"):
 _TURNS = f"""WITH t AS (SELECT conv_id, turn, 2 + len(string_split(text, chr(10))) + len(regexp_extract_all(text, '[A-Za-z]{{10,}}')) AS e FROM conversations)
 SELECT conv_id AS doc_id, CAST(1 + coalesce(sum(e) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS pre FROM t"""
 query("mat_threads_turn", _TURNS)(lambda spark, sf: index(spark, sf, "threads").materialize("//turn").select("doc_id", "pre"))
-query("mat_threads_turn_noskip", _TURNS)(lambda spark, sf: index(spark, sf, "threads").materialize("//turn", jump=False, start_skip=False).select("doc_id", "pre"))
+query("mat_threads_turn_noskip", _TURNS)(lambda spark, sf: index(spark, sf, "threads").materialize("//turn", mode="lazy", jump=False, start_skip=False).select("doc_id", "pre"))
+
+query("mat_threads_turn_lazy", _TURNS)(lambda spark, sf: index(spark, sf, "threads").materialize("//turn", mode="lazy").select("doc_id", "pre"))
+query("mat_price_lazy", _SIZES + "SELECT CAST(0 AS BIGINT) AS doc_id, CAST(pre + 1 AS BIGINT) AS pre FROM pos")(lambda spark, sf: index(spark, sf, "market").materialize("//price", mode="lazy").select("doc_id", "pre"))
 
 # Serialize
 
+_MONEY = "CAST(CAST(round({}, 2) AS DECIMAL(18,2)) AS VARCHAR)"
+_LINE = f"""WITH n AS (SELECT l_orderkey AS k, count(*) AS n FROM lineitem GROUP BY 1),
+s AS (SELECT o_orderkey, o_custkey, o_orderstatus AS s, o_orderpriority AS p, o_orderpriority IN ('1-URGENT', '2-HIGH') AS u, coalesce(n, 0) AS n FROM orders LEFT JOIN n ON o_orderkey = k),
+l AS (SELECT s.s, l_discount >= 0.08 AS d, l_returnflag = 'R' AS r, {_MONEY.format('l_discount')} AS discount, {_MONEY.format('l_quantity')} AS quantity, l_linestatus AS status, strftime(l_shipdate, '%Y-%m-%d %H:%M:%S') AS day FROM lineitem JOIN s ON l_orderkey = o_orderkey WHERE n > 2)
+"""
+_WORD = "SELECT CAST(0 AS BIGINT) AS doc_id, '<keyword>' || {} || '</keyword>' AS xml FROM {}"
+_OF_LINES = lambda cond: _WORD.format("discount", f"l WHERE d{cond}") + " UNION ALL " + _WORD.format("status", f"l WHERE r{cond}")
+_SHORT = _WORD.format("p", "s WHERE s = 'F' AND n <= 2 AND u")
+_FRAGMENTS = {
+    "q04": "SELECT CAST(0 AS BIGINT) AS doc_id, '<listitem><text>' || quantity || CASE WHEN d THEN '<keyword>' || discount || '</keyword>' ELSE '' END || '</text>' || CASE WHEN r THEN '<list><listitem><text>' || day || '<keyword>' || status || '</keyword></text></listitem></list>' ELSE '' END || '</listitem>' AS xml FROM l WHERE s = 'F'",
+    "q05": _WORD.format("status", "l WHERE s = 'F' AND r"),
+    "q06": "SELECT CAST(0 AS BIGINT) AS doc_id, '<shopper id=\"' || c_custkey || '\" segment=\"' || c_mktsegment || '\"><name>' || c_name || '</name>' || coalesce('<basket>' || b || '</basket>', '') || '</shopper>' AS xml FROM customer LEFT JOIN (SELECT o_custkey, string_agg('<purchase id=\"' || o_orderkey || '\"><note>' || s || CASE WHEN u THEN '<keyword>' || p || '</keyword>' ELSE '' END || '</note></purchase>', '' ORDER BY o_orderkey) AS b FROM s GROUP BY 1) ON c_custkey = o_custkey",
+    "q07": _OF_LINES(""), "q08": _WORD.format("p", "s WHERE u"), "x1": _SHORT, "x2": _SHORT + " UNION ALL " + _OF_LINES(" AND s = 'F'"), "x3": _SHORT + " UNION ALL " + _OF_LINES(" AND s = 'F'"),
+    "label_keyword": _WORD.format("p", "s WHERE u") + " UNION ALL " + _WORD.format("p", "s WHERE n <= 2 AND u") + " UNION ALL " + _OF_LINES(""),
+}
+for _name, _sql in _FRAGMENTS.items():
+    query(f"ser_{_name}", _LINE + _sql)(partial(lambda path, spark, sf: index(spark, sf, "market").serialize(path).select("doc_id", "xml"), MARKET[_name][0]))
+
 _PRICE = "SELECT CAST(0 AS BIGINT) AS doc_id, '<price>' || CAST(CAST(round(o_totalprice, 2) AS DECIMAL(18,2)) AS VARCHAR) || '</price>' AS xml FROM orders WHERE o_orderstatus = 'F'"
 query("ser_price", _PRICE)(lambda spark, sf: index(spark, sf, "market").serialize("//price").select("doc_id", "xml"))
 query("ser_price_nocopy", _PRICE)(lambda spark, sf: index(spark, sf, "market").serialize("//price", copy=False).select("doc_id", "xml"))
@@ -303,7 +328,7 @@ def _shape(carrier: str, spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
-for _carrier in ("market", "threads", "pages", "log", "vectors"):
+for _carrier in ("market", "threads", "pages", "log", "vectors", "prose"):
     query(f"grammar_shape_{_carrier}")(partial(_shape, _carrier))
 
 
@@ -350,7 +375,7 @@ def _structures(spark: SparkSession, sf: str) -> DataFrame:
 def _growth(spark: SparkSession, sf: str) -> DataFrame:
     """Rules, edges and depth before and after the binary normal form, by carrier (no oracle: the sizes are the result)."""
     out = None
-    for c in ("market", "threads", "pages", "log", "vectors"):
+    for c in ("market", "threads", "pages", "log", "vectors", "prose"):
         s = index(spark, sf, c).normal_form_shapes().agg(*[F.sum(k).alias(k) for k in ("start", "rules_before", "rules_after", "edges_before", "edges_after")], F.max("depth_before").alias("depth_before"), F.max("depth_after").alias("depth_after"))
         one = s.withColumn("carrier", F.lit(c))
         out = one if out is None else out.unionByName(one)

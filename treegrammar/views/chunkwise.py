@@ -22,15 +22,24 @@ E_, N_, T_ = 0, 1, 2
 
 
 class Chunkwise:
-    def __init__(self, run: Run, copy: bool = True, start_skip: bool = True):
-        self.run, self.g, self.copy, self.start_skip = run, run.g, copy, start_skip
-        self.cnt, self.hole = run.tables()
+    def __init__(self, run: Run, copy: bool = True, start_skip: bool = True, lazy: bool = False):
+        self.run, self.g, self.copy, self.start_skip, self.lazy = run, run.g, copy, start_skip, lazy
+        if not lazy:
+            self.cnt, self.hole = run.tables()
         self.size = np.stack([self.g.chunks(k) for k in ("elem", "node", "text")], axis=2)  # (symbols, stretches, 3)
         self._selected: dict[tuple[int, int], list[np.ndarray]] = {}
         self._output: dict[tuple[int, int, bool], list[tuple]] = {}
 
     # Selected positions
 
+    def _counted(self, v: int, q: int) -> int:
+        """Selected nodes of v in state q: from the tables, or worked out (or jumped over) when first asked for."""
+        return self.run.behaviour(v, q)[0] if self.lazy else self.cnt[v, q]
+
+    def _below(self, v: int, q: int, i: int) -> int:
+        """The state at hole i of v entered in state q."""
+        return self.run.behaviour(v, q)[1][i] if self.lazy else int(self.hole[v, q, i])
+
     def selected(self, v: int, q: int) -> list[np.ndarray]:
         """Per stretch of v in state q, the relative positions (3, n) of selected nodes."""
         g, memo = self.g, self._selected
@@ -41,14 +50,14 @@ class Chunkwise:
                 work.pop()
                 continue
             r = int(g.rank[s])
-            if not self.cnt[s, p]:
+            if not self._counted(s, p):
                 memo[s, p] = [np.empty((3, 0), np.int64)] * (r + 1)
             elif s < g.n_labels:
                 memo[s, p] = [np.zeros((3, 1), np.int64), np.empty((3, 0), np.int64), np.empty((3, 0), np.int64)]
             else:
                 k = s - g.first_rule
                 x, i, y = int(g.outer[k]), int(g.hole[k]), int(g.inner[k])
-                below = int(self.hole[x, p, i - 1])
+                below = self._below(x, p, i - 1)
                 need = [key for key in ((x, p), (y, below)) if key not in memo]
                 if need:
                     work += need
@@ -57,7 +66,8 @@ class Chunkwise:
                 b = list(zip(memo[y, below], self.size[y], strict=False))
                 memo[s, p] = [part[0] for part in splice_chunks(a[: int(g.rank[x]) + 1], i, b[: int(g.rank[y]) + 1], _join_positions)]
             work.pop()
-        self.run.count.visited = len(memo)
+        if not self.lazy:
+            self.run.count.visited = len(memo)
         return memo[v, q]
 
     def materialize(self, state: int | None = None, limit: int | None = None) -> tuple[list[np.ndarray], int]:
@@ -85,7 +95,7 @@ class Chunkwise:
                     k += 1
                 while pending:
                     s, q, c = pending[-1]
-                    if self.cnt[s, q]:
+                    if self._counted(s, q):
                         got = self.selected(s, q)[c]
                         if got.shape[1]:
                             parts.append(got + base[:, None])
@@ -93,7 +103,7 @@ class Chunkwise:
                     base = base + self.size[s, c]
                     if c < g.rank[s]:
                         pending[-1] = (s, q, c + 1)
-                        states.append(int(self.hole[s, q, c]))
+                        states.append(self._below(s, q, c))
                         break
                     pending.pop()
             got = np.concatenate(parts, axis=1) if parts else np.empty((3, 0), np.int64)
