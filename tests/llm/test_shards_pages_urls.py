@@ -223,8 +223,8 @@ def test_urls(spark):
         r = got[k]
         assert (r["host"], r["path"], r["rule"]) == (host, path, fit[0] if fit else None), u
         assert r["verdict"] == (fit[1] if fit else r["verdict"]) and r["verdict"] in ("allow", "block")
-        if r["rule"] is None:  # no labelled url shares these templates
-            assert (r["verdict"] == "block") == (r["purity"] >= url_filter.REJECT)
+        if r["rule"] is None:
+            assert (r["verdict"] == "block") == (round(r["purity"], 9) >= url_filter.REJECT)
 
 
 def test_templates_generalise_and_reject(spark):
@@ -238,6 +238,17 @@ def test_templates_generalise_and_reject(spark):
     assert url_filter.judge(spark, df.limit(0)).count() == 0
 
 
+def test_bad_siblings_speak_for_a_branch(spark):
+    """One bad branch says little of its siblings, several bad ones reject an unlabelled one; good ones outweigh them."""
+    def urls(host, kinds):
+        return [f"http://{host}/{k}/{n}" for k in kinds for n in range(100, 120)]
+
+    rules = tuple((h, f"/bad{k}/", "block") for h in ("one.com", "many.com", "mixed.com") for k in range(1 if h == "one.com" else 5)) + tuple(("mixed.com", f"/good{k}/", "allow") for k in range(6))
+    every = urls("one.com", ["bad0", "free"]) + urls("many.com", [*(f"bad{k}" for k in range(5)), "free"]) + urls("mixed.com", [*(f"bad{k}" for k in range(5)), *(f"good{k}" for k in range(6)), "free"])
+    got = url_filter.judge(spark, spark.createDataFrame(list(enumerate(every)), "page_id long, url string"), rules).where("rule is null").collect()
+    assert {r["host"]: r["verdict"] for r in got} == {"one.com": "allow", "many.com": "block", "mixed.com": "allow"} and len(got) == 60
+
+
 def test_deep_segments_generalise(spark):
     """Identifiers below the fourth segment become wildcards too, and labels there reach unlabelled siblings; deep lone paths end at once."""
     rules = (("spam.com", "/a/b/c/2024/1", "block"), ("spam.com", "/a/b/c/d/e/f/read/1", "allow"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from treegrammar.llm import bpe, decontaminate, exact_dedup, html_extract, language, license_scan, sharding, simhash, toxicity, url_filter
 from treegrammar.llm.holdout import held_out
@@ -68,7 +69,7 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return url_filter.judge(spark, table(spark, sf_dir, "pages", "page_id", "url"))
+    return url_filter.judge(spark, table(spark, sf_dir, "pages", "page_id", "url")).withColumn("purity", F.round("purity", 9))
 
 
 OP1_SQL = """
@@ -118,20 +119,20 @@ def op10_sql() -> str:
     for i in range(k.DEPTH):
         levels.append(f"""
 o{i} AS (SELECT *, CASE WHEN regexp_matches(seg[{i + 1}], '{k._IDENTIFIER}') THEN '*' ELSE seg[{i + 1}] END AS own FROM p{i}),
-c{i} AS (SELECT host, prefix, own, sum(n) AS n, sum(labelled) AS labelled, sum(blocked) AS blocked FROM o{i} WHERE own IS NOT NULL GROUP BY ALL),
-a{i} AS (SELECT host, prefix, count(*) AS kinds, sum(n) AS all_n, sum(labelled) AS all_labelled, sum(blocked) AS all_blocked FROM c{i} GROUP BY ALL),
+c{i} AS (SELECT host, prefix, own, sum(n) AS n, sum(labelled) AS labelled, sum(blocked) AS blocked, count(*) AS paths FROM o{i} WHERE own IS NOT NULL GROUP BY ALL),
+a{i} AS (SELECT host, prefix, count(*) AS kinds, sum(n) AS all_n, sum(labelled) AS all_labelled, sum(blocked) AS all_blocked, count(*) FILTER (labelled > 0) AS told, sum(paths) AS all_paths, coalesce(sum(blocked / labelled) FILTER (labelled > 0), 0) AS bad FROM c{i} GROUP BY ALL),
 n{i} AS (SELECT host, prefix, own, CASE WHEN own = '*' OR (kinds > {k.MANY} AND n < {k.RARE} * all_n) THEN '*'
     WHEN labelled > 0 AND all_labelled > labelled AND abs(blocked / labelled - (all_blocked - blocked) / (all_labelled - labelled))
-      <= {k.ALIKE} * sqrt(greatest(all_blocked / all_labelled * (1 - all_blocked / all_labelled), 0.01) * (1 / labelled + 1 / (all_labelled - labelled))) THEN '~' ELSE own END AS name FROM c{i} JOIN a{i} USING (host, prefix)),
-p{i + 1} AS (SELECT o.host, o.path, o.n, o.labelled, o.blocked, o.seg, CASE WHEN name IS NULL THEN o.prefix ELSE o.prefix || '/' || name END AS prefix FROM o{i} o LEFT JOIN n{i} USING (host, prefix, own)),""")
+      <= {k.ALIKE} * sqrt(greatest(all_blocked / all_labelled * (1 - all_blocked / all_labelled), 0.01) * (1 / labelled + 1 / (all_labelled - labelled))) THEN '~' ELSE own END AS name, told, bad, all_paths FROM c{i} JOIN a{i} USING (host, prefix)),
+p{i + 1} AS (SELECT o.host, o.path, o.n, o.labelled, o.blocked, o.seg, o.lone OR coalesce(all_paths = 1, TRUE) AS lone, CASE WHEN name IS NULL OR o.lone THEN o.prior ELSE (bad + {k.PRIOR} * o.prior) / (told + {k.PRIOR}) END AS prior, CASE WHEN name IS NULL THEN o.prefix ELSE o.prefix || '/' || name END AS prefix FROM o{i} o LEFT JOIN n{i} USING (host, prefix, own)),""")
     return f"""
 WITH u AS (SELECT page_id, translate(regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)', 1), '{_UPPER}', '{_LOWER}') AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path FROM pages),
 j AS (SELECT *, CASE {rule} END AS rule, CASE {said} END AS listed FROM u),
 q AS (SELECT host, path, count(*) AS n, count(listed) AS labelled, count(*) FILTER (listed = 'block') AS blocked, string_split(regexp_replace(path, '^/', ''), '/') AS s FROM j GROUP BY host, path),
-p0 AS (SELECT host, path, n, labelled, blocked, CASE WHEN len(s) > {k.DEPTH} THEN list_append(s[1:{k.DEPTH - 1}], array_to_string(s[{k.DEPTH}:], '/')) ELSE s END AS seg, '' AS prefix FROM q),
+p0 AS (SELECT host, path, n, labelled, blocked, CASE WHEN len(s) > {k.DEPTH} THEN list_append(s[1:{k.DEPTH - 1}], array_to_string(s[{k.DEPTH}:], '/')) ELSE s END AS seg, CAST({k.CENTRE} AS DOUBLE) AS prior, FALSE AS lone, '' AS prefix FROM q),
 {''.join(levels)}
-w AS (SELECT host, prefix AS template, sum(labelled) AS labelled, (sum(blocked) + {k.PRIOR * k.CENTRE}) / (sum(labelled) + {k.PRIOR}) AS purity FROM p{k.DEPTH} GROUP BY ALL)
-SELECT page_id, j.host, j.path, rule, coalesce(listed, CASE WHEN w.labelled > 0 AND purity >= {k.REJECT} THEN 'block' ELSE 'allow' END) AS verdict, template, CAST(purity AS DOUBLE) AS purity
+w AS (SELECT host, prefix AS template, (sum(blocked) + {k.PRIOR} * avg(prior)) / (sum(labelled) + {k.PRIOR}) AS purity FROM p{k.DEPTH} GROUP BY ALL)
+SELECT page_id, j.host, j.path, rule, coalesce(listed, CASE WHEN round(purity, 9) >= {k.REJECT} THEN 'block' ELSE 'allow' END) AS verdict, template, round(CAST(purity AS DOUBLE), 9) AS purity
 FROM j JOIN (SELECT host, path, prefix AS template FROM p{k.DEPTH}) x USING (host, path) JOIN w USING (host, template)
 """
 
