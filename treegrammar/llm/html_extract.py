@@ -25,6 +25,7 @@ import re
 import zlib
 from bisect import bisect_left
 from collections.abc import Iterator
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
@@ -71,15 +72,36 @@ AWAY_WORDS = frozenset(
 class Node:
     """An open element that is not inline: what features and labels need of it and those around it, so that no path is ever walked again."""
 
-    __slots__ = ("up", "label", "depth", "main", "away", "header")
+    __slots__ = ("up", "label", "depth", "main", "away", "header", "key")
 
     def __init__(self, up: Node | None, label: str):
         self.up, self.label, self.depth = up, label, up.depth + 1 if up else 0
+        is_main, is_away, is_header = _traits(label)
+        main, away, header, key = (up.main, up.away, up.header, up.key) if up else (-1, False, -1, -1)
+        self.main = self.depth if is_main else main  # depth of the innermost article or main element
+        self.away = away or is_away
+        self.header = self.depth if is_header and header < 0 else header  # depth of the outermost header
+        self.key = _KEYS.get((key, label))  # the same for equal paths, as long as they are kept
+        if self.key is None:
+            if len(_KEYS) > 50_000:
+                _KEYS.clear()
+            self.key = _KEYS[key, label] = next(_NEXT_KEY)
+
+
+_KEYS: dict[tuple[int, str], int] = {}
+_NEXT_KEY = count()
+_TRAITS: dict[str, tuple[bool, bool, bool]] = {}
+
+
+def _traits(label: str) -> tuple[bool, bool, bool]:
+    """Whether an element is an article or main element, one outside the main text, a header."""
+    got = _TRAITS.get(label)
+    if got is None:
         name, *words = label.split(" ")
-        main, away, header = (up.main, up.away, up.header) if up else (-1, False, -1)
-        self.main = self.depth if name in ("article", "main") else main  # depth of the innermost article or main element
-        self.away = away or name in AWAY_ELEMENTS and name != "header" or not AWAY_WORDS.isdisjoint(words)
-        self.header = self.depth if name == "header" and header < 0 else header  # depth of the outermost header
+        if len(_TRAITS) > 20_000:
+            _TRAITS.clear()
+        got = _TRAITS[label] = (name in ("article", "main"), name in AWAY_ELEMENTS and name != "header" or not AWAY_WORDS.isdisjoint(words), name == "header")
+    return got
 
 
 class Block:
@@ -315,16 +337,7 @@ class _PathSums:
         return out
 
 
-_WORD_SLOTS: dict[str, int] = {}
-
-
-def _word_slot(word: str) -> int:
-    got = _WORD_SLOTS.get(word)
-    if got is None:
-        if len(_WORD_SLOTS) > 100_000:
-            _WORD_SLOTS.clear()
-        got = _WORD_SLOTS[word] = _slot(word.lower(), WORD_BITS)
-    return got
+_VECTORS: dict[int, np.ndarray] = {}  # of equal paths
 
 
 def features(blocks: list[Block], start: int = 0, stop: int | None = None) -> np.ndarray:
@@ -337,11 +350,16 @@ def features(blocks: list[Block], start: int = 0, stop: int | None = None) -> np
         b = blocks[k]
         row, text = out[k - start], b.text
         if b.node is not last:
-            vector, last = sums.vector(b.node), b.node
+            last = b.node
+            vector = _VECTORS.get(last.key) if last is not None else sums.vector(None)
+            if vector is None:
+                if len(_VECTORS) > 10_000:
+                    _VECTORS.clear()
+                vector = _VECTORS[last.key] = sums.vector(last)
         row[:PATH_BITS] = vector
-        words = text.split(" ")
+        words = text.lower().encode("utf-8", "replace").split(b" ")
         size = len(words)
-        slots = np.fromiter(map(_word_slot, words), np.int64, size)
+        slots = np.fromiter(map(zlib.crc32, words), np.int64, size) % WORD_BITS
         row[PATH_BITS : PATH_BITS + WORD_BITS] = np.bincount(slots, minlength=WORD_BITS) / size
         row[-MEASURES:] = (np.log1p(size) / 4, min(1.0, b.linked / len(text)), (text.count(".") + text.count(",")) / size, float(text[-1] in ".!?"), k / n, 1 / (1 + k), 1 / (n - k), 1.0)
     return out
