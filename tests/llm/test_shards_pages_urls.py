@@ -113,8 +113,7 @@ def test_reading_is_linear(piece, n):
         blocks = html_extract.leaf_blocks(piece * n + tail)
         assert time.process_time() - began < 12
     some = html_extract.leaf_blocks(piece * 2000)
-    slow = [sum((0.7 + 0.3 * (d < 2)) for d, e in enumerate(reversed(b.path)) for w in ["x"]) for b in some[:50]]
-    assert len(slow) == min(50, len(some)) and html_extract.features(some).shape == (len(some), html_extract.WIDTH) and isinstance(blocks, list)
+    assert html_extract.features(some).shape == (len(some), html_extract.WIDTH) and isinstance(blocks, list)
 
 
 def test_path_vectors_against_a_walk():
