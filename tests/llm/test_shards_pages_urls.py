@@ -1,5 +1,6 @@
 import random
 import zlib
+from hashlib import sha256
 
 import numpy as np
 import pytest
@@ -44,6 +45,33 @@ def test_other_numbers_of_shards(spark, shards):
     assert size.max() < 1.05 * size.mean()
 
 
+def test_sharding_against_recursive_cuts(spark):
+    """Every node is cut along its widest dimension, no group lies on the wrong side, and the weights differ by a group at most."""
+    rng = random.Random(2)
+    rows = [(i, "v" * int(rng.paretovariate(1.2) * 9 % 900) + str(i % 700)) for i in range(1500)] + [(5000 + i, "hot") for i in range(900)]
+    docs = spark.createDataFrame([(i, t, rng.choice(["de", "en", None]), rng.choice(["a", "b"])) for i, t in rows], "doc_id long, text string, lang string, source string")
+    groups = sharding.grouped(sharding.group_table(docs)).toPandas()
+    text = dict(rows)
+    shard = {sha256(text[r["doc_id"]].encode()).digest(): r["shard"] for r in sharding.shard_documents(spark, docs).collect()}
+    groups["shard"] = [shard[bytes(d)] for d in groups["digest"]]
+
+    def cut(part, lo, hi):
+        if hi - lo == 1:
+            return
+        mid = (lo + hi) // 2
+        spread = [part[c].max() - part[c].min() for c in sharding.DIMENSIONS]
+        key = np.floor(part[sharding.DIMENSIONS[int(np.argmax(spread))]] * (1 << 24)).astype(np.int64) * (1 << 32) + (part["tie"] & 0xFFFFFFFF)
+        left = part["shard"] < mid
+        assert key[left].max() < key[~left].min()
+        total = part["weight"].sum()
+        assert abs(part["weight"][left].sum() - total / 2) <= part["weight"].max() + sharding.TOLERANCE * total
+        cut(part[left], lo, mid)
+        cut(part[~left], mid, hi)
+
+    assert groups["shard"].between(0, 7).all()
+    cut(groups, 0, 8)
+
+
 def test_sharding_edges(spark):
     assert sharding.shard_documents(spark, table(spark, [])).count() == 0
     one = sharding.shard_documents(spark, table(spark, [(1, "a")])).collect()

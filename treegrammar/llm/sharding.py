@@ -9,7 +9,8 @@ table with a row for each node, so neither the number of shards nor of bins bear
 that is no power of two the weights are cut in proportion.
 
 Slots: rows of a shard are numbered within hash chunks whose number grows with the table, and the chunk counts are
-summed up, so no task ever orders a whole shard.
+summed up, so no task ever orders a whole shard. The shards of hot groups are broadcast to their rows (a bounded number of
+groups), so copies of one text are not gathered in one task.
 
 Defined results: null texts have no bytes and size 1; null metadata has coordinate 0; equal texts share a shard;
 repeated rows get slots of their own; an empty table gives no rows; columns besides those named are ignored. Sizes are
@@ -21,6 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from treegrammar.llm.skew import join_entries
 from treegrammar.shared import written
 
 RADIX, ROUNDS, KEY_BITS = 14, 4, 56
@@ -49,10 +51,10 @@ def group_table(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
 def grouped(rows: DataFrame) -> DataFrame:
     ends = rows.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()
     lo, hi = ends["lo"] or 0, (ends["hi"] or 0) + 1
-    one = rows.groupBy("digest", "none").agg(F.sum("size").alias("weight"), F.min(F.struct("doc_id", "size", "lang", "source")).alias("m"))
+    one = rows.groupBy("digest", "none").agg(F.sum("size").alias("weight"), F.count("*").alias("copies"), F.min(F.struct("doc_id", "size", "lang", "source")).alias("m"))
     place = F.coalesce((F.col("m.doc_id") - lo) / F.lit(float(max(1, hi - lo))), F.lit(0.0))
     return one.select(
-        "digest", "none", "weight", F.least(F.log2(F.col("m.size").cast("double")) / 40, F.lit(0.999999)).alias("x_size"), _fraction(F.col("m.lang")).alias("x_lang"),
+        "digest", "none", "weight", "copies", F.least(F.log2(F.col("m.size").cast("double")) / 40, F.lit(0.999999)).alias("x_size"), _fraction(F.col("m.lang")).alias("x_lang"),
         _fraction(F.col("m.source")).alias("x_source"), F.least(place, F.lit(0.999999)).alias("x_place"), F.xxhash64("digest", "none").alias("tie"),
     )
 
@@ -100,12 +102,12 @@ def split_level(spark: SparkSession, groups: DataFrame, nodes: DataFrame) -> tup
 
 
 def place_groups(spark: SparkSession, groups: DataFrame, shards: int) -> DataFrame:
-    """digest, none, shard of every group. A node that cannot be split (it has no groups) keeps its first shard."""
+    """digest, none, copies, shard of every group. A node that cannot be split (it has no groups) keeps its first shard."""
     groups = groups.withColumn("node", F.lit(1).cast("long"))
     nodes = spark.range(1).select(F.lit(1).cast("long").alias("node"), F.lit(0).alias("first"), F.lit(shards).alias("shards"))
     for _ in range((shards - 1).bit_length()):
         groups, nodes = split_level(spark, groups, nodes)
-    return groups.join(nodes.select("node", F.col("first").alias("shard")), "node").select("digest", "none", "shard")
+    return groups.join(nodes.select("node", F.col("first").alias("shard")), "node").select("digest", "none", "copies", "shard")
 
 
 def shard_documents(spark: SparkSession, docs: DataFrame, shards: int | None = 8, target_bytes: int | None = None) -> DataFrame:
@@ -115,10 +117,11 @@ def shard_documents(spark: SparkSession, docs: DataFrame, shards: int | None = 8
     total = groups.agg(F.sum("weight"), F.count("*")).first()
     if target_bytes:
         shards = max(1, -(-int(total[0] or 0) // target_bytes))
-    placed = place_groups(spark, groups, shards)
-    chunks = max(1, -(-rows.count() // CHUNK_ROWS))
+    placed = written(spark, place_groups(spark, groups, shards), "shard-of-group")
+    total_rows = rows.count()
+    chunks = max(1, -(-total_rows // CHUNK_ROWS))
     chunk = F.pmod(F.xxhash64("doc_id", "text_crc32"), F.lit(chunks)).cast("int")
-    out = written(spark, rows.join(placed, ["digest", "none"]).select("doc_id", "size", "text_crc32", "shard", chunk.alias("chunk")), "placed")
+    out = written(spark, join_entries(rows, placed, ["digest", "none"], "copies", total_rows).select("doc_id", "size", "text_crc32", "shard", chunk.alias("chunk")), "placed")
     before = Window.partitionBy("shard").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     starts = out.groupBy("shard", "chunk").agg(F.count("*").alias("n")).select("shard", "chunk", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
     within = Window.partitionBy("shard", "chunk").orderBy("doc_id", "text_crc32")
