@@ -4,7 +4,7 @@ from pyspark.sql import functions as F
 from treegrammar import queries
 from treegrammar.baselines import labels_twigs, node_table, path_index
 from treegrammar.operators.index import TreeIndex, assign_shards
-from treegrammar.operators.relational import relational_pairs, shared_subtrees
+from treegrammar.operators.relational import expanded_sizes, relational_pairs, shared_subtrees
 from treegrammar.plans import planner
 from treegrammar.sources.carriers import Carrier, Spine, carrier
 from treegrammar.workloads import MARKET, index, nodes
@@ -119,13 +119,20 @@ def test_relational_variants(spark, sf):
     t = nodes(spark, sf, "threads")
     kinds = shared_subtrees(spark, t)
     assert kinds.agg(F.sum("n")).first()[0] == t.count() and kinds.count() < t.count() / 2
-    left, rules = relational_pairs(spark, t, rounds=3)
+    left, rules, none = relational_pairs(spark, t)
     # What a rule stands for: its own two symbols and theirs; together they hold every node once.
-    weight = {}
-    for x, _, y, z in rules:
-        weight[z] = weight.get(x, 1) + weight.get(y, 1)
+    weight = expanded_sizes(rules, none)
     counts = {r["sym"]: r["count"] for r in left.groupBy("sym").count().collect()}
-    assert sum(n * weight.get(s, 1) for s, n in counts.items()) == t.count() and left.count() < t.count()
+    assert sum(n * weight.get(s, 1) for s, n in counts.items()) == t.count() and left.where(F.col("sym") != none).count() < t.count() / 2
+    # No pair within the rank bound is left, but those of equal symbols.
+    rank = {x: 2 for x in range(none)} | {none: 0}
+    for x, _, y, z in rules:
+        rank[z] = rank[x] + rank[y] - 1
+    up = left.select("doc_id", F.col("id").alias("parent"), F.col("sym").alias("outer"))
+    pairs = left.join(up, ["doc_id", "parent"]).groupBy("outer", "slot", "sym").count().collect()
+    assert all(r["count"] <= 3 or r["outer"] == r["sym"] or rank[r["outer"]] + rank[r["sym"]] > 4 for r in pairs)
+    holes = left.groupBy("doc_id", F.col("parent").alias("id")).agg(F.sort_array(F.collect_list("slot")).alias("slots"))
+    assert all(list(r["slots"] or []) == list(range(1, rank[r["sym"]] + 1)) for r in left.join(holes, ["doc_id", "id"], "left").collect())
 
 
 def test_carriers(spark, sf):

@@ -87,27 +87,35 @@ def shared_subtrees(spark: SparkSession, nodes: DataFrame) -> DataFrame:
     return done.groupBy(F.col("sig").alias("signature")).agg(F.count("*").alias("n"))
 
 
-def relational_pairs(spark: SparkSession, nodes: DataFrame, rounds: int = 6, best: int = 24) -> tuple[DataFrame, list[tuple[int, int, int, int]]]:
-    """Pair replacement without a kernel, for one tree that no task could hold: (doc_id, id, sym, parent, slot) and the rules.
+def relational_pairs(spark: SparkSession, nodes: DataFrame, rounds: int | None = None, best: int = 24, least: int = 3) -> tuple[DataFrame, list[tuple[int, int, int, int]], int]:
+    """Pair replacement without a kernel, for one tree that no task could hold: (doc_id, id, sym, parent, slot), the rules, and the symbol of absent subtrees.
 
     A round counts all triples with a partial aggregation, takes the most frequent compatible ones (a short list), and
-    contracts their edges by joins. Triples of equal symbols would need chain parities and are left to later levels of
-    the labels around them; ranks are bounded by two."""
+    contracts their edges by joins, until no triple occurs more than ``least`` times (``rounds`` stops earlier). Absent
+    subtrees are nodes of rank zero, so that ranks, bounded by three, fall where labels have fewer than two subtrees.
+    Triples of equal symbols would need chain parities and are left to later levels of the labels around them."""
     labels = [r["label"] for r in nodes.select(F.concat(F.col("kind").cast("string"), F.lit(":"), "label").alias("label")).distinct().orderBy("label").collect()]
     number = F.array_position(F.array(*[F.lit(x) for x in labels]), F.concat(F.col("kind").cast("string"), F.lit(":"), "label")) - 1
     enc = binary_encoding(nodes)
     w = Window.partitionBy("doc_id", "parent").orderBy("node")
     prev = F.lag("node").over(w)
-    base = enc.select("doc_id", F.col("node").alias("id"), number.cast("int").alias("sym"), F.coalesce(prev, F.col("parent")).alias("parent"), F.when(prev.isNotNull(), 2).otherwise(1).alias("slot"))
-    # Only the rank of a symbol's open holes matters here: labels may hold two subtrees, and absent ones are no nodes.
-    now, rules, rank = written(spark, base, "pairs"), [], {k: 2 for k in range(len(labels))}
-    for _ in range(rounds):
+    none = len(labels)
+    base = enc.select("doc_id", F.col("node").cast("long").alias("id"), number.cast("int").alias("sym"), F.coalesce(prev, F.col("parent")).cast("long").alias("parent"), F.when(prev.isNotNull(), 2).otherwise(1).alias("slot"))
+    open_ = F.array_compact(F.array(F.when(F.col("fc").isNull(), F.lit(1)), F.when(F.col("ns").isNull(), F.lit(2))))
+    absent = enc.select("doc_id", F.col("node").cast("long").alias("parent"), F.explode(open_).alias("slot"))
+    absent = absent.select("doc_id", (-2 * F.col("parent") - F.col("slot")).alias("id"), F.lit(none).alias("sym"), "parent", "slot")
+    now, rules, rank = written(spark, base.unionByName(absent), "pairs"), [], {k: 2 for k in range(none)} | {none: 0}
+    while rounds is None or rounds > 0:
+        rounds = None if rounds is None else rounds - 1
+        ranks = spark.createDataFrame(list(rank.items()), "outer int, outer_rank int")  # one row a symbol, as on the driver
+        ranks = F.broadcast(ranks), F.broadcast(ranks.toDF("sym", "sym_rank"))
         up = now.select("doc_id", F.col("id").alias("parent"), F.col("sym").alias("outer"))
-        top = now.join(up, ["doc_id", "parent"]).groupBy("outer", "slot", "sym").agg(F.count("*").alias("n")).where("n > 3 and outer <> sym").orderBy(F.desc("n"), "outer", "slot", "sym").limit(8 * best).collect()
+        top = now.join(up, ["doc_id", "parent"]).groupBy("outer", "slot", "sym").agg(F.count("*").alias("n")).where((F.col("n") > least) & (F.col("outer") != F.col("sym")))
+        top = top.join(ranks[0], "outer").join(ranks[1], "sym").where("outer_rank + sym_rank <= 4").orderBy(F.desc("n"), "outer", "slot", "sym").limit(8 * best).collect()
         chosen, outers, inners = [], set(), set()
         for r in top:
             x, i, y = r["outer"], r["slot"], r["sym"]
-            if rank[x] + rank[y] - 1 > 3 or x in outers or x in inners or y in outers or len(chosen) == best:
+            if x in outers or x in inners or y in outers or len(chosen) == best:
                 continue
             z = len(rank)
             rank[z] = rank[x] + rank[y] - 1
@@ -126,7 +134,7 @@ def relational_pairs(spark: SparkSession, nodes: DataFrame, rounds: int = 6, bes
         rest = rest.join(inner.select("doc_id", "parent", "into", F.col("at").alias("base")), ["doc_id", "parent"], "left").join(host, ["doc_id", "parent"], "left").join(outer, ["doc_id", "id"], "left")
         now = written(spark, rest.select("doc_id", "id", F.coalesce("new_sym", "sym").alias("sym"), F.coalesce("into", "parent").alias("parent"),
             F.when(F.col("into").isNotNull(), F.col("base") + F.col("slot") - 1).when(F.col("cut").isNotNull() & (F.col("slot") > F.col("cut")), F.col("slot") + F.col("grow") - 1).otherwise(F.col("slot")).cast("int").alias("slot")), "pairs")
-    return now, rules
+    return now, rules, none
 
 
 def _asof(spark: SparkSession, sf: str) -> DataFrame:
@@ -159,15 +167,30 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "rel_closure_turns": lambda s, d: ancestors(s, thread_nodes(s, d), "turn").groupBy("doc_id").agg(F.count("*").alias("n")),
         "rel_percentile_levels": lambda s, d: thread_nodes(s, d).where("label = 'turn'").agg(F.max("level").alias("deepest"), F.min("level").alias("top"), F.percentile("level", 0.75).alias("p75")),
         "rel_shared_subtrees": lambda s, d: shared_subtrees(s, nodes_of(s, d, "threads")).agg(F.sum("n").alias("nodes"), F.count("*").alias("kinds")),
-        "rel_pairs_triples": lambda s, d: _pairs_report(s, d),
+        "rel_pairs_triples": _pairs_report,
+        "rel_pairs_lossless": _pairs_lossless,
     }
 
 
 def _pairs_report(spark: SparkSession, sf: str) -> DataFrame:
-    """Nodes before and after relational pair replacement, and the rules made (no oracle: the sizes are the result)."""
-    nodes = nodes_of(spark, sf, "threads")
-    left, rules = relational_pairs(spark, nodes, rounds=4)
-    return left.agg(F.count("*").alias("nodes_left")).withColumn("rules", F.lit(len(rules)))
+    """Nodes and absent subtrees left by relational pair replacement, and the rules made (no oracle: the sizes are the result)."""
+    left, rules, none = relational_pairs(spark, nodes_of(spark, sf, "threads"))
+    return left.agg(F.sum((F.col("sym") != none).cast("long")).alias("nodes_left"), F.sum((F.col("sym") == none).cast("long")).alias("absent_left")).withColumn("rules", F.lit(len(rules)))
+
+
+def expanded_sizes(rules: list[tuple[int, int, int, int]], none: int) -> dict[int, int]:
+    """The nodes of the tree that each rule's symbol stands for."""
+    size = {none: 0}
+    for x, _, y, z in rules:
+        size[z] = size.get(x, 1) + size.get(y, 1)
+    return size
+
+
+def _pairs_lossless(spark: SparkSession, sf: str) -> DataFrame:
+    """The nodes that the contracted trees stand for."""
+    left, rules, none = relational_pairs(spark, nodes_of(spark, sf, "threads"))
+    size = spark.createDataFrame(list(expanded_sizes(rules, none).items()), "sym int, nodes int")
+    return left.join(F.broadcast(size), "sym", "left").agg(F.sum(F.coalesce("nodes", F.lit(1))).alias("nodes"))  # one row a rule
 
 
 def oracle_sql() -> dict[str, str]:
@@ -187,6 +210,7 @@ def oracle_sql() -> dict[str, str]:
         "rel_distinct_paths": "SELECT CAST(6 AS BIGINT) AS n",
         "rel_closure_turns": "SELECT conv_id AS doc_id, CAST(count(*) * (count(*) - 1) / 2 AS BIGINT) AS n FROM conversations GROUP BY 1 HAVING count(*) > 1",
         "rel_percentile_levels": "SELECT CAST(2 * max(turn) + 1 AS BIGINT) AS deepest, CAST(1 AS BIGINT) AS top, CAST(quantile_cont(2 * turn + 1, 0.75) AS DOUBLE) AS p75 FROM conversations",
+        "rel_pairs_lossless": f"SELECT CAST(sum(v) AS BIGINT) AS nodes FROM (SELECT 4 + sum(4 + 2 * {lines} + 2 * {kw}) + count(*) - 1 AS v FROM conversations GROUP BY conv_id)",
         # A subtree of a thread is told by the numbers of keywords of its lines, turn by turn; below that: keyword, text, value, and the two attributes with their holders.
         "rel_shared_subtrees": f"""WITH w AS (SELECT conv_id, turn, array_to_string(list_transform(string_split(text, chr(10)), lambda x: len(regexp_extract_all(x, '[A-Za-z]{{10,}}'))), ' ') AS says FROM conversations),
 y AS (SELECT DISTINCT unnest(list_transform(string_split(text, chr(10)), lambda x: len(regexp_extract_all(x, '[A-Za-z]{{10,}}')))) AS k FROM conversations),
