@@ -224,7 +224,9 @@ class TreeIndex:
     # Counting
 
     def behaviours(self, path: str, jump: bool = True, relevance: str = "fine", skip: bool = True, mode: str = "eager", prune: bool = True) -> DataFrame:
-        """Rows (section, shard_no, doc_id, q_in, n, q_out, visited, jumped, skipped) of every shard, document and entry state."""
+        """Rows (section, shard_no, doc_id, q_in, n, q_out, visited, jumped, skipped, memo_hits, memo) of every shard, document and entry state.
+
+        The counters of a shard stand at its first document and last state; memo: the (rule, state) pairs it keeps."""
         a = compile_path(path)
         plan = self.spine_plan(a) if self.spine else None
         entry = plan.entry if plan else {}
@@ -240,15 +242,15 @@ class TreeIndex:
                 r = Run(g, a, jump, relevance == "fine", skip)
                 states = range(a.n_states) if every else [entry.get(row["section"], a.initial)]
                 out = []
-                for q in states:
+                for at, q in enumerate(states, 1):
                     n, last = r.eager_count(q) if mode == "eager" else r.lazy_count(q)
                     c = r.count
                     for k, d in enumerate(row["doc_ids"].tolist()):
-                        extra = (c.visited, c.jumped, c.skipped) if k == 0 else (0, 0, 0)
+                        extra = (c.visited, c.jumped, c.skipped, c.memo_hits, len(r._memo)) if k == 0 and at == len(states) else (0,) * 5
                         out.append((row["section"], row["shard_no"], d, q, int(n[k]), last, *extra))
-                yield _batch(out, ["section", "shard_no", "doc_id", "q_in", "n", "q_out", "visited", "jumped", "skipped"], [pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()])
+                yield _batch(out, ["section", "shard_no", "doc_id", "q_in", "n", "q_out", "visited", "jumped", "skipped", "memo_hits", "memo"], [pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), *[pa.int64()] * 5])
 
-        return src.select(*CORE).mapInArrow(run, "section int, shard_no long, doc_id long, q_in int, n long, q_out int, visited long, jumped long, skipped long")
+        return src.select(*CORE).mapInArrow(run, "section int, shard_no long, doc_id long, q_in int, n long, q_out int, visited long, jumped long, skipped long, memo_hits long, memo long")
 
     def count(self, path: str, by: str = "carrier", **options) -> DataFrame:
         """(n) of the carrier, or (doc_id, n) of every document, zeros included."""

@@ -334,12 +334,14 @@ for _carrier in ("market", "threads", "pages", "log", "vectors", "prose"):
 
 @query("visits_by_relevance")
 def _visits(spark: SparkSession, sf: str) -> DataFrame:
-    """Rules visited, jumped and skipped by each evaluator variant (no oracle: the counters are the result)."""
+    """Rules visited, jumped and skipped by each evaluator variant, with its memo entries, their reuse and modelled bytes (no oracle: the counters are the result).
+
+    An entry holds a count and the states at the holes of its rule: 8 bytes, and 4 for the state and each of at most two holes."""
     out = None
     for name in ("q03", "q05", "q07", "x1", "x2", "label_price"):
         for tag, o in {"none": {"jump": False}, "basic": {"relevance": "basic"}, "fine": {}}.items():
-            one = index(spark, sf, "market").behaviours(MARKET[name][0], mode="lazy", **o).agg(F.sum("visited").alias("visited"), F.sum("jumped").alias("jumped"), F.sum("skipped").alias("skipped"), F.sum("n").alias("n"))
-            one = one.select(F.lit(name).alias("query"), F.lit(tag).alias("relevance"), "visited", "jumped", "skipped")
+            one = index(spark, sf, "market").behaviours(MARKET[name][0], mode="lazy", **o).agg(*[F.sum(k).alias(k) for k in ("visited", "jumped", "skipped", "memo_hits", "memo")])
+            one = one.select(F.lit(name).alias("query"), F.lit(tag).alias("relevance"), "visited", "jumped", "skipped", "memo_hits", "memo", (F.col("memo") * 20).alias("memo_bytes"))
             out = one if out is None else out.unionByName(one)
     return out
 
