@@ -379,7 +379,7 @@ def generated_page(rng: np.random.Generator, sentences: list[str]) -> tuple[str,
     html: list[str] = []
     labels: list[int] = []
     pick = lambda *x: x[int(rng.integers(len(x)))]
-    text = lambda n: " ".join(pick(*sentences) for _ in range(n))
+    text = lambda n: " ".join(sentences[int(rng.integers(len(sentences)))] for _ in range(n))
     short = lambda: " ".join(text(1).split(" ")[: int(rng.integers(1, 5))]) or "x"
 
     def put(s: str, label: int | None = None) -> None:

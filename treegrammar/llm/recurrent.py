@@ -118,24 +118,35 @@ class BiLstm:
         b[..., hidden : 2 * hidden] = 1  # the forget gates start open
         self.p = {"x": r(2, width, 4 * hidden, scale=width**-0.5), "u": r(2, hidden, 4 * hidden, scale=hidden**-0.5), "b": b, "o": r(2, hidden, scale=hidden**-0.5), "s": np.zeros(width, np.float32), "c": np.zeros(1, np.float32)}
 
-    def _run(self, x: np.ndarray, mask: np.ndarray, keep: list | None) -> np.ndarray:
+    def _run(self, x: np.ndarray, mask: np.ndarray, keep: dict | None) -> np.ndarray:
+        """Hidden states (time, 2, batch, hidden), the backward ones at their own reading order; where the mask is zero a state stays as it is."""
         t, b, h, p = *x.shape[:2], self.hidden, self.p
-        inner = np.stack([x @ p["x"][0], x[::-1] @ p["x"][1]], axis=1)
+        scale = np.repeat(np.float32([0.5, 1]), (3 * h, h))  # the logistic function is a halved and lifted tanh of half its input
+        inner, u = np.empty((t, 2, b, 4 * h), np.float32), p["u"] * scale
+        np.matmul(x, p["x"][0] * scale, out=inner[:, 0])
+        np.matmul(x[::-1], p["x"][1] * scale, out=inner[:, 1])
+        inner += p["b"] * scale
+        live = np.stack([mask, mask[::-1]], axis=1)[..., None] > 0
         state, cell = np.zeros((2, b, h), np.float32), np.zeros((2, b, h), np.float32)
         out = np.empty((t, 2, b, h), np.float32)
+        cells, tops = (np.empty_like(out), np.empty_like(out)) if keep is not None else (None, None)
         for k in range(t):
-            a = inner[k] + np.matmul(state, p["u"]) + p["b"]
-            gates = sigmoid(a[..., : 3 * h])
-            i, f, o = gates[..., :h], gates[..., h : 2 * h], gates[..., 2 * h :]
-            g = np.tanh(a[..., 3 * h :])
-            m = np.stack([mask[k], mask[t - 1 - k]])[..., None]
-            new = f * cell + i * g
-            tc = np.tanh(new)
+            a = inner[k]  # becomes the gates and the candidate
+            a += np.matmul(state, u)
+            np.tanh(a, out=a)
+            gates = a[..., : 3 * h]
+            gates *= np.float32(0.5)
+            gates += np.float32(0.5)
+            new = a[..., h : 2 * h] * cell
+            new += a[..., :h] * a[..., 3 * h :]
+            top = np.tanh(new)
             if keep is not None:
-                keep.append((state, cell, i, f, o, g, tc, m))
-            cell = m * new + (1 - m) * cell
-            state = m * (o * tc) + (1 - m) * state
+                cells[k], tops[k] = cell, top
+            cell = np.where(live[k], new, cell)
+            state = np.where(live[k], a[..., 2 * h : 3 * h] * top, state)
             out[k] = state
+        if keep is not None:
+            keep.update(inner=inner, cells=cells, tops=tops, live=live)
         return out
 
     def one_way(self, x: np.ndarray, way: int, last: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray]]:
@@ -152,13 +163,13 @@ class BiLstm:
             out[k] = state
         return out, (state, cell)
 
-    def logits(self, x: np.ndarray, mask: np.ndarray, keep: list | None = None) -> tuple[np.ndarray, np.ndarray]:
+    def logits(self, x: np.ndarray, mask: np.ndarray, keep: dict | None = None) -> tuple[np.ndarray, np.ndarray]:
         states = self._run(x, mask, keep)
         return states[:, 0] @ self.p["o"][0] + states[::-1, 1] @ self.p["o"][1] + x @ self.p["s"] + self.p["c"], states
 
     def gradients(self, x: np.ndarray, mask: np.ndarray, target: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
         t, b, h, p = *x.shape[:2], self.hidden, self.p
-        keep: list = []
+        keep: dict = {}
         y, states = self.logits(x, mask, keep)
         prob = sigmoid(y)
         n = max(1.0, float(mask.sum()))
@@ -167,19 +178,32 @@ class BiLstm:
         back = d[::-1]
         g = {k: np.zeros_like(v) for k, v in p.items()}
         g["c"][0] = d.sum()
-        g["s"] = np.einsum("tb,tbw->w", d, x, optimize=True)
+        g["s"] = d.reshape(-1) @ x.reshape(t * b, -1)
         g["o"][0], g["o"][1] = np.einsum("tb,tbh->h", d, states[:, 0]), np.einsum("tb,tbh->h", back, states[:, 1])
+        i, f, o, cand = (keep["inner"][..., j * h : (j + 1) * h] for j in range(4))
+        live, tops = keep["live"], keep["tops"]
+        # What a step multiplies its errors with, for all steps at once: the inputs of the gates and of the candidate, zero where the mask is.
+        of_cell = np.stack([cand * i * (1 - i), keep["cells"] * f * (1 - f), np.zeros_like(o), i * (1 - cand * cand)], axis=3) * live[..., None]
+        of_state, through = tops * o * (1 - o) * live, o * (1 - tops * tops) * live
+        kept, passed = (~live).astype(np.float32), np.where(live, f, 1)
+        errors = np.stack([d, back], axis=1)[..., None] * p["o"][:, None]
+        turned = np.ascontiguousarray(p["u"].transpose(0, 2, 1))
+        da = np.empty((t, 2, b, 4, h), np.float32)
         dh, dc = np.zeros((2, b, h), np.float32), np.zeros((2, b, h), np.float32)
         for k in range(t - 1, -1, -1):
-            state, cell, i, f, o, gg, tc, m = keep[k]
-            dh = dh + np.stack([d[k][:, None] * p["o"][0], back[k][:, None] * p["o"][1]])
-            live = dh * m
-            dcell = dc * m + live * o * (1 - tc * tc)
-            da = np.concatenate([dcell * gg * i * (1 - i), dcell * cell * f * (1 - f), live * tc * o * (1 - o), dcell * i * (1 - gg * gg)], axis=-1)
-            g["b"] += da.sum(axis=1, keepdims=True)
-            g["u"] += np.matmul(state.transpose(0, 2, 1), da)
-            g["x"][0] += x[k].T @ da[0]
-            g["x"][1] += x[t - 1 - k].T @ da[1]
-            dh = dh * (1 - m) + np.matmul(da, p["u"].transpose(0, 2, 1))
-            dc = dc * (1 - m) + dcell * f
+            dh += errors[k]
+            dc += dh * through[k]  # the error of the cell after the step
+            now = da[k]
+            np.multiply(dc[:, :, None], of_cell[k], out=now)
+            now[:, :, 2] = dh * of_state[k]
+            dh *= kept[k]
+            dh += np.matmul(now.reshape(2, b, 4 * h), turned)
+            dc *= passed[k]
+        da = da.reshape(t, 2, b, 4 * h)
+        before = np.concatenate([np.zeros((1, 2, b, h), np.float32), states[:-1]])
+        for way, seen in ((0, x), (1, x[::-1])):
+            own = da[:, way].reshape(t * b, 4 * h)
+            g["x"][way] = seen.reshape(t * b, -1).T @ own
+            g["u"][way] = before[:, way].reshape(t * b, h).T @ own
+            g["b"][way, 0] = own.sum(axis=0)
         return loss, g
