@@ -135,3 +135,27 @@ def test_text_buffer():
     assert [t[i] for i in range(4)] == ["", "a", "äö", "x" * 500] and len(t) == 4 and t.bytes() > 500
     with pytest.raises(IndexError):
         t[4]
+
+
+def test_triples_follow_their_tree():
+    """Kept from round to round, the triples are those of a tree looked at anew; chains of one label included."""
+    rng = random.Random(8)
+    for k in range(30):
+        f = forest_of([(0, "<a>" * 60 + "</a>" * 60)]) if k == 0 else forest(rng, rng.randint(1, 3), 150)
+        tree = compress.Tree(f.names, *f.arrays(), k % 3 == 0, 1 + k % 3)
+        triples = compress.Triples(tree)
+        for _ in range(12):
+            most = triples.most(4)
+            if not most:
+                break
+            nodes = triples.nodes([n for _, _, n in most])
+            assert [len(x) for x in nodes] == [c for c, _, _ in most]
+            x, i, y = most[0][1] >> 33, most[0][1] >> 29 & 15, most[0][1] & (1 << 29) - 1
+            v = tree.alternate(nodes[0]) if x == y else nodes[0]
+            above = tree.parent[v]
+            tree.contract(v, x, i, y)
+            triples.update(np.concatenate([v, tree.around(above)]))
+            v, key = tree.edges()
+            got = triples.of >= 0
+            assert np.array_equal(np.flatnonzero(got), v) and np.array_equal(triples.key[triples.of[got]], key)
+            assert np.array_equal(triples.count, np.bincount(triples.of[got], minlength=len(triples.key)))
