@@ -202,3 +202,15 @@ def test_lazy_materialization_jumps(spark, sf):
     for r in runs.values():
         assert all(np.array_equal(x, y) for x, y in zip(Chunkwise(r, lazy=True).materialize()[0], eager, strict=True))
     assert runs[True].count.visited < runs[False].count.visited
+
+
+def test_compared_agrees_with_the_indexes(spark, sf):
+    """One pass over the records gives every compressor the figures of its own index."""
+    from treegrammar.sources.carriers import carrier
+
+    variants = [("pairs", 2), ("no_start", 2), ("dag", 2), ("one_rule", 2)]
+    got = TreeIndex.compared(spark, carrier(spark, "threads", sf), variants)
+    assert got.count() == len(variants) * index(spark, sf, "threads").shards.count()
+    for c, r in variants:
+        own, one = index(spark, sf, "threads", c, r).stats(), got.where(F.col("variant") == f"{c}/{r}").drop("variant")
+        assert sorted(map(tuple, one.select(*own.columns).collect())) == sorted(map(tuple, own.collect()))
