@@ -214,3 +214,13 @@ def test_compared_agrees_with_the_indexes(spark, sf):
     for c, r in variants:
         own, one = index(spark, sf, "threads", c, r).stats(), got.where(F.col("variant") == f"{c}/{r}").drop("variant")
         assert sorted(map(tuple, one.select(*own.columns).collect())) == sorted(map(tuple, own.collect()))
+
+
+def test_relational_round_writes_its_trees_only(spark, sf, monkeypatch):
+    """A round needs no table of its edges beside the contracted trees."""
+    from treegrammar.operators import relational as module
+
+    t, names, write = nodes(spark, sf, "threads"), [], module.written
+    monkeypatch.setattr(module, "written", lambda s, df, name: names.append(name) or write(s, df, name))
+    _, rules, _ = relational_pairs(spark, t, 2)
+    assert names == ["pairs"] * 3 and len(rules) > 2
