@@ -1,3 +1,4 @@
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -224,3 +225,13 @@ def test_relational_round_writes_its_trees_only(spark, sf, monkeypatch):
     monkeypatch.setattr(module, "written", lambda s, df, name: names.append(name) or write(s, df, name))
     _, rules, _ = relational_pairs(spark, t, 2)
     assert names == ["pairs"] * 3 and len(rules) > 2
+
+
+def test_row_groups_of_the_index_are_bounded(spark, sf, monkeypatch):
+    """A task that writes several shards does not hold them all until its file ends."""
+    monkeypatch.setattr("treegrammar.operators.index.ROW_GROUP_BYTES", 1 << 16, raising=False)
+    ix = TreeIndex.build(spark, carrier(spark, "market", sf), None, "one_rule", shard_nodes=1500)
+    files = [pq.ParquetFile(f.removeprefix("file://")).metadata for f in ix.shards.inputFiles()]
+    assert sum(f.num_rows for f in files) > 2 * len(files)
+    assert sum(f.num_row_groups for f in files) > 2 * len(files) and all(f.row_group(k).num_rows <= 4 for f in files for k in range(f.num_row_groups))
+    assert n_of(ix.count(MARKET["q07"][0])) == COUNTS["q07"]
