@@ -49,6 +49,23 @@ def test_encode_and_decode_tables(spark):
     assert bpe.digests(table(spark, []), text).count() == 0
 
 
+def test_bpe_automaton_gives_every_token_that_ends_at_a_byte(monkeypatch):
+    """Also when the steps that are kept start anew all the time; ids are those of the library."""
+    library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    for steps in (bpe.CACHE_STEPS, 5):
+        monkeypatch.setattr(bpe, "CACHE_STEPS", steps)
+        b, rng, state, read = bpe.Bpe(tokenizer_text()), random.Random(4), 0, b""
+        for _ in range(400):
+            read += bytes([rng.choice(b"ionthe zz\xc3\xa9")])
+            state = b.step(state, read[-1])
+            assert [size for _, size in b.ends[state]] == [k for k in range(min(len(read), 200), 0, -1) if read[-k:] in b.ids]
+            assert all(b.ids[read[-size:]] == t for t, size in b.ends[state])
+        assert len(b.goto) <= steps + 1
+        words = ["".join(rng.choice("inothe\u00e9") for _ in range(rng.randint(1, 14))) for _ in range(300)]
+        for w, (ids, n, back) in zip(words, b.encode_texts(words), strict=True):
+            assert ids == ",".join(map(str, library.encode(w, add_special_tokens=False).ids)) and n == ids.count(",") + 1 and back.decode() == w
+
+
 # Decontamination
 
 RNG = random.Random(7)

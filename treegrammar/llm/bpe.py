@@ -25,9 +25,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-#: Bytes of words and encodings, about, and pairs of tokens whose border a worker keeps; beyond that either cache starts anew,
-#: the first with the words of the texts at hand. Both take some 120 MB at most.
-CACHE_BYTES, CACHE_PAIRS, WORD_BYTES = 80 << 20, 300_000, 190
+#: Bytes of words and encodings, about, pairs of tokens whose border a worker keeps, and steps between states; beyond that a cache starts anew,
+#: the first with the words of the texts at hand. They take some 150 MB at most.
+CACHE_BYTES, CACHE_PAIRS, CACHE_STEPS, WORD_BYTES = 80 << 20, 300_000, 300_000, 190
 #: The byte-level pre-tokenization pattern; white space as Unicode defines it.
 _SPACE = r"\p{White_Space}"
 PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_SPACE}\p{{L}}\p{{N}}]+|{_SPACE}+(?!\P{{White_Space}})|{_SPACE}+"
@@ -62,9 +62,13 @@ class Bpe:
             a, b, c = self.ids[x], self.ids[y], self.ids[x + y]
             self.rank.setdefault((a, b), k)
             self.parts.setdefault(c, (k, a, b))
-        self.reach: dict[bytes, int] = {}  # the longest token with these last two bytes
-        for t in self.ids:
-            self.reach[t[-2:]] = max(len(t), self.reach.get(t[-2:], 1))
+        # Suffix automaton, made as far as texts go: a state is the longest end of the bytes read that begins a token.
+        self.begins = {t[:k] for t in self.ids for k in range(1, len(t) + 1)}
+        self.states: dict[bytes, int] = {}
+        self.shown: list[bytes] = []  # the bytes of each state
+        self.ends: list[tuple[tuple[int, int], ...]] = []  # tokens that end in a state and their lengths, the longest first
+        self.goto: dict[int, int] = {}  # state << 8 | byte -> state
+        self._state(b"")
         self.edges: tuple[dict, dict] = ({}, {})
         self.added = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.token |= {i: s.encode() for s, i in self.added.items()}
@@ -106,28 +110,49 @@ class Bpe:
         self.apart[a << 32 | b] = got
         return got
 
+    def _state(self, end: bytes) -> int:
+        if end not in self.states:
+            self.states[end] = len(self.shown)
+            self.shown.append(end)
+            self.ends.append(tuple((self.ids[end[k:]], len(end) - k) for k in range(len(end)) if end[k:] in self.ids))
+        return self.states[end]
+
+    def step(self, state: int, byte: int) -> int:
+        """The state after one more byte."""
+        end = self.shown[state] + bytes([byte])
+        while end and end not in self.begins:
+            end = end[1:]
+        if len(self.goto) > CACHE_STEPS:
+            self.goto.clear()
+        got = self.goto[state << 8 | byte] = self._state(end)
+        return got
+
     def encode_words(self, words: Iterable[bytes]) -> Iterator[tuple[bytes, list[int]]]:
         """Each distinct word and its ids, in sorted order; prefixes that words share are worked out once."""
-        ids, token, known, apart, reach = self.ids.get, self.token, self.apart.get, self.stay_apart, self.reach.get
+        token, known, apart, goto, step, ends = self.token, self.apart.get, self.stay_apart, self.goto.get, self.step, self.ends
         last: list[int] = [-1]  # last[d]: last token of the encoding of the first d bytes on the current path
+        path: list[int] = [0]  # path[d]: the state after them
         before = b""
         for word in sorted(words):
             d, top = 0, min(len(before), len(word))
             while d < top and before[d] == word[d]:
                 d += 1
-            del last[d + 1 :]
+            del last[d + 1 :], path[d + 1 :]
+            state = path[d]
             for end in range(d + 1, len(word) + 1):
-                start = end - reach(word[end - 2 : end] if end > 1 else word[:1], 1)
-                for start in range(start if start > 0 else 0, end):
-                    t = ids(word[start:end])
-                    if t is not None:
-                        if start == 0:
-                            last.append(t)
-                            break
-                        ok = known(last[start] << 32 | t)
-                        if apart(last[start], t) if ok is None else ok:
-                            last.append(t)
-                            break
+                byte = word[end - 1]
+                new = goto(state << 8 | byte)
+                state = step(state, byte) if new is None else new
+                path.append(state)
+                for t, size in ends[state]:
+                    if size == end:
+                        last.append(t)
+                        break
+                    left = last[end - size]
+                    ok = known(left << 32 | t)
+                    if apart(left, t) if ok is None else ok:
+                        last.append(t)
+                        break
                 else:
                     raise ValueError("the vocabulary lacks a byte")
             before, out, at = word, [], len(word)
@@ -161,7 +186,7 @@ class Bpe:
         """For each text its ids joined by commas, their number, and the bytes they decode to."""
         wide, plain = self.cut.findall, self.cut_ascii.findall
         cuts = [[x if isinstance(x, int) else plain(x) if x.isascii() else wide(x) for x in self.pieces(t)] for t in texts]
-        self.learn({w for c in cuts for x in c if not isinstance(x, int) for w in x})
+        self.learn(set().union(*(x for c in cuts for x in c if not isinstance(x, int))))
         known, named = self.known.__getitem__, self.named.__getitem__
         for c in cuts:
             ids = ",".join([str(x) if isinstance(x, int) else ",".join(map(known, x)) for x in c if x != []])
