@@ -235,3 +235,23 @@ def test_row_groups_of_the_index_are_bounded(spark, sf, monkeypatch):
     assert sum(f.num_rows for f in files) > 2 * len(files)
     assert sum(f.num_row_groups for f in files) > 2 * len(files) and all(f.row_group(k).num_rows <= 4 for f in files for k in range(f.num_row_groups))
     assert n_of(ix.count(MARKET["q07"][0])) == COUNTS["q07"]
+
+
+def test_relational_rounds_of_few_edges_shuffle_no_trees(spark, sf, monkeypatch):
+    """Messages along few edges go to the trees by a broadcast, those along many by a shuffle, with the same trees and rules."""
+    from treegrammar.operators import relational as module
+
+    t, plans, write = nodes(spark, sf, "threads"), [], module.written
+    monkeypatch.setattr(module, "written", lambda s, df, name: plans.append(df._jdf.queryExecution().sparkPlan().toString()) or write(s, df, name))
+    old = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        left, rules, _ = relational_pairs(spark, t, 3)
+        assert len(plans) == 4 and all("BroadcastHashJoin" in p and "SortMergeJoin" not in p for p in plans[1:])
+        plans.clear()
+        monkeypatch.setattr(module, "BROADCAST_EDGES", 0)
+        many, same, _ = relational_pairs(spark, t, 3)
+        assert all("SortMergeJoin" in p for p in plans[1:])
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+    assert rules == same and sorted(map(tuple, left.collect())) == sorted(map(tuple, many.collect()))
