@@ -159,3 +159,22 @@ def test_triples_follow_their_tree():
             got = triples.of >= 0
             assert np.array_equal(np.flatnonzero(got), v) and np.array_equal(triples.key[triples.of[got]], key)
             assert np.array_equal(triples.count, np.bincount(triples.of[got], minlength=len(triples.key)))
+
+
+def test_rounds_look_at_changed_edges_and_contract_together(monkeypatch):
+    """Pattern search finds the edges of the whole tree once, and folding the start contracts edges of many triples in a step."""
+    from treegrammar.grammar.compress import Tree
+
+    rng, whole, steps = random.Random(11), [], []
+    f = forest(rng, 4, 2000)
+    ev, ds = f.arrays()
+    edges, splice = Tree.edges, Tree.splice
+    monkeypatch.setattr(Tree, "edges", lambda self: whole.append(1) or edges(self))
+    g = compress.patterns(f.names, ev, ds)
+    same_trees(g, ev, ds)
+    assert g.n_rules > 10 and len(whole) == 1
+    monkeypatch.setattr(Tree, "splice", lambda self, *a: steps.append(1) or splice(self, *a))
+    one = compress.one_rule(f.names, ev, ds)
+    g = compress.no_start_rule(one)
+    same_trees(g, ev, ds)
+    assert g.n_rules > 5 * len(steps) > 0
